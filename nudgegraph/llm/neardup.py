@@ -9,7 +9,8 @@
    ``T - 1`` most frequent. A list that is still long is split by a second
    value that both documents must share too.
 3. Inside a list, a pair passes when the sketch overlap reaches ``T``; lists
-   emit a spanning set of the passing pairs, never all of them.
+   emit a spanning set of the passing pairs, never all of them. Two lists a
+   document come first; what they connect takes part in the others as one.
 4. Documents that hang together by passing pairs meet once more with their
    whole texts: there every pair that passes the sketches and isn't connected
    yet is compared on the full sets. Sets of over ``block`` documents are
@@ -99,8 +100,17 @@ def _grouped(batches: Iterator[pa.RecordBatch], n_keys: int) -> Iterator[tuple[t
         yield key, rows
 
 
+def _short(sketch: str) -> F.Column:
+    """16 bits of each retained value: all that counting an overlap needs."""
+    return F.expr(f"transform({sketch}, x -> cast(x & 32767 as smallint))")
+
+
 def _spanning(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Of each inverted list: pairs that pass, enough to connect what they connect."""
+    """Of each inverted list: pairs that pass, enough to connect what they connect.
+
+    Nodes of one label are connected already. Retained values are cut to 16
+    bits; where two of a sketch fall together, its threshold falls too.
+    """
     left, right = [], []
 
     def out():
@@ -109,15 +119,20 @@ def _spanning(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for _, rows in _grouped(batches, 1):
         if len(rows) < 2:
             continue
-        forest, seen = _Forest(), []
-        for node, least, sketch in rows:
+        forest, seen, labels = _Forest(), [], {}
+        for node, label, least, sketch in rows:
             mine, x = set(sketch), forest.add()
+            least -= len(sketch) - len(mine)
+            if label in labels:
+                forest.join(x, labels[label])
+            else:
+                labels[label] = x
             for r in list(forest.members):
-                if r == x or r not in forest.members:
+                if r not in forest.members or r == forest.root(x):
                     continue
                 for y in forest.members[r]:
-                    other, need_other, theirs = seen[y]
-                    if len(mine & theirs) >= max(least, need_other):
+                    other, its_least, theirs = seen[y]
+                    if len(mine & theirs) >= min(max(least, its_least), len(mine), len(theirs)):
                         if other != node:
                             left.append(other)
                             right.append(node)
@@ -150,13 +165,14 @@ def _confirmed(width: int, k: int, t: int, num: int, den: int):
                 s, x = shingle_set(words_of(text), width), forest.add()
                 sk = set(s[:k].tolist())
                 least = min(t, -(-len(s) * num // den))
-                # the first members of all groups come first: copies of one text join at once
-                for r in sorted(forest.members, key=lambda r: -len(forest.members[r])):
-                    if r == x or r not in forest.members or forest.root(x) == r:
+                for r in list(forest.members):
+                    if r not in forest.members or forest.root(x) == r:
                         continue
                     mem = forest.members[r]
-                    for y in mem:
+                    for i, y in enumerate(mem):
                         if len(sk & sketches[y]) >= least and alike(s, sets[y]):
+                            # what many are alike to is asked first from now on
+                            mem[0], mem[i] = mem[i], mem[0]
                             forest.join(x, y)
                             break
                 ids.append(node)
@@ -188,7 +204,7 @@ def _in_order(batches: Iterator[pa.RecordBatch]) -> Iterator[Iterator[tuple]]:
 
 
 def near_duplicates(
-    docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, num: int = 80, den: int = 100, k: int = 32, long_list: int = 1024, block: int = 8192
+    docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, num: int = 80, den: int = 100, k: int = 48, long_list: int = 1024, block: int = 8192
 ) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for every row of ``docs``.
 
@@ -221,17 +237,29 @@ def near_duplicates(
         posts = able.select("node", F.explode("sketch").alias("value"))
         often = posts.groupBy("value").agg(F.count("*").alias("often")).where("often > 1")
         shared = posts.join(often, "value").groupBy("node").agg(F.array_sort(F.collect_list(F.struct("often", "value"))).alias("values"))
-        shared = able.join(shared, "node").where(F.size("values") >= F.col("least"))
-        kept = shared.select("node", "least", "sketch", "values", F.explode(F.expr("slice(values, 1, size(values) - least + 1)")).alias("v"))
-        short = kept.where(F.col("v.often") <= long_list).select(F.col("v.value").alias("bucket"), "node", "least", "sketch")
-        rest = F.expr("filter(values, x -> x.value <> v.value)")
-        split = kept.where(F.col("v.often") > long_list).withColumn("rest", rest)
-        split = split.select("v", "node", "least", "sketch", F.explode(F.expr("slice(rest, 1, greatest(0, size(rest) - least + 2))")).alias("w"))
-        split = split.select(F.xxhash64("v.value", "w.value").alias("bucket"), "node", "least", "sketch")
-        lists = short.unionByName(split)
-        sorted_lists = lists.repartition("bucket").sortWithinPartitions("bucket", "node")
-        near = components(sorted_lists.mapInArrow(_spanning, "a long, b long"))
-
+        able = able.select("node", "least", _short("sketch").alias("sketch"))
+        shared = scratch.keep(able.join(shared, "node").where(F.size("values") >= F.col("least")), "shared")
+
+        def spanning(lists: DataFrame) -> DataFrame:
+            lists = lists.select("bucket", "node", "label", "least", "sketch")
+            return lists.repartition("bucket").sortWithinPartitions("bucket", "node").mapInArrow(_spanning, "a long, b long")
+
+        # first the lists of the two smallest shared values: most copies meet there
+        two = F.expr("slice(array_sort(transform(values, x -> x.value)), 1, 2)")
+        early = components(spanning(shared.select("node", F.col("node").alias("label"), "least", "sketch", F.explode(two).alias("bucket"))))
+        early = scratch.keep(early.withColumnRenamed("component", "label"), "early")
+        # then all lists in which something isn't connected yet
+        kept = shared.select("node", F.explode(F.expr("slice(values, 1, size(values) - least + 1)")).alias("v"))
+        kept = kept.select("node", F.col("v.value").alias("value")).join(early, "node", "left").select("node", "value", F.coalesce("label", "node").alias("label"))
+        wide = kept.select("value", "label").distinct().groupBy("value").agg(F.count("*").alias("labels")).where("labels > 1")
+        kept = kept.join(wide, "value").join(shared, "node")
+        short = kept.where(F.col("labels") <= long_list).withColumn("bucket", F.col("value"))
+        split = kept.where(F.col("labels") > long_list).withColumn("rest", F.expr("filter(values, x -> x.value <> value)"))
+        split = split.withColumn("w", F.explode(F.expr("slice(rest, 1, greatest(0, size(rest) - least + 2))"))).withColumn("bucket", F.xxhash64("value", "w.value"))
+        columns = ["bucket", "node", "label", "least", "sketch"]
+        late = spanning(short.select(columns).unionByName(split.select(columns)))
+        near = components(late.unionByName(early.select(F.col("node").alias("a"), F.col("label").alias("b"))))
+        scratch.drop(early)
         near = scratch.keep(near, "near")
         sizes = near.groupBy("component").agg(F.ceil(F.count("*") / block).alias("blocks"))
         placed = near.join(sizes, "component").withColumn("mine", F.pmod(F.xxhash64("node"), F.col("blocks")))
