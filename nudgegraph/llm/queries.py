@@ -7,9 +7,11 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from nudgegraph.llm import decontaminate as _decontaminate
+from nudgegraph.llm import neighbours as _neighbours
 from nudgegraph.llm import substring as _substring
 from nudgegraph.llm import warc as _warc
 from nudgegraph.llm.bpe import bpe_digests
+from nudgegraph.llm.langid import identify, learn, training_rows
 from nudgegraph.llm.neardup import near_duplicates
 
 
@@ -27,6 +29,16 @@ def op2_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe_digests(_table(spark, sf_dir, "documents"), tok.path("byte_bpe_50k.tiktoken"), tok.PATTERN)
 
 
+def op3_vantage_point_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = _table(spark, sf_dir, "embeddings")
+    return _neighbours.cosine_neighbours(vectors, vectors.where("vec_id % 50 = 0"), k=5, factor=1.0)
+
+
+def op4_language_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents")
+    return identify(docs, learn(training_rows(docs))).select("doc_id", "held_out", "lang_pred", "score")
+
+
 def op5_warc_salvage(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _warc.warc_round_trip(_table(spark, sf_dir, "pages"), least_revisit=1000)
 
@@ -42,6 +54,8 @@ def op10_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_substring_dedup": op1_substring_dedup,
     "op2_byte_bpe": op2_byte_bpe,
+    "op3_vantage_point_neighbours": op3_vantage_point_neighbours,
+    "op4_language_mixture": op4_language_mixture,
     "op5_warc_salvage": op5_warc_salvage,
     "op9_benchmark_decontamination": op9_benchmark_decontamination,
     "op10_minhash_near_dedup": op10_minhash_near_dedup,
@@ -49,6 +63,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 
 ORACLES: dict[str, str] = {
     "op1_substring_dedup": _substring.ORACLE,
+    "op3_vantage_point_neighbours": _neighbours.ORACLE,
     "op5_warc_salvage": _warc.ORACLE,
     "op9_benchmark_decontamination": _decontaminate.ORACLE,
 }
