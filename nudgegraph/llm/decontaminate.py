@@ -105,7 +105,7 @@ def _judged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             hit.append(_covered(list(zip(flat[::2], flat[1::2], strict=True))))
             count.append(len(names))
             digest.append(hashlib.sha256(",".join(names).encode()).hexdigest())
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(hit, pa.int64()), pa.array(count, pa.int64()), pa.array(digest), pa.array([x > 0 for x in hit])], ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"])
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(hit, pa.int64()), pa.array(count, pa.int64()), pa.array(digest), pa.array([x > 0 for x in hit]), *batch.columns[4:]], ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated", *batch.schema.names[4:]])
 
 
 def _fused(items: list[tuple[str, str | None]], window: int):
@@ -122,7 +122,7 @@ def _fused(items: list[tuple[str, str | None]], window: int):
                 hit.append(_covered(spans))
                 count.append(len(owners))
                 digest.append(hashlib.sha256(",".join(search.names[i] for i in sorted(owners)).encode()).hexdigest())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(hit, pa.int64()), pa.array(count, pa.int64()), pa.array(digest), pa.array([x > 0 for x in hit])], ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(hit, pa.int64()), pa.array(count, pa.int64()), pa.array(digest), pa.array([x > 0 for x in hit]), *batch.columns[2:]], ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated", *batch.schema.names[2:]])
 
     return run
 
@@ -130,8 +130,8 @@ def _fused(items: list[tuple[str, str | None]], window: int):
 VERDICT = "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean"
 
 
-def decontaminate(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", window: int = 10, shard_bytes: int = 16 << 20) -> DataFrame:
-    """(doc_id, n_words, n_hit, n_items, items_sha256, contaminated) per row of ``docs``.
+def decontaminate(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", window: int = 10, shard_bytes: int = 16 << 20, carry: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, n_words, n_hit, n_items, items_sha256, contaminated, *carry) per row of ``docs``.
 
     A word is hit where it lies inside an occurrence of ``window`` consecutive
     words of an item; an item of fewer words counts whole. Only a shard of the
@@ -140,21 +140,24 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_i
 
     Null and empty texts have no words. Items without words or with a null id
     take no part; rows that repeat an item id are one item. Rows of ``docs``
-    are judged each by itself, whatever their ids. Other columns are ignored.
+    are judged each by itself, whatever their ids. Other columns than ``carry`` are ignored.
     """
     scratch = Scratch(docs.sparkSession, "decontaminate")
-    own = need(docs, id_col, text_col).toDF("doc_id", "text")
+    own = need(docs, id_col, text_col, *carry).toDF("doc_id", "text", *[f"carry_{c}" for c in carry])
+    carried = "".join(f", `carry_{c}` {docs.schema[c].dataType.simpleString()}" for c in carry)
+    back = [F.col(f"carry_{c}").alias(c) for c in carry]
+    plain = ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"]
     items = need(benchmark, item_col, item_text_col).toDF("item", "text").select(F.col("item").cast("string"), "text").where("item is not null and text is not null")
     total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     shards = max(1, -(-total // shard_bytes))
     if shards == 1:
-        return own.mapInArrow(_fused([tuple(r) for r in items.collect()], window), VERDICT)
+        return own.mapInArrow(_fused([tuple(r) for r in items.collect()], window), VERDICT + carried).select(*plain, *back)
     items = items.withColumn("shard", F.pmod(F.xxhash64("item", "text"), F.lit(shards)))
-    found = own.select("doc_id", "text", F.expr("cast(array() as array<int>) as spans"), F.expr("cast(array() as array<string>) as items"))
+    found = own.select("doc_id", "text", F.expr("cast(array() as array<int>) as spans"), F.expr("cast(array() as array<string>) as items"), *[f"carry_{c}" for c in carry])
     for i in range(shards):
         some = [tuple(r) for r in items.where(F.col("shard") == i).select("item", "text").collect()]
-        found = scratch.keep(found.mapInArrow(_search(some, window), "doc_id long, text string, spans array<int>, items array<string>"), "found")
-    return found.mapInArrow(_judged, VERDICT)
+        found = scratch.keep(found.mapInArrow(_search(some, window), "doc_id long, text string, spans array<int>, items array<string>" + carried), "found")
+    return found.mapInArrow(_judged, VERDICT + carried).select(*plain, *back)
 
 
 ORACLE = r"""

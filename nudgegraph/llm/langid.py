@@ -125,14 +125,15 @@ def learn(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang", mo
     return MixtureModel(langs, counts)
 
 
-def identify(docs: DataFrame, model: MixtureModel, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, held_out, lang_pred, score, mixture) for every row of ``docs``.
+def identify(docs: DataFrame, model: MixtureModel, *, id_col: str = "doc_id", text_col: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, held_out, lang_pred, score, mixture, *carry) for every row of ``docs``.
 
     ``lang_pred`` has the largest share of the chosen set of languages and
     ``score`` is that share; for a set of one it is the posterior among single
     languages. A null text, one without letters, or a model that learned
     nothing gives ``und`` with score 0 and an empty mixture. Ids only decide
-    ``held_out``, which is false for a null id. Other columns are ignored.
+    ``held_out``, which is false for a null id. Other columns than ``carry`` are
+    ignored.
     """
     langs, log = model.langs, model.log.T.astype(np.float32) if model.langs else None
     sent = docs.sparkSession.sparkContext.broadcast((langs, log, {}))
@@ -151,11 +152,13 @@ def identify(docs: DataFrame, model: MixtureModel, *, id_col: str = "doc_id", te
             rows = [judge.predict(t.as_py()) for t in batch.column(1)]
             out = [held_out(i) for i in batch.column(0).to_pylist()]
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(out, pa.bool_()), pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.float64()), pa.array([list(r[2].items()) for r in rows], pa.map_(pa.string(), pa.float64()))],
-                ["doc_id", "held_out", "lang_pred", "score", "mixture"],
+                [batch.column(0), pa.array(out, pa.bool_()), pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.float64()), pa.array([list(r[2].items()) for r in rows], pa.map_(pa.string(), pa.float64())), *batch.columns[2:]],
+                ["doc_id", "held_out", "lang_pred", "score", "mixture", *batch.schema.names[2:]],
             )
 
-    return need(docs, id_col, text_col).toDF("doc_id", "text").mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double, mixture map<string,double>")
+    own = need(docs, id_col, text_col, *carry).toDF("doc_id", "of", *carry)
+    carried = "".join(f", `{f.name}` {f.dataType.simpleString()}" for f in own.schema.fields[2:])
+    return own.mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double, mixture map<string,double>" + carried)
 
 
 def training_rows(docs: DataFrame) -> DataFrame:

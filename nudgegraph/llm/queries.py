@@ -8,7 +8,9 @@ from pyspark.sql import DataFrame, SparkSession
 
 from nudgegraph.llm import decontaminate as _decontaminate
 from nudgegraph.llm import neighbours as _neighbours
+from nudgegraph.llm import preferences as _preferences
 from nudgegraph.llm import substring as _substring
+from nudgegraph.llm import urlfilter as _urlfilter
 from nudgegraph.llm import warc as _warc
 from nudgegraph.llm.bpe import bpe_digests
 from nudgegraph.llm.langid import identify, learn, training_rows
@@ -43,6 +45,17 @@ def op5_warc_salvage(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _warc.warc_round_trip(_table(spark, sf_dir, "pages"), least_revisit=1000)
 
 
+def op6_dated_url_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = _table(spark, sf_dir, "pages")
+    judged = _urlfilter.filter_urls(_urlfilter.demo_captures(pages), _urlfilter.demo_entries(pages))
+    return judged.withColumn("fetched", judged.fetched.cast("string"))
+
+
+def op7_preference_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pairs = _preferences.format_preferences(_preferences.demo_pairs(_table(spark, sf_dir, "conversations")))
+    return pairs.withColumns({c: _preferences.spans_text(c) for c in ("chosen_mask", "rejected_mask")})
+
+
 def op9_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _decontaminate.decontaminate(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"), window=10)
 
@@ -57,6 +70,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_vantage_point_neighbours": op3_vantage_point_neighbours,
     "op4_language_mixture": op4_language_mixture,
     "op5_warc_salvage": op5_warc_salvage,
+    "op6_dated_url_lists": op6_dated_url_lists,
+    "op7_preference_pairs": op7_preference_pairs,
     "op9_benchmark_decontamination": op9_benchmark_decontamination,
     "op10_minhash_near_dedup": op10_minhash_near_dedup,
 }
@@ -65,5 +80,7 @@ ORACLES: dict[str, str] = {
     "op1_substring_dedup": _substring.ORACLE,
     "op3_vantage_point_neighbours": _neighbours.ORACLE,
     "op5_warc_salvage": _warc.ORACLE,
+    "op6_dated_url_lists": _urlfilter.ORACLE,
+    "op7_preference_pairs": _preferences.ORACLE,
     "op9_benchmark_decontamination": _decontaminate.ORACLE,
 }

@@ -119,7 +119,7 @@ def substring_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     firsts = spans.groupBy("span").agg(F.min("doc_id").alias("first_id"), F.count("*").alias("often")).where("often > 1").select("span", "first_id")
     hits = spans.join(firsts, "span").where(~F.col("doc_id").eqNullSafe(F.col("first_id")))
     hits = hits.groupBy("doc_id").agg(F.collect_list("start").alias("hits")).withColumnRenamed("doc_id", "of")
-    whole = docs.select(docs[id_col].alias("doc_id"), docs[text_col].alias("text"), *[docs[c] for c in carry])
+    whole = need(docs, id_col, text_col, *carry).toDF("doc_id", "text", *carry)
     found = whole.join(hits, F.col("doc_id").eqNullSafe(F.col("of")), "left").select("doc_id", "text", "hits", *carry)
     kinds = {f.name: f.dataType.simpleString() for f in whole.schema.fields}
     schema = "doc_id long, text string, n_sentences long, n_removed long" + "".join(f", `{c}` {kinds[c]}" for c in carry)
