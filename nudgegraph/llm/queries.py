@@ -14,6 +14,7 @@ from nudgegraph.llm import urlfilter as _urlfilter
 from nudgegraph.llm import warc as _warc
 from nudgegraph.llm.bpe import bpe_digests
 from nudgegraph.llm.langid import identify, learn, training_rows
+from nudgegraph.llm.mixlm import lm_scores
 from nudgegraph.llm.neardup import near_duplicates
 
 
@@ -56,6 +57,10 @@ def op7_preference_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pairs.withColumns({c: _preferences.spans_text(c) for c in ("chosen_mask", "rejected_mask")})
 
 
+def op8_logistic_mixing_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_scores(_table(spark, sf_dir, "documents"))
+
+
 def op9_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _decontaminate.decontaminate(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"), window=10)
 
@@ -72,6 +77,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op5_warc_salvage": op5_warc_salvage,
     "op6_dated_url_lists": op6_dated_url_lists,
     "op7_preference_pairs": op7_preference_pairs,
+    "op8_logistic_mixing_lm": op8_logistic_mixing_lm,
     "op9_benchmark_decontamination": op9_benchmark_decontamination,
     "op10_minhash_near_dedup": op10_minhash_near_dedup,
 }
