@@ -105,6 +105,33 @@ def _short(sketch: str) -> F.Column:
     return F.expr(f"transform({sketch}, x -> cast(x & 32767 as smallint))")
 
 
+def _first_links(batches: Iterator[pa.RecordBatch], front: int = 8) -> Iterator[pa.RecordBatch]:
+    """Of each inverted list: a link from a document to one it passes with.
+
+    Each is held against the ``front`` documents that others passed with last,
+    so a list of any length costs its length. What this misses, the full lists
+    find later.
+    """
+    left, right, bucket, tops = [], [], None, []
+    for batch in batches:
+        for key, node, _, least, sketch in zip(*[c.to_pylist() for c in batch.columns], strict=True):
+            if key != bucket:
+                bucket, tops = key, []
+            mine = set(sketch)
+            least -= len(sketch) - len(mine)
+            for i, (other, its_least, theirs) in enumerate(tops):
+                if len(mine & theirs) >= min(max(least, its_least), len(mine), len(theirs)):
+                    left.append(other)
+                    right.append(node)
+                    tops.insert(0, tops.pop(i))
+                    break
+            else:
+                tops.insert(len(tops) // 2, (node, least, mine))
+                del tops[front:]
+        yield pa.RecordBatch.from_arrays([pa.array(left, pa.int64()), pa.array(right, pa.int64())], ["a", "b"])
+        left, right = [], []
+
+
 def _spanning(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Of each inverted list: pairs that pass, enough to connect what they connect.
 
@@ -240,13 +267,13 @@ def near_duplicates(
         able = able.select("node", "least", _short("sketch").alias("sketch"))
         shared = scratch.keep(able.join(shared, "node").where(F.size("values") >= F.col("least")), "shared")
 
-        def spanning(lists: DataFrame) -> DataFrame:
+        def spanning(lists: DataFrame, how) -> DataFrame:
             lists = lists.select("bucket", "node", "label", "least", "sketch")
-            return lists.repartition("bucket").sortWithinPartitions("bucket", "node").mapInArrow(_spanning, "a long, b long")
+            return lists.repartition("bucket").sortWithinPartitions("bucket", "node").mapInArrow(how, "a long, b long")
 
         # first the lists of the two smallest shared values: most copies meet there
         two = F.expr("slice(array_sort(transform(values, x -> x.value)), 1, 2)")
-        early = components(spanning(shared.select("node", F.col("node").alias("label"), "least", "sketch", F.explode(two).alias("bucket"))))
+        early = components(spanning(shared.select("node", F.col("node").alias("label"), "least", "sketch", F.explode(two).alias("bucket")), _first_links))
         early = scratch.keep(early.withColumnRenamed("component", "label"), "early")
         # then all lists in which something isn't connected yet
         kept = shared.select("node", F.explode(F.expr("slice(values, 1, size(values) - least + 1)")).alias("v"))
@@ -257,7 +284,7 @@ def near_duplicates(
         split = kept.where(F.col("labels") > long_list).withColumn("rest", F.expr("filter(values, x -> x.value <> value)"))
         split = split.withColumn("w", F.explode(F.expr("slice(rest, 1, greatest(0, size(rest) - least + 2))"))).withColumn("bucket", F.xxhash64("value", "w.value"))
         columns = ["bucket", "node", "label", "least", "sketch"]
-        late = spanning(short.select(columns).unionByName(split.select(columns)))
+        late = spanning(short.select(columns).unionByName(split.select(columns)), _spanning)
         near = components(late.unionByName(early.select(F.col("node").alias("a"), F.col("label").alias("b"))))
         scratch.drop(early)
         near = scratch.keep(near, "near")
