@@ -2,9 +2,18 @@
 
 from __future__ import annotations
 
+from pyspark.sql import DataFrame, SparkSession
+
+from nudgegraph.workloads import networks
+
+_PARTS = [networks]
+
 QUERIES: dict = {}
 ORACLES: dict = {}
+for _part in _PARTS:
+    QUERIES |= _part.QUERIES
+    ORACLES |= _part.ORACLES
 
 
-def flagship(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/nation.parquet")
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return QUERIES["net_events_6h"](spark, sf_dir)
