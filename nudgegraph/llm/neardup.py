@@ -5,7 +5,7 @@
    and only one document of a class goes on.
 2. Inverted lists of retained values give candidates. Two sets above the
    similarity share at least ``T`` retained values (but for a chance below
-   1e-8), so a document posts none but its rarest values: all but the
+   ``LOST`` at the very border of similarity), so a document posts none but its rarest values: all but the
    ``T - 1`` most frequent. A list that is still long is split by a second
    value that both documents must share too.
 3. Inside a list, a pair passes when the sketch overlap reaches ``T``; lists
@@ -33,7 +33,7 @@ from nudgegraph.llm.text import need, shingle_set, words_of
 from nudgegraph.operators.components import components
 from nudgegraph.session import Scratch
 
-LOST = 1e-8
+LOST = 1e-6
 
 
 def least_overlap(k: int, num: int, den: int) -> int:
@@ -231,7 +231,7 @@ def _in_order(batches: Iterator[pa.RecordBatch]) -> Iterator[Iterator[tuple]]:
 
 
 def near_duplicates(
-    docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, num: int = 80, den: int = 100, k: int = 48, long_list: int = 1024, block: int = 8192
+    docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, num: int = 80, den: int = 100, k: int = 64, long_list: int = 1024, block: int = 8192
 ) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for every row of ``docs``.
 
