@@ -4,9 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from nudgegraph.workloads import networks
+from nudgegraph.workloads import networks, sampled
 
-_PARTS = [networks]
+_PARTS = [networks, sampled]
 
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -16,4 +16,4 @@ for _part in _PARTS:
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return QUERIES["net_events_6h"](spark, sf_dir)
+    return QUERIES["select_lower_bound_r"](spark, sf_dir)
