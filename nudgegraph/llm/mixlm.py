@@ -64,7 +64,7 @@ def held_out(doc_id: int | None) -> bool:
 
 
 class BitMixer:
-    """Predictor counts, gated weights and refinement over arrays of byte sequences."""
+    """Predictor counts, gated weights and refinement, as they are learned over arrays of byte sequences."""
 
     def __init__(self, n0: np.ndarray, n1: np.ndarray, weights: np.ndarray | None = None, refine: np.ndarray | None = None):
         self.n0, self.n1 = n0, n1
@@ -72,22 +72,23 @@ class BitMixer:
         self.refine = refine
 
     @staticmethod
-    def nodes(code: np.ndarray, bit: int) -> np.ndarray:
-        """Slots of the bit (7 is the first) in each order's table part: (ORDERS, n)."""
-        byte = code & 255
-        prefix = ((1 << (7 - bit)) | (byte >> (bit + 1))).astype(np.uint64)
-        out = np.empty((ORDERS, len(code)), np.int64)
+    def contexts(code: np.ndarray) -> list[np.ndarray]:
+        """For each order the hash of its context."""
         with np.errstate(over="ignore"):
-            for o in range(1, ORDERS + 1):
-                context = ((code >> 8) & ((1 << (8 * o)) - 1)).astype(np.uint64)
-                h = ((context * np.uint64(256) + prefix) * np.uint64(8) + np.uint64(o)) * _C1
-                out[o - 1] = (((h ^ (h >> np.uint64(32))) * _C2) >> np.uint64(64 - SLOT_BITS)).astype(np.int64)
-        return out
+            return [(((code >> 8) & ((1 << (8 * o)) - 1)).astype(np.uint64) * np.uint64(8) + np.uint64(o)) * _C1 for o in range(1, ORDERS + 1)]
+
+    @staticmethod
+    def slots(contexts: list[np.ndarray], code: np.ndarray, bit: int) -> list[np.ndarray]:
+        """For each order the slot of the bit (7 is the first) after the bits before it."""
+        prefix = ((1 << (7 - bit)) | ((code & 255) >> (bit + 1))).astype(np.uint64)
+        with np.errstate(over="ignore"):
+            turn = prefix * _C2
+            return [(((h ^ turn) * _C2) >> np.uint64(64 - SLOT_BITS)).astype(np.int64) for h in contexts]
 
     def inputs(self, code: np.ndarray, bit: int, leave_out: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(stretched predictions with a bias, gate, the bit itself) of one bit of all sequences."""
         y = ((code >> bit) & 1).astype(bool)
-        at = self.nodes(code, bit)
+        at = np.stack(self.slots(self.contexts(code), code, bit))
         n0, n1 = self.n0[at].astype(float), self.n1[at].astype(float)
         if leave_out:
             n1 = np.maximum(0, n1 - y)
@@ -106,7 +107,7 @@ class BitMixer:
     def mixed(self, x: np.ndarray, gate: np.ndarray) -> np.ndarray:
         return np.clip((x * self.weights[gate]).sum(1), -12, 12)
 
-    def learn_weights(self, code: np.ndarray, count: np.ndarray, rounds: int = 3, batch: int = 4096, rate: float = 0.05) -> None:
+    def learn_weights(self, code: np.ndarray, count: np.ndarray, rounds: int = 1, batch: int = 4096, rate: float = 0.05) -> None:
         """Online gradient steps, each gate at a pace of its own."""
         order = np.argsort((code.astype(np.uint64) * _C2) >> np.uint64(20), kind="stable")
         slope = np.full_like(self.weights, 1e-4)
@@ -136,20 +137,43 @@ class BitMixer:
         own = np.tile(centre, GATES)
         self.refine = (seen[1] + 32 * own) / (seen.sum(0) + 32)
 
-    def log2(self, code: np.ndarray) -> np.ndarray:
+    def scorer(self) -> BitScorer:
+        return BitScorer(*BitScorer.tables(self.n0, self.n1), self.weights, self.refine)
+
+
+class BitScorer:
+    """The learned model, ready to score: stretched predictions and seen classes by slot."""
+
+    def __init__(self, stretch: np.ndarray, seen: np.ndarray, weights: np.ndarray, refine: np.ndarray):
+        self.stretch, self.seen, self.weights, self.refine = stretch, seen, weights.astype(np.float32), refine
+
+    @staticmethod
+    def tables(n0: np.ndarray, n1: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        total = n0 + n1
+        seen = np.searchsorted(_SEEN4, total, "right") * (len(_SEEN3) + 1) + np.searchsorted(_SEEN3, total, "right")
+        return np.log((n1 + np.float32(0.05)) / (n0 + np.float32(0.05))).astype(np.float32), seen.astype(np.uint8)
+
+    def log2(self, codes: np.ndarray, block: int = 1 << 15) -> np.ndarray:
         """log2 of the probability of each sequence's last byte after the others."""
-        total = np.zeros(len(code))
-        for bit in range(7, -1, -1):
-            x, gate, y = self.inputs(code, bit)
-            m = self.mixed(x, gate)
-            p = 1 / (1 + np.exp(-m))
-            if self.refine is not None:
-                p = (p + self.refine[gate * (STEPS + 1) + self.bucket(m)]) / 2
-            p = np.clip(p, 1e-6, 1 - 1e-6)
-            total += np.log2(np.where(y, p, 1 - p))
-        return total
-
-    def log10_of(self, streams: list[bytes], chunk: int = 1 << 21) -> np.ndarray:
+        out, wide = np.empty(len(codes)), len(_SEEN3) + 1
+        for lo in range(0, len(codes), block):
+            code = codes[lo : lo + block]
+            contexts, total = BitMixer.contexts(code), np.zeros(len(code))
+            for bit in range(7, -1, -1):
+                at = BitMixer.slots(contexts, code, bit)
+                gate = (self.seen[at[-1]] // wide * wide + self.seen[at[-2]] % wide).astype(np.int64) * 8 + bit
+                weights = self.weights[gate]
+                m = weights[:, ORDERS] * np.float32(0.3)
+                for o in range(ORDERS):
+                    m += weights[:, o] * self.stretch[at[o]]
+                m = np.clip(m, -12, 12)
+                p = (1 / (1 + np.exp(-m)) + self.refine[gate * (STEPS + 1) + BitMixer.bucket(m)]) / 2
+                p = np.clip(p, 1e-6, 1 - 1e-6)
+                total += np.log2(np.where((code >> bit) & 1, p, 1 - p))
+            out[lo : lo + block] = total
+        return out
+
+    def log10_of(self, streams: list[bytes], chunk: int = 1 << 23) -> np.ndarray:
         """log10 probability of each stream; equal sequences are computed once a chunk."""
         out, lo = np.zeros(len(streams)), 0
         while lo < len(streams):
@@ -220,9 +244,10 @@ def _slot_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     n0, n1 = np.zeros(size), np.zeros(size)
     for batch in batches:
         code, count = batch.column(0).to_numpy(), batch.column(1).to_numpy().astype(float)
+        contexts = BitMixer.contexts(code)
         for bit in range(8):
-            at, y = BitMixer.nodes(code, bit), (code >> bit) & 1
-            for row in at:
+            y = (code >> bit) & 1
+            for row in BitMixer.slots(contexts, code, bit):
                 np.add.at(n1, row, count * y)
                 np.add.at(n0, row, count * (1 - y))
     used = np.flatnonzero(n0 + n1)
@@ -269,12 +294,20 @@ def train(docs: DataFrame, *, text_col: str = "text") -> BitMixer:
             yield pa.RecordBatch.from_arrays([pa.array([total.ravel().tolist()])], ["values"])
 
     parts = shared.mapInArrow(refinement, "values array<double>").collect()
+    sent.unpersist()
     model.set_refinement(sum((np.array(r["values"]) for r in parts), np.zeros(2 * GATES * (STEPS + 1))).reshape(2, -1))
     scratch.drop(shared)
     return model
 
 
-def lm_scores(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", frequent: int = 1 << 18) -> DataFrame:
+def _least_count(vocabulary: DataFrame, frequent: int) -> int:
+    """Least count that no more than ``frequent`` words reach; counts are few and grow apart."""
+    edges = [2**i for i in range(62)]
+    reach = vocabulary.agg(*[F.count_if(F.col("n") >= e).alias(str(e)) for e in edges]).first()
+    return next(e for e, some in zip([*edges, 1 << 62], [*reach, 0], strict=True) if some <= frequent)
+
+
+def lm_scores(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", frequent: int = 1 << 17) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, bits_per_byte) per row.
 
     Rows whose id's checksum is 0 modulo 10 are held out, all others teach; a
@@ -292,19 +325,22 @@ def lm_scores(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text"
     vocabulary = scratch.keep(teach.select("text").mapInArrow(_counted_words, "word string, n long").groupBy("word").agg(F.sum("n").alias("n")), "words")
     total, distinct = vocabulary.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     floor = total + 0.1 * (distinct + 1)
-    top = {r.word.encode(): r.n for r in vocabulary.orderBy(F.desc("n"), "word").limit(frequent).collect()}
+    least = _least_count(vocabulary, frequent)
+    often = vocabulary.where(F.col("n") >= least).toArrow()
+    top = {w.encode(): n for w, n in zip(often.column("word").to_pylist(), often.column("n").to_pylist(), strict=True)}
     complete = distinct <= len(top)
     model = train(teach)
-    sent = spark.sparkContext.broadcast((top, model.n0, model.n1, model.weights, model.refine))
+    sent = spark.sparkContext.broadcast((top, *BitScorer.tables(model.n0, model.n1), model.weights, model.refine))
+    del model
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         top, *tables = sent.value
-        judge, number = BitMixer(*tables), TaskContext.get().partitionId() << 40
+        judge, number = BitScorer(*tables), TaskContext.get().partitionId() << 40
         log = {w: math.log10((n + 0.1) / floor) for w, n in top.items()}
         never = math.log10(0.1 / floor)
         for whole in batches:
-            for lo in range(0, whole.num_rows, 1000):
-                batch = whole.slice(lo, 1000)
+            for lo in range(0, whole.num_rows, 2500):
+                batch = whole.slice(lo, 2500)
                 rows, rare, streams = [], [], []
                 for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                     words = words_of(text.as_py())
