@@ -119,7 +119,7 @@ def spread_exact(edges: list[tuple[int, int, float, float]], seeds: set[int], bo
     if len(edges) > most:
         raise ValueError(f"{len(edges)} edges have too many worlds")
     total = 0.0
-    for states in product((0, 1, 2), repeat=len(edges)):
+    for states in product(*[[s for s, c in enumerate((p, q - p, 1 - q)) if c > 0] for _, _, p, q in edges]):
         chance, passable, lub = 1.0, [], []
         for (u, v, p, q), state in zip(edges, states, strict=True):
             chance *= (p, q - p, 1 - q)[state]
