@@ -4,9 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from nudgegraph.workloads import networks, sampled
+from nudgegraph.workloads import heuristics, networks, sampled, streamq, treeq
 
-_PARTS = [networks, sampled]
+_PARTS = [networks, sampled, heuristics, treeq, streamq]
 
 QUERIES: dict = {}
 ORACLES: dict = {}
