@@ -4,9 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from nudgegraph.workloads import heuristics, networks, sampled, streamq, treeq
+from nudgegraph.workloads import heuristics, networks, sampled, streamq, toolkit, treeq
 
-_PARTS = [networks, sampled, heuristics, treeq, streamq]
+_PARTS = [networks, sampled, heuristics, treeq, streamq, toolkit]
 
 QUERIES: dict = {}
 ORACLES: dict = {}

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
@@ -74,8 +75,6 @@ class _TreeReader(DataSourceReader):
 
 def sketch_activates(boost: list[int]):
     """Column function (root, edges) -> boolean for a set to boost."""
-    import pandas as pd
-
     chosen = set(boost)
 
     @F.pandas_udf("boolean")
@@ -87,8 +86,6 @@ def sketch_activates(boost: list[int]):
 
 def sketch_marginal_nodes(boost: list[int]):
     """Column function (root, edges) -> nodes that newly activate the root."""
-    import pandas as pd
-
     chosen = set(boost)
 
     @F.pandas_udf("array<bigint>")
