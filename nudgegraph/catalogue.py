@@ -4,9 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from nudgegraph.workloads import heuristics, networks, sampled, streamq, toolkit, treeq
+from nudgegraph.workloads import experiments, heuristics, networks, sampled, streamq, toolkit, treeq
 
-_PARTS = [networks, sampled, heuristics, treeq, streamq, toolkit]
+_PARTS = [networks, sampled, heuristics, treeq, streamq, toolkit, experiments]
 
 QUERIES: dict = {}
 ORACLES: dict = {}
