@@ -45,17 +45,28 @@ def stream(words: list[bytes]) -> bytes:
     return b" ".join(words) + END
 
 
-def grams(streams: list[bytes]) -> np.ndarray:
-    """Every byte with the ORDERS bytes before it; end bytes stand before a stream."""
+def _padded(streams: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Every byte with the ORDERS bytes before it, streams apart by ORDERS end bytes; and the streams' bounds.
+
+    What lies between the bounds of two streams belongs to neither.
+    """
     pad = END * ORDERS
-    a = np.frombuffer(b"".join([pad + s for s in streams]), np.uint8).astype(np.int64)
+    a = np.frombuffer(b"".join([pad + s for s in streams]), np.uint8)
     code = np.zeros(len(a) - ORDERS, np.int64)
     for j in range(ORDERS + 1):
-        code = (code << 8) | a[j : len(a) - ORDERS + j]
-    ends = np.cumsum([len(s) + ORDERS for s in streams])
+        code <<= 8
+        code |= a[j : len(a) - ORDERS + j]
+    size = np.array([len(s) for s in streams], np.int64)
+    start = np.cumsum(size + ORDERS) - size - ORDERS
+    return code, np.stack([start, start + size], 1)
+
+
+def grams(streams: list[bytes]) -> np.ndarray:
+    """Every byte with the ORDERS bytes before it; end bytes stand before a stream."""
+    code, bounds = _padded(streams)
     keep = np.ones(len(code), bool)
-    for e in ends[:-1]:
-        keep[e - ORDERS : e] = False
+    for i in range(len(bounds) - 1):
+        keep[bounds[i, 1] : bounds[i + 1, 0]] = False
     return code[keep]
 
 
@@ -145,7 +156,8 @@ class BitScorer:
     """The learned model, ready to score: stretched predictions and seen classes by slot."""
 
     def __init__(self, stretch: np.ndarray, seen: np.ndarray, weights: np.ndarray, refine: np.ndarray):
-        self.stretch, self.seen, self.weights, self.refine = stretch, seen, weights.astype(np.float32), refine
+        self.stretch, self.seen, self.weights, self.refine = stretch, seen, weights.astype(np.float32), refine.astype(np.float32)
+        self.known, self.known_bits = np.empty(0, np.int64), np.empty(0, np.float32)
 
     @staticmethod
     def tables(n0: np.ndarray, n1: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -173,18 +185,43 @@ class BitScorer:
             out[lo : lo + block] = total
         return out
 
-    def log10_of(self, streams: list[bytes], chunk: int = 1 << 23) -> np.ndarray:
-        """log10 probability of each stream; equal sequences are computed once a chunk."""
+    def recalled(self, codes: np.ndarray, most: int = 2_000_000) -> np.ndarray:
+        """As ``log2`` for distinct sequences; those met lately aren't computed again."""
+        order = np.argsort(codes)
+        sorted_ = codes[order]
+        at = np.searchsorted(self.known, sorted_)
+        at[at == len(self.known)] = 0
+        old = self.known[at] == sorted_ if len(self.known) else np.zeros(len(codes), bool)
+        bits = np.empty(len(codes), np.float32)
+        if len(self.known):
+            bits[old] = self.known_bits[at[old]]
+        new = ~old
+        bits[new] = self.log2(sorted_[new])
+        if len(self.known) + int(new.sum()) > most:
+            self.known, self.known_bits = sorted_, bits.copy()
+        else:
+            place = np.searchsorted(self.known, sorted_[new])
+            self.known, self.known_bits = np.insert(self.known, place, sorted_[new]), np.insert(self.known_bits, place, bits[new])
+        out = np.empty(len(codes), np.float32)
+        out[order] = bits
+        return out
+
+    def log10_of(self, streams: list[bytes], chunk: int = 1 << 22) -> np.ndarray:
+        """log10 probability of each stream, a chunk of streams at a time."""
         out, lo = np.zeros(len(streams)), 0
         while lo < len(streams):
             hi, size = lo, 0
             while hi < len(streams) and (hi == lo or size + len(streams[hi]) <= chunk):
                 size += len(streams[hi])
                 hi += 1
-            at, unique = pd.factorize(grams(streams[lo:hi]))
-            bits = self.log2(unique)[at]
-            bounds = np.cumsum([0, *map(len, streams[lo:hi])])
-            out[lo:hi] = np.add.reduceat(bits, bounds[:-1]) * math.log10(2)
+            code, bounds = _padded(streams[lo:hi])
+            at, unique = pd.factorize(code)
+            del code
+            bits = self.recalled(unique)[at]
+            del at
+            # the last bound may be the end of all, which no sum starts at
+            sums = np.add.reduceat(bits, bounds.ravel()[:-1], dtype=np.float64)[::2]
+            out[lo:hi] = sums * math.log10(2)
             lo = hi
         return out
 
@@ -223,7 +260,7 @@ def _counted_grams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
         for text in batch.column(0):
             streams.append(stream(words_of(text.as_py())))
             size += len(streams[-1])
-            if size > 8 << 20:
+            if size > 4 << 20:
                 held, streams, size = merged(held, streams), [], 0
         if streams:
             held = merged(held, streams)
@@ -339,23 +376,21 @@ def lm_scores(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text"
         log = {w: math.log10((n + 0.1) / floor) for w, n in top.items()}
         never = math.log10(0.1 / floor)
         for whole in batches:
-            for lo in range(0, whole.num_rows, 2500):
-                batch = whole.slice(lo, 2500)
+            for lo in range(0, whole.num_rows, 1250):
+                batch = whole.slice(lo, 1250)
                 rows, rare, streams = [], [], []
                 for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                     words = words_of(text.as_py())
                     streams.append(stream(words))
-                    base = known = 0
-                    for w in (*words, b""):
-                        v = log.get(w)
-                        if v is not None:
-                            base += v
-                            known += 1
-                        elif complete:
-                            base += never
-                        else:
-                            rare.append((number, w.decode("utf-8", "replace")))
-                    rows.append((number, doc_id, held_out(doc_id), len(words) + 1, known, float(base), len(streams[-1])))
+                    words.append(b"")
+                    values = list(map(log.get, words))
+                    lost = values.count(None)
+                    base = sum(v for v in values if v is not None) if lost else sum(values)
+                    if lost and complete:
+                        base += lost * never
+                    elif lost:
+                        rare += [(number, w.decode("utf-8", "replace")) for w, v in zip(words, values, strict=True) if v is None]
+                    rows.append((number, doc_id, held_out(doc_id), len(words), len(words) - lost, float(base), len(streams[-1])))
                     number += 1
                 score = judge.log10_of(streams)
                 n, m = len(rows), len(rare)
