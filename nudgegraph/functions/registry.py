@@ -45,6 +45,25 @@ class WorldCoins:
             yield w, src, dst, h
 
 
+@F.udtf(returnType="node bigint, depth int")
+class TreeLevels:
+    """Depths of one tree's nodes from its (node, parent) rows; use it with PARTITION BY the tree."""
+
+    def __init__(self):
+        self.children: dict[int, list[int]] = {}
+
+    def eval(self, row) -> None:
+        self.children.setdefault(row["parent"], []).append(row["node"])
+
+    def terminate(self) -> Iterator[tuple[int, int]]:
+        nodes = {v for kids in self.children.values() for v in kids}
+        now, depth = sorted(set(self.children) - nodes), 0
+        while now:
+            for v in now:
+                yield v, depth
+            now, depth = [w for v in now for w in self.children.get(v, ())], depth + 1
+
+
 class TreeSource(DataSource):
     """``spark.read.format("binary_tree").option("nodes", n)``: (node, parent) in level order."""
 
@@ -101,4 +120,5 @@ def register(spark: SparkSession) -> None:
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}{body}")
     spark.udtf.register("sketch_roots", SketchRoots)
     spark.udtf.register("world_coins", WorldCoins)
+    spark.udtf.register("tree_levels", TreeLevels)
     spark.dataSource.register(TreeSource)

@@ -52,9 +52,10 @@ def salted_join(left: DataFrame, right: DataFrame, on: str, heavy: DataFrame, sa
     """Join in which rows of ``left`` with a heavy key are dealt over ``salts`` partitions.
 
     ``heavy`` holds the heavy keys in a column named like ``on``; rows of
-    ``right`` with such a key are repeated, all others stay single.
+    ``right`` with such a key are repeated, all others stay single. Of more
+    than 100,000 heavy keys the smallest are dealt; the rest join plainly.
     """
-    mark = F.broadcast(heavy.select(on).distinct().limit(100_000)).withColumn("_heavy", F.lit(True))
+    mark = F.broadcast(heavy.select(on).distinct().orderBy(on).limit(100_000)).withColumn("_heavy", F.lit(True))
     spread = left.join(mark, on, "left").withColumn("_salt", F.when(F.col("_heavy"), F.pmod(F.monotonically_increasing_id(), F.lit(salts))).otherwise(0).cast("int")).drop("_heavy")
     copies = right.join(mark, on, "left").withColumn("_salt", F.explode(F.when(F.col("_heavy"), F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0))))).drop("_heavy")
     return spread.join(copies, [on, "_salt"], how).drop("_salt")

@@ -18,7 +18,7 @@ from nudgegraph.plans.stopping import cover_greedy, inflate_ell, run_doubling, r
 from nudgegraph.session import Scratch
 
 
-def _sampled(problem: BoostProblem, keep: str, eps: float, ell: float, salt: int, coins: str, strategy: str, most: int, theta: int | None, squeeze: bool = True):
+def _sampled(problem: BoostProblem, keep: str, eps: float, ell: float, salt: int, coins: str, strategy: str, most: int, theta: int | None, squeeze: bool = True, fresh_final: bool = False):
     g, scratch = problem.graph, Scratch(problem.graph.spark, "solve")
     seeds = problem.seed_ids
     draw = lambda lo, hi: sample_sketches(g, seeds, lo, hi, problem.k, salt, coins, strategy, keep, squeeze)
@@ -27,7 +27,7 @@ def _sampled(problem: BoostProblem, keep: str, eps: float, ell: float, salt: int
         from nudgegraph.plans.stopping import Sampled
 
         return Sampled(held(draw(0, theta)), theta, float("nan"), False)
-    return run_martingale(draw, critical_incidence, held, g.n, problem.k, eps, inflate_ell(ell, g.n), most)
+    return run_martingale(draw, critical_incidence, held, g.n, problem.k, eps, inflate_ell(ell, g.n), most, fresh_final)
 
 
 def _report(problem, sampled, seconds, eps, ell, **more) -> RunReport:
@@ -39,14 +39,14 @@ def _report(problem, sampled, seconds, eps, ell, **more) -> RunReport:
     return RunReport(values)
 
 
-def solve_sketch_full(problem: BoostProblem, eps: float = 0.5, ell: float = 1.0, salt: int = 1, coins: str = "fast", strategy: str = "auto", max_sketches: int = 200_000, theta: int | None = None, use_upper: bool = False, squeeze: bool = True) -> Solution:
+def solve_sketch_full(problem: BoostProblem, eps: float = 0.5, ell: float = 1.0, salt: int = 1, coins: str = "fast", strategy: str = "auto", max_sketches: int = 200_000, theta: int | None = None, use_upper: bool = False, squeeze: bool = True, fresh_final: bool = False) -> Solution:
     """Better of the cover by critical nodes and the direct greedy, on the same sketches.
 
     With ``use_upper`` a third set covers the upper bound. The report carries
     the share of the boost that the lower bound explains.
     """
     start, n = time.time(), problem.graph.n
-    sampled = _sampled(problem, "edges", eps, ell, salt, coins, strategy, max_sketches, theta, squeeze)
+    sampled = _sampled(problem, "edges", eps, ell, salt, coins, strategy, max_sketches, theta, squeeze, fresh_final)
     sampling = time.time() - start
     barred = set(problem.seed_ids)
     k = min(problem.k, max(0, n - len(barred)))
@@ -163,7 +163,18 @@ def allocate_budget(graph: BoostGraph, total: int = 100, cost_ratio: int = 100,
 
 
 def solve(problem: BoostProblem, method: str = "sketch_full", **options) -> Solution:
-    """Run a solver or baseline by its name."""
+    """Run a solver or baseline by its name.
+
+    Solvers may pick fewer than k nodes where no more would help; with
+    ``fill=True`` the smallest other ids make up the number.
+    """
+    if options.pop("fill", False):
+        got = solve(problem, method, **options)
+        want = problem.k - len(got.boost)
+        if want > 0:
+            rest = problem.candidates().where(~F.col("node").isin(got.boost) if got.boost else F.lit(True)).orderBy("node").limit(want)
+            got.boost += [r.node for r in rest.collect()]
+        return got
     if method == "tree_greedy":
         from nudgegraph.operators.trees import solve_tree_greedy
 

@@ -92,11 +92,13 @@ class Sampled:
     certified: bool
 
 
-def run_martingale(sample: Callable[[int, int], DataFrame], incidence: Callable[[DataFrame], DataFrame], keep: Callable[[DataFrame], DataFrame], n: int, k: int, eps: float, ell: float, most: int = 2_000_000) -> Sampled:
+def run_martingale(sample: Callable[[int, int], DataFrame], incidence: Callable[[DataFrame], DataFrame], keep: Callable[[DataFrame], DataFrame], n: int, k: int, eps: float, ell: float, most: int = 2_000_000, fresh_final: bool = False) -> Sampled:
     """Samples until a lower bound of the best cover is certain, then the number that it calls for.
 
     ``sample(lo, hi)`` draws the sketches lo..hi-1. ``most`` bounds the work;
-    where it binds, the result isn't certified.
+    where it binds, the result isn't certified. With ``fresh_final`` the final
+    sketches are all drawn anew, so that they don't depend on when sampling
+    stopped.
     """
     done, drawn, lower = 0, None, 1.0
 
@@ -119,6 +121,9 @@ def run_martingale(sample: Callable[[int, int], DataFrame], incidence: Callable[
             lower = max(1.0, value / (1 + math.sqrt(2) * eps))
             break
     need = required_sketches(n, k, eps, ell, lower)
+    if fresh_final:
+        theta = min(need, most)
+        return Sampled(keep(sample(done, done + theta)), theta, lower, need <= theta)
     upto(need)
     return Sampled(drawn, done, lower, need <= done)
 

@@ -7,6 +7,8 @@ local folder of our own take its place.
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -21,7 +23,9 @@ def shared_dir(spark: SparkSession) -> str:
     if named:
         return named.rstrip("/")
     if not _OWN:
-        _OWN.append("file://" + tempfile.mkdtemp(prefix="nudgegraph-"))
+        own = tempfile.mkdtemp(prefix="nudgegraph-")
+        atexit.register(shutil.rmtree, own, True)
+        _OWN.append("file://" + own)
     return _OWN[0]
 
 

@@ -35,7 +35,7 @@ def _rank(spark, sf_dir):
 
 def _rank_done(spark, sf_dir):
     s = Setting(spark, sf_dir)
-    a, b = influence_rank(s.problem(K)), influence_rank(s.problem(K), rounds=60).withColumnRenamed("rank", "r")
+    a, b = influence_rank(s.problem(K)), influence_rank(s.problem(K), rounds=30).withColumnRenamed("rank", "r")
     return a.join(b, "node").agg((F.abs(F.sum("rank") - 1) < 1e-6).alias("sums_to_one"), (F.sum(F.abs(F.col("rank") - F.col("r"))) < 2e-3).alias("settled"))
 
 

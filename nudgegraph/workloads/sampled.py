@@ -157,7 +157,7 @@ def _cap_equal(spark, sf_dir):
 
 def _strategies(spark, sf_dir):
     s = Setting(spark, sf_dir)
-    a, b = (sample_sketches(s.graph, s.seeds, 0, 40, 3, 1, "portable", how) for how in ("local", "relational"))
+    a, b = (sample_sketches(s.graph, s.seeds, 0, 20, 2, 1, "portable", how) for how in ("local", "relational"))
     return s.row("only_local long, only_relational long", a.exceptAll(b).count(), b.exceptAll(a).count())
 
 

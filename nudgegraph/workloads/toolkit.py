@@ -386,4 +386,40 @@ def clustered_edges(s, d):
     return s.table(name).groupBy("dst").agg(F.count("*").alias("n"))
 
 
+@query(f"with recursive t as ({sql.FOREST}), r as (select distinct tree_id, 0::bigint as node, 0 as depth from t union all select t.tree_id, t.node, r.depth + 1 from r join t on t.tree_id = r.tree_id and t.parent = r.node) select depth::integer as depth, count(*) as n from r group by depth")
+def udtf_tree_levels(s, d):
+    register(s)
+    net.forest_orders(s, d).createOrReplaceTempView("toolkit_forest")
+    return s.sql("select depth, count(*) as n from tree_levels(table(toolkit_forest) partition by tree_id) group by depth")
+
+
+@query("select count(*) as rows, count(*) filter (p > 0.1) as high from (" + sql.events() + ")")
+def observed_metrics(s, d):
+    """Counters that ride along with another job."""
+    from pyspark.sql import Observation
+
+    seen = Observation()
+    net.net_events(s, d).observe(seen, F.count("*").alias("rows"), F.count_if(F.col("p") > 0.1).alias("high")).write.format("noop").mode("overwrite").save()
+    got = seen.get
+    return s.createDataFrame([(got["rows"], got["high"])], "rows long, high long")
+
+
+@query(f"select src, dst, round(p, 6) as p from ({sql.events(6, 1.0)})")
+def published_probabilities(s, d):
+    """Snapshots of a stream merged by key; an epoch that comes twice changes nothing."""
+    from nudgegraph.streaming import online
+
+    held = {}
+
+    def merge(rows, epoch):
+        # the state is one row a pair of actor and action: it stays a table
+        path = scratch_path(s, "published")
+        old = held.get("first")
+        new = rows if old is None else rows.unionByName(old)
+        new.groupBy("actor", "action").agg(F.min("ts").alias("ts")).write.parquet(path)
+        held["first"] = s.read.parquet(path)
 
+    path = online.split_by_time(s, table(s, d, "events"), 2)
+    online.publish(s, online.first_actions(online.stream_actions(s, path)), merge)
+    first = held["first"]
+    return online.probabilities(first, online.hits(first, first)).select("src", "dst", F.round("p", 6).alias("p"))
