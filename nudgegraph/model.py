@@ -9,6 +9,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from nudgegraph.session import Scratch
+
 EDGES = T.StructType([T.StructField("src", T.LongType()), T.StructField("dst", T.LongType()), T.StructField("p", T.DoubleType()), T.StructField("q", T.DoubleType())])
 SKETCHES = (
     "sketch long, root long, category string, edges array<struct<src:long,dst:long,live:boolean>>, critical array<long>,"
@@ -80,7 +82,8 @@ class BoostGraph:
 
     @cached_property
     def nodes(self) -> DataFrame:
-        return dense_nodes(self.edges)
+        """(node, idx), written once: every search and baseline starts from it."""
+        return Scratch(self.spark, "graph").keep(dense_nodes(self.edges), "nodes")
 
     @cached_property
     def n(self) -> int:

@@ -75,22 +75,19 @@ def influence_rank(problem: BoostProblem, restart: float = 0.15, tol: float = 1e
     n = graph.n
     into = graph.edges.groupBy(F.col("dst").alias("u")).agg(F.sum("p").alias("rho"))
     moves = scratch.keep(graph.edges.select(F.col("dst").alias("u"), F.col("src").alias("v"), "p").join(into, "u").select("u", "v", (F.col("p") / F.col("rho")).alias("w")), "moves")
-    sinks = into.select(F.col("u").alias("node"))
-    rank = graph.nodes.select("node", F.lit(1.0 / n).alias("rank"))
-    for i in range(rounds or most):
-        lost = rank.join(sinks, "node", "left_anti").agg(F.coalesce(F.sum("rank"), F.lit(0.0))).first()[0]
-        flow = moves.join(rank.withColumnRenamed("node", "u"), "u").groupBy(F.col("v").alias("node")).agg(F.sum(F.col("w") * F.col("rank")).alias("flow"))
-        base = restart / n + (1 - restart) * lost / n
-        new = graph.nodes.select("node").join(flow, "node", "left").select("node", (F.lit(base) + (1 - restart) * F.coalesce("flow", F.lit(0.0))).alias("rank"))
+    start = graph.nodes.select("node").join(into.select(F.col("u").alias("node"), F.lit(True).alias("in_")), "node", "left")
+    rank = scratch.keep(start.select("node", F.col("in_").isNull().alias("sink"), F.lit(1.0 / n).alias("rank"), F.lit(0.0).alias("old")), "rank")
+    for _ in range(rounds or most):
+        seen = rank.agg(F.sum(F.abs(F.col("rank") - F.col("old"))).alias("change"), F.coalesce(F.sum(F.when(F.col("sink"), F.col("rank"))), F.lit(0.0)).alias("lost")).first()
+        if rounds is None and seen.change <= tol:
+            break
+        flow = moves.join(rank.select(F.col("node").alias("u"), "rank"), "u").groupBy(F.col("v").alias("node")).agg(F.sum(F.col("w") * F.col("rank")).alias("flow"))
+        base = restart / n + (1 - restart) * seen.lost / n
+        new = rank.join(flow, "node", "left").select("node", "sink", (F.lit(base) + (1 - restart) * F.coalesce("flow", F.lit(0.0))).alias("rank"), F.col("rank").alias("old"))
         new = scratch.keep(new, "rank")
-        if rounds is None:
-            change = new.withColumnRenamed("rank", "r").join(rank, "node").agg(F.sum(F.abs(F.col("r") - F.col("rank")))).first()[0]
-            if change <= tol:
-                return new
-        if i:
-            scratch.drop(rank)
+        scratch.drop(rank)
         rank = new
-    return rank
+    return rank.select("node", "rank")
 
 
 def influence_rank_pick(problem: BoostProblem, **options) -> list[int]:
