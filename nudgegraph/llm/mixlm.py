@@ -206,7 +206,7 @@ class BitScorer:
         out[order] = bits
         return out
 
-    def log10_of(self, streams: list[bytes], chunk: int = 1 << 22) -> np.ndarray:
+    def log10_of(self, streams: list[bytes], chunk: int = 1 << 21) -> np.ndarray:
         """log10 probability of each stream, a chunk of streams at a time."""
         out, lo = np.zeros(len(streams)), 0
         while lo < len(streams):
@@ -237,7 +237,7 @@ def _counted_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
         for text in batch.column(0):
             seen.update(words_of(text.as_py()))
         seen[b""] += batch.num_rows
-        if len(seen) > 400_000:
+        if len(seen) > 300_000:
             yield out()
             seen.clear()
     if seen:
@@ -245,15 +245,21 @@ def _counted_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
 
 
 def _counted_grams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    held = pd.Series(dtype=np.int64)
+    """Byte sequences of this task's texts with their counts, summed as long as they fit."""
+    held: list[tuple[np.ndarray, np.ndarray]] = []
 
-    def out(held):
-        return pa.RecordBatch.from_arrays([pa.array(held.index.to_numpy(np.int64)), pa.array(held.to_numpy(np.int64))], ["gram", "n"])
+    def summed(held):
+        codes, at = np.unique(np.concatenate([c for c, _ in held]), return_inverse=True)
+        return codes, np.bincount(at, np.concatenate([n for _, n in held]), len(codes)).astype(np.int64)
 
-    def merged(held, streams):
+    def out(codes, counts):
+        return pa.RecordBatch.from_arrays([pa.array(codes), pa.array(counts)], ["gram", "n"])
+
+    def taken(streams):
         at, unique = pd.factorize(grams(streams))
-        new = pd.Series(np.bincount(at, minlength=len(unique)), index=unique)
-        return new if held.empty else held.add(new, fill_value=0).astype(np.int64)
+        held.append((unique, np.bincount(at, minlength=len(unique))))
+        if sum(len(c) for c, _ in held) > 1_500_000:
+            held[:] = [summed(held)]
 
     for batch in batches:
         streams, size = [], 0
@@ -261,14 +267,14 @@ def _counted_grams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
             streams.append(stream(words_of(text.as_py())))
             size += len(streams[-1])
             if size > 4 << 20:
-                held, streams, size = merged(held, streams), [], 0
+                taken(streams)
+                streams, size = [], 0
         if streams:
-            held = merged(held, streams)
-        if len(held) > 1_000_000:
-            yield out(held)
-            held = pd.Series(dtype=np.int64)
-    if not held.empty:
-        yield out(held)
+            taken(streams)
+        if len(held) == 1 and len(held[0][0]) > 1_000_000:
+            yield out(*held.pop())
+    if held:
+        yield out(*summed(held))
 
 
 def _joined(batches: Iterator[pa.RecordBatch]) -> tuple[np.ndarray, np.ndarray]:
