@@ -293,10 +293,10 @@ def _slot_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for row in BitMixer.slots(contexts, code, bit):
                 np.add.at(n1, row, count * y)
                 np.add.at(n0, row, count * (1 - y))
-    used = np.flatnonzero(n0 + n1)
-    for lo in range(0, len(used), 500_000):
-        some = used[lo : lo + 500_000]
-        yield pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array(n0[some]), pa.array(n1[some])], ["slot", "n0", "n1"])
+    for lo in range(0, size, 1 << 18):
+        a, b = n0[lo : lo + (1 << 18)], n1[lo : lo + (1 << 18)]
+        used = np.flatnonzero(a + b)
+        yield pa.RecordBatch.from_arrays([pa.array(used + lo, pa.int32()), pa.array(a[used]), pa.array(b[used])], ["slot", "n0", "n1"])
 
 
 def train(docs: DataFrame, *, text_col: str = "text") -> BitMixer:
@@ -370,16 +370,16 @@ def lm_scores(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text"
     floor = total + 0.1 * (distinct + 1)
     least = _least_count(vocabulary, frequent)
     often = vocabulary.where(F.col("n") >= least).toArrow()
-    top = {w.encode(): n for w, n in zip(often.column("word").to_pylist(), often.column("n").to_pylist(), strict=True)}
-    complete = distinct <= len(top)
+    # of the frequent words the workers need the logarithm only
+    log = {w.encode(): math.log10((n + 0.1) / floor) for w, n in zip(often.column("word").to_pylist(), often.column("n").to_pylist(), strict=True)}
+    complete = distinct <= len(log)
     model = train(teach)
-    sent = spark.sparkContext.broadcast((top, *BitScorer.tables(model.n0, model.n1), model.weights, model.refine))
+    sent = spark.sparkContext.broadcast((log, *BitScorer.tables(model.n0, model.n1), model.weights, model.refine))
     del model
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        top, *tables = sent.value
+        log, *tables = sent.value
         judge, number = BitScorer(*tables), TaskContext.get().partitionId() << 40
-        log = {w: math.log10((n + 0.1) / floor) for w, n in top.items()}
         never = math.log10(0.1 / floor)
         for whole in batches:
             for lo in range(0, whole.num_rows, 1250):
