@@ -155,9 +155,11 @@ class BitMixer:
 class BitScorer:
     """The learned model, ready to score: stretched predictions and seen classes by slot."""
 
+    RECALL = 21
+
     def __init__(self, stretch: np.ndarray, seen: np.ndarray, weights: np.ndarray, refine: np.ndarray):
         self.stretch, self.seen, self.weights, self.refine = stretch, seen, weights.astype(np.float32), refine.astype(np.float32)
-        self.known, self.known_bits = np.empty(0, np.int64), np.empty(0, np.float32)
+        self.known, self.known_bits = np.full(1 << self.RECALL, -1, np.int64), np.zeros(1 << self.RECALL, np.float32)
 
     @staticmethod
     def tables(n0: np.ndarray, n1: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -185,26 +187,19 @@ class BitScorer:
             out[lo : lo + block] = total
         return out
 
-    def recalled(self, codes: np.ndarray, most: int = 2_000_000) -> np.ndarray:
-        """As ``log2`` for distinct sequences; those met lately aren't computed again."""
-        order = np.argsort(codes)
-        sorted_ = codes[order]
-        at = np.searchsorted(self.known, sorted_)
-        at[at == len(self.known)] = 0
-        old = self.known[at] == sorted_ if len(self.known) else np.zeros(len(codes), bool)
-        bits = np.empty(len(codes), np.float32)
-        if len(self.known):
-            bits[old] = self.known_bits[at[old]]
-        new = ~old
-        bits[new] = self.log2(sorted_[new])
-        if len(self.known) + int(new.sum()) > most:
-            self.known, self.known_bits = sorted_, bits.copy()
-        else:
-            place = np.searchsorted(self.known, sorted_[new])
-            self.known, self.known_bits = np.insert(self.known, place, sorted_[new]), np.insert(self.known_bits, place, bits[new])
-        out = np.empty(len(codes), np.float32)
-        out[order] = bits
-        return out
+    def recalled(self, codes: np.ndarray) -> np.ndarray:
+        """As ``log2``; each slot of a table keeps the sequence met last, so most aren't computed again."""
+        with np.errstate(over="ignore"):
+            slot = ((codes.view(np.uint64) * _C1) >> np.uint64(64 - self.RECALL)).view(np.int64)
+        bits = self.known_bits[slot]
+        new = np.flatnonzero(self.known[slot] != codes)
+        if len(new):
+            at, unique = pd.factorize(codes[new])
+            fresh = self.log2(unique).astype(np.float32)
+            bits[new] = fresh[at]
+            place = slot[new]
+            self.known[place], self.known_bits[place] = codes[new], bits[new]
+        return bits
 
     def log10_of(self, streams: list[bytes], chunk: int = 1 << 21) -> np.ndarray:
         """log10 probability of each stream, a chunk of streams at a time."""
@@ -215,10 +210,7 @@ class BitScorer:
                 size += len(streams[hi])
                 hi += 1
             code, bounds = _padded(streams[lo:hi])
-            at, unique = pd.factorize(code)
-            del code
-            bits = self.recalled(unique)[at]
-            del at
+            bits = self.recalled(code)
             # the last bound may be the end of all, which no sum starts at
             sums = np.add.reduceat(bits, bounds.ravel()[:-1], dtype=np.float64)[::2]
             out[lo:hi] = sums * math.log10(2)
