@@ -12,7 +12,6 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from nudgegraph.functions.coins import coin, root_array, root_coin, threshold
 from nudgegraph.model import SKETCHES, SUPER, BoostGraph
