@@ -250,10 +250,15 @@ def near_duplicates(
     t = least_overlap(k, num, den)
     scratch = Scratch(docs.sparkSession, "neardup")
     own = need(docs, id_col, text_col).toDF("doc_id", "text")
-    info = scratch.keep(own.mapInArrow(_sets(shingle, k), "doc_id long, n_shingles long, digest binary, sketch array<bigint>"), "sets")
-    some = info.where("doc_id is not null and n_shingles > 0")
+    sets = scratch.keep(own.mapInArrow(_sets(shingle, k), "doc_id long, n_shingles long, digest binary, sketch array<bigint>"), "sets")
+    some = sets.where("doc_id is not null and n_shingles > 0")
     classes = scratch.keep(some.groupBy("digest").agg(F.min("doc_id").alias("node"), F.first("n_shingles").alias("n"), F.first("sketch").alias("sketch")), "classes")
 
+    # sketches are no longer needed by row, and by class only until the lists are done
+    info = scratch.keep(sets.select("doc_id", "n_shingles", "digest"), "info")
+    scratch.drop(sets)
+    names = scratch.keep(classes.select("digest", "node"), "names")
+
     # sets below this size are like none but their equals
     smallest = -(-num // (den - num)) if num < den else None
     if smallest is None:
@@ -286,8 +291,8 @@ def near_duplicates(
         columns = ["bucket", "node", "label", "least", "sketch"]
         late = spanning(short.select(columns).unionByName(split.select(columns)), _spanning)
         near = components(late.unionByName(early.select(F.col("node").alias("a"), F.col("label").alias("b"))))
-        scratch.drop(early)
         near = scratch.keep(near, "near")
+        scratch.drop(early, shared, classes)
         sizes = near.groupBy("component").agg(F.ceil(F.count("*") / block).alias("blocks"))
         placed = near.join(sizes, "component").withColumn("mine", F.pmod(F.xxhash64("node"), F.col("blocks")))
         placed = placed.select("node", "component", "mine", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"))
@@ -297,11 +302,10 @@ def near_duplicates(
         links = texts.mapInArrow(_confirmed(shingle, k, t, num, den), "a long, b long")
         linked = components(links)
 
-    names = classes.select("digest", "node")
     if linked is not None:
         names = names.join(linked, "node", "left").select("digest", F.coalesce("component", "node").alias("class_id"))
     else:
         names = names.withColumnRenamed("node", "class_id")
-    out = info.select("doc_id", "n_shingles", "digest").join(names.withColumnRenamed("digest", "of"), (F.col("digest") == F.col("of")) & (F.col("n_shingles") > 0), "left")
+    out = info.join(names.withColumnRenamed("digest", "of"), (F.col("digest") == F.col("of")) & (F.col("n_shingles") > 0), "left")
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("class_id", "doc_id"))
     return out.select("doc_id", "n_shingles", component.alias("component_id")).withColumn("kept", F.expr("doc_id <=> component_id"))
