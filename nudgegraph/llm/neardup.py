@@ -309,3 +309,20 @@ def near_duplicates(
     out = info.join(names.withColumnRenamed("digest", "of"), (F.col("digest") == F.col("of")) & (F.col("n_shingles") > 0), "left")
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("class_id", "doc_id"))
     return out.select("doc_id", "n_shingles", component.alias("component_id")).withColumn("kept", F.expr("doc_id <=> component_id"))
+
+
+ORACLE = r"""
+with recursive w as (
+  select doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') as w from documents
+), s as materialized (
+  select distinct doc_id, w[i] || case when len(w) > 1 then ' ' || w[i + 1] else '' end as s
+  from (select doc_id, w, unnest(range(1, greatest(len(w), 2))) as i from w where len(w) > 0)
+), n as materialized (select doc_id, count(*) as n from s group by doc_id),
+both_ as (select a.doc_id as x, b.doc_id as y, count(*) as n from s a join s b on a.s = b.s and a.doc_id < b.doc_id group by a.doc_id, b.doc_id),
+links as materialized (
+  select b.x, b.y from both_ b join n p on p.doc_id = b.x join n q on q.doc_id = b.y where 100 * b.n >= 80 * (p.n + q.n - b.n)
+), sides as materialized (select x as a, y as b from links union all select y, x from links),
+reach as (select doc_id as d, doc_id as o from n union select sides.b, reach.o from reach join sides on sides.a = reach.d)
+select w.doc_id, coalesce(n.n, 0)::bigint as n_shingles, coalesce(c.o, w.doc_id) as component_id, coalesce(c.o, w.doc_id) = w.doc_id as kept
+from w left join n on n.doc_id = w.doc_id left join (select d, min(o) as o from reach group by d) c on c.d = w.doc_id
+"""

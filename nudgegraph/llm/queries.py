@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from nudgegraph.llm import decontaminate as _decontaminate
+from nudgegraph.llm import neardup as _neardup
 from nudgegraph.llm import neighbours as _neighbours
 from nudgegraph.llm import preferences as _preferences
 from nudgegraph.llm import substring as _substring
@@ -15,7 +16,6 @@ from nudgegraph.llm import warc as _warc
 from nudgegraph.llm.bpe import bpe_digests
 from nudgegraph.llm.langid import identify, learn, training_rows
 from nudgegraph.llm.mixlm import lm_scores
-from nudgegraph.llm.neardup import near_duplicates
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -66,7 +66,7 @@ def op9_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
 
 
 def op10_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return near_duplicates(_table(spark, sf_dir, "documents"), shingle=2, num=80, den=100)
+    return _neardup.near_duplicates(_table(spark, sf_dir, "documents"), shingle=2, num=80, den=100)
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
@@ -89,4 +89,5 @@ ORACLES: dict[str, str] = {
     "op6_dated_url_lists": _urlfilter.ORACLE,
     "op7_preference_pairs": _preferences.ORACLE,
     "op9_benchmark_decontamination": _decontaminate.ORACLE,
+    "op10_minhash_near_dedup": _neardup.ORACLE,
 }

@@ -78,3 +78,11 @@ def test_threshold_loses_less_than_stated():
 def test_shingle_count(words, width):
     want = {tuple(words[i : i + width]) for i in range(len(words) - width + 1)} if len(words) >= width else ({tuple(words)} if words else set())
     assert len(shingle_set(words, width)) == len(want)
+
+
+def test_sql_twin(spark, sf, duck):
+    from helpers import same_rows
+
+    from nudgegraph.llm import neardup
+
+    same_rows(near_duplicates(spark.read.parquet(f"{sf}/documents.parquet"), shingle=2), duck.sql(neardup.ORACLE))
