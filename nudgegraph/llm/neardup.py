@@ -33,7 +33,7 @@ from nudgegraph.llm.text import need, shingle_set, words_of
 from nudgegraph.operators.components import components
 from nudgegraph.session import Scratch
 
-LOST = 1e-6
+LOST = 1e-8
 
 
 def least_overlap(k: int, num: int, den: int) -> int:
