@@ -16,6 +16,8 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 REST = ("lang", "source", "n_chars")
 #: a document goes if no language has this share of it
 LEAST_SHARE = 0.3
+#: a passage of so many words that an earlier document holds is cut out, wherever its sentences end
+PASSAGE = 50
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -32,7 +34,7 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Repeated passages are cut out; documents of which nothing is left go."""
-    cut = substring_dedup(docs, carry=REST)
+    cut = substring_dedup(docs, run=PASSAGE, carry=REST)
     left = F.regexp_like("text", F.lit(r"[^\x20\x09-\x0D]"))
     return cut.where((F.col("n_removed") == 0) | left).withColumn("n_chars", F.length("text").cast("long")).select(*COLUMNS)
 

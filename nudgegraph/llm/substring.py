@@ -10,6 +10,12 @@ A repeat inside a document is seen there and then, so each document sends each
 span once. The join needs the smallest document of a span only, which partial
 aggregation finds before the shuffle; a span in a third of all documents is a
 skewed join key that adaptive execution splits.
+
+Runs of a given number of words are a second rule, blind to sentences: all
+words go that lie in a run which an earlier place holds. The mark of a run is
+the least hash of the short shingles in it, so equal runs have equal marks and
+most neighbouring runs share theirs. Marks are joined first; only runs whose
+mark occurs in two documents are hashed and joined themselves.
 """
 
 from __future__ import annotations
@@ -17,14 +23,18 @@ from __future__ import annotations
 import re
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nudgegraph.llm.text import need
+from nudgegraph.llm.text import need, words_of
 
 TILE = r"[^.!?\n]*[.!?\n]+|[^.!?\n]+"
+_WORD = re.compile(r"[^\x20\x09-\x0D]+")
+_BASE, _MASK = 0x9E3779B97F4A7C15, (1 << 64) - 1
+_BACK = pow(_BASE, -1, 1 << 64)
 
 
 def _tiles(text: str | None) -> tuple[list[str], list[int], list[bytes], list[int]]:
@@ -54,6 +64,104 @@ def _spans(digest: list[bytes], size: list[int], sentences: int, words: int) ->
     return out
 
 
+def _runs(text: str | None, run: int) -> tuple[np.ndarray, np.ndarray]:
+    """(mark, hash) of the run of ``run`` words from each word on."""
+    words = words_of(text)
+    n = len(words)
+    if n < run:
+        return np.empty(0, np.int64), np.empty(0, np.int64)
+    h = np.fromiter(map(xxhash.xxh3_64_intdigest, words), np.uint64, n)
+    with np.errstate(over="ignore"):
+        up = np.cumprod(np.full(n, _BASE, np.uint64), dtype=np.uint64)
+        back = np.cumprod(np.full(n, _BACK, np.uint64), dtype=np.uint64)
+        sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(h * up, dtype=np.uint64)])
+
+        def hashed(width: int) -> np.ndarray:
+            x = (sums[width:] - sums[:-width]) * back[: n - width + 1]
+            x = (x ^ (x >> np.uint64(32))) * np.uint64(0xBF58476D1CE4E5B9)
+            return (x ^ (x >> np.uint64(29))).view(np.int64)
+
+        short = max(1, run * 2 // 5)
+        least, wide, most = hashed(short), 1, run - short + 1
+        while wide < most:
+            step = min(wide, most - wide)
+            least, wide = np.minimum(least[:-step], least[step:]), wide + step
+        return least, hashed(run)
+
+
+def _marks_here(run: int):
+    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            marks, ids, held = [], [], 0
+
+            def out(marks=marks, ids=ids):
+                ids = [pa.array([i] * len(m), pa.int64()) for i, m in zip(ids, marks, strict=True)]
+                return pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.empty(0, np.int64), *marks])), pa.concat_arrays(ids) if ids else pa.array([], pa.int64())], ["mark", "doc_id"])
+
+            for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                marks.append(np.unique(_runs(text.as_py(), run)[0]))
+                ids.append(doc_id)
+                held += len(marks[-1])
+                if held > 200_000:
+                    yield out()
+                    marks.clear(), ids.clear()
+                    held = 0
+            yield out()
+
+    return go
+
+
+def _marked_runs(run: int):
+    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for doc_id, text, marks in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2), strict=True):
+                mark, whole = _runs(text.as_py(), run)
+                found = np.unique(whole[np.isin(mark, marks.values.to_numpy())])
+                for lo in range(0, len(found), 200_000):
+                    some = found[lo : lo + 200_000]
+                    yield pa.RecordBatch.from_arrays([pa.array(some), pa.array([doc_id] * len(some), pa.int64())], ["run", "doc_id"])
+
+    return go
+
+
+def _held_before(rows: DataFrame, key: str) -> DataFrame:
+    """Rows of (key, doc_id, ...) whose key a row of a smaller doc_id has too."""
+    firsts = rows.groupBy(key).agg(F.min("doc_id").alias("first_id"), F.count("*").alias("often")).where("often > 1").select(key, "first_id")
+    return rows.join(firsts, key).where(~F.col("doc_id").eqNullSafe(F.col("first_id")))
+
+
+def _run_hits(own: DataFrame, run: int) -> DataFrame:
+    """(run_of, runs): each document's hashes of runs that an earlier document holds."""
+    marks = own.mapInArrow(_marks_here(run), "mark long, doc_id long")
+    shared = marks.join(marks.groupBy("mark").agg(F.count("*").alias("often")).where("often > 1").select("mark"), "mark")
+    shared = shared.groupBy("doc_id").agg(F.collect_set("mark").alias("marks")).withColumnRenamed("doc_id", "of")
+    asked = own.join(shared, F.col("doc_id").eqNullSafe(F.col("of"))).select("doc_id", "text", "marks")
+    runs = asked.mapInArrow(_marked_runs(run), "run long, doc_id long")
+    return _held_before(runs, "run").groupBy("doc_id").agg(F.collect_set("run").alias("runs")).withColumnRenamed("doc_id", "run_of")
+
+
+def _covered(text: str | None, hits: np.ndarray, run: int) -> list[tuple[int, int]]:
+    """Bounds in ``text`` of the words in runs that are in ``hits`` or lie wholly after an equal one here."""
+    _, whole = _runs(text, run)
+    if not len(whole):
+        return []
+    gone = np.isin(whole, hits)
+    if len(whole) > run:
+        _, first, same = np.unique(whole, return_index=True, return_inverse=True)
+        gone |= np.arange(len(whole)) - first[same] >= run
+    starts = np.flatnonzero(gone)
+    if not len(starts):
+        return []
+    places = [m.span() for m in _WORD.finditer(text)]
+    out, lo, hi = [], starts[0], starts[0] + run
+    for at in starts[1:]:
+        if at > hi:
+            out.append((places[lo][0], places[hi - 1][1]))
+            lo = at
+        hi = at + run
+    return [*out, (places[lo][0], places[hi - 1][1])]
+
+
 def _first_here(sentences: int, words: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -79,11 +187,30 @@ def _first_here(sentences: int, words: int):
     return run
 
 
-def _without(sentences: int, words: int):
+def _less(tiles: list[str], covered: list[tuple[int, int]]) -> tuple[list[str], set[int]]:
+    """The tiles without what is covered, and those of them that lost their last word by it."""
+    out, emptied, begin, c = [], set(), 0, 0
+    for i, tile in enumerate(tiles):
+        end, at, left = begin + len(tile), begin, []
+        while c < len(covered) and covered[c][0] < end:
+            left.append(tile[at - begin : max(at, covered[c][0]) - begin])
+            at = max(at, min(end, covered[c][1]))
+            if covered[c][1] > end:
+                break
+            c += 1
+        left.append(tile[at - begin :])
+        out.append("".join(left))
+        if at > begin and not _WORD.search(out[-1]):
+            emptied.add(i)
+        begin = end
+    return out, emptied
+
+
+def _without(sentences: int, words: int, length: int | None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts, count, gone_count = [], [], []
-            for text, hits in zip(batch.column(1), batch.column(2), strict=True):
+            for text, hits, runs in zip(batch.column(1), batch.column(2), batch.column(3), strict=True):
                 text, hits = text.as_py(), set(hits.as_py() or ())
                 tiles, at, digest, size = _tiles(text)
                 seen, gone, upto = set(), set(), 0
@@ -93,20 +220,28 @@ def _without(sentences: int, words: int):
                         upto = end
                     seen.add(h)
                 cut = {at[i] for i in gone}
+                covered = _covered(text, np.array(runs.as_py() or (), np.int64), length) if length else []
+                if covered:
+                    tiles, emptied = _less(tiles, covered)
+                    gone.update(i for i, t in enumerate(at) if t in emptied)
+                    text = "".join(tiles)
                 texts.append(None if text is None else "".join(t for i, t in enumerate(tiles) if i not in cut) if cut else text)
                 count.append(len(at))
                 gone_count.append(len(gone))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string()), pa.array(count, pa.int64()), pa.array(gone_count, pa.int64()), *batch.columns[3:]], ["doc_id", "text", "n_sentences", "n_removed", *batch.schema.names[3:]])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string()), pa.array(count, pa.int64()), pa.array(gone_count, pa.int64()), *batch.columns[4:]], ["doc_id", "text", "n_sentences", "n_removed", *batch.schema.names[4:]])
 
     return run
 
 
-def substring_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", sentences: int = 2, words: int = 20, carry: tuple[str, ...] = ()) -> DataFrame:
+def substring_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", sentences: int = 2, words: int = 20, run: int | None = None, carry: tuple[str, ...] = ()) -> DataFrame:
     """(doc_id, text, n_sentences, n_removed, *carry) for every row of ``docs``.
 
     ``text`` is what stays of the text, ``n_sentences`` and ``n_removed`` count
     sentences before and removed. Words lie between ASCII white space and are
-    compared with A-Z lower-cased; pieces without words always stay.
+    compared with A-Z lower-cased; pieces without words always stay. With
+    ``run``, words go too that lie in a run of that many words which an earlier
+    document, or an earlier place that it doesn't overlap, holds, wherever the
+    sentences end; a sentence counts as removed when its last word goes.
 
     A null text stays null; empty texts stay empty; a document that is removed
     whole keeps its row with an empty text. Rows that repeat a ``doc_id`` count
@@ -116,14 +251,15 @@ def substring_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     """
     own = need(docs, id_col, text_col).toDF("doc_id", "text")
     spans = own.mapInArrow(_first_here(sentences, words), "span long, doc_id long, start int")
-    firsts = spans.groupBy("span").agg(F.min("doc_id").alias("first_id"), F.count("*").alias("often")).where("often > 1").select("span", "first_id")
-    hits = spans.join(firsts, "span").where(~F.col("doc_id").eqNullSafe(F.col("first_id")))
-    hits = hits.groupBy("doc_id").agg(F.collect_list("start").alias("hits")).withColumnRenamed("doc_id", "of")
+    hits = _held_before(spans, "span").groupBy("doc_id").agg(F.collect_list("start").alias("hits")).withColumnRenamed("doc_id", "of")
     whole = need(docs, id_col, text_col, *carry).toDF("doc_id", "text", *carry)
-    found = whole.join(hits, F.col("doc_id").eqNullSafe(F.col("of")), "left").select("doc_id", "text", "hits", *carry)
+    found = whole.join(hits, F.col("doc_id").eqNullSafe(F.col("of")), "left")
+    if run:
+        found = found.join(_run_hits(own, run), F.col("doc_id").eqNullSafe(F.col("run_of")), "left")
+    found = found.select("doc_id", "text", "hits", F.col("runs") if run else F.lit(None).cast("array<long>").alias("runs"), *carry)
     kinds = {f.name: f.dataType.simpleString() for f in whole.schema.fields}
     schema = "doc_id long, text string, n_sentences long, n_removed long" + "".join(f", `{c}` {kinds[c]}" for c in carry)
-    return found.mapInArrow(_without(sentences, words), schema)
+    return found.mapInArrow(_without(sentences, words, run), schema)
 
 
 ORACLE = r"""

@@ -1,6 +1,9 @@
+import random
+
 from helpers import same_rows
 
 from nudgegraph.llm import substring
+from nudgegraph.llm.text import words_of
 
 
 def test_sql_twin(spark, sf, duck):
@@ -27,3 +30,23 @@ def test_odd_rows(odd, none):
     by = {r.doc_id: r for r in out.collect()}
     assert by[1].text is None and by[2].text == "" and by[3].text == " \n\t " and by[3].n_sentences == 0
     assert substring.substring_dedup(none).count() == 0
+
+
+def _varied(rng, n):
+    return " ".join("".join(rng.choices("abcdefghij", k=6)) for _ in range(n))
+
+
+def test_runs_without_regard_to_sentences(spark):
+    rng = random.Random(5)
+    passage, cut = _varied(rng, 60), _varied(rng, 25) + ". " + _varied(rng, 35)
+    rows = [
+        (1, f"{_varied(rng, 30)}. {passage.capitalize()}. {_varied(rng, 9)}."), (2, f"{_varied(rng, 8)}.\n{passage}. {_varied(rng, 8)}."),
+        (3, f"{_varied(rng, 12)} {cut} {_varied(rng, 12)}"), (4, f"{_varied(rng, 7)} {cut}\t{_varied(rng, 5)} {_varied(rng, 100)}"),
+        (None, f"{_varied(rng, 3)} {passage} {_varied(rng, 3)}"), (5, f"{passage[: passage.index(' ', 330)]} {_varied(rng, 20)}"),
+    ]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert all(r.text == dict(rows)[r.doc_id] for r in substring.substring_dedup(docs).collect())
+    out = {r.doc_id: r for r in substring.substring_dedup(docs, run=50).collect()}
+    assert all(out[i].text == dict(rows)[i] and out[i].n_removed == 0 for i in (1, 3, 5)), "48 words or a first place stay"
+    assert out[2].text == rows[1][1].replace(passage + ".", "") and out[2].n_removed == 1
+    assert len(words_of(out[4].text)) == 7 + 5 + 100 and len(words_of(out[None].text)) == 3 + 3 + 1, "the last word of the passage has no full stop there"
