@@ -3,8 +3,10 @@
 A text is the sequence of its words (A-Z lower-cased, between ASCII white
 space), written with one blank after each word but the last, and an end byte.
 Every bit is predicted by several contexts, the last 1 to ``ORDERS`` bytes, each
-with counts in a table of fixed size that hashes of the context and of the bits
-so far address. The predictions are mixed in the logistic domain with weights
+with counts in a table that hashes of the context and of the bits so far
+address; it has ``ROOM`` slots for each distinct node (context and bits so far)
+of the training part, so that it is no fuller for a large corpus. Workers read
+it from the shared folder; it doesn't pass through the driver. The predictions are mixed in the logistic domain with weights
 that a gate chooses by bit position and by how much the longest contexts have
 seen; an adaptive map from mixed to observed probability refines the result.
 The product over all bits is the probability of the sequence.
@@ -12,8 +14,8 @@ The product over all bits is the probability of the sequence.
 Learning gathers byte sequences of the whole training part with their counts,
 a table that grows with the corpus, and works on that: predictor counts are
 sums over it, weights are learned online over it with each sequence's own
-count left out, and the refinement is counted over it. A worker holds fixed
-tables and one shard of the sequences at a time.
+count left out, and the refinement is counted over it. A worker holds the
+table and one shard of the sequences at a time.
 """
 
 from __future__ import annotations
@@ -26,14 +28,19 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.parquet as pq
+from pyarrow import fs
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from nudgegraph.llm.text import need, words_of
-from nudgegraph.session import Scratch
+from nudgegraph.llm.warc import _store
+from nudgegraph.session import Scratch, delete_path
 
-ORDERS, SLOT_BITS, STEPS = 5, 22, 24
+ORDERS, STEPS = 5, 24
+#: slots for each distinct node, and the least number of slots
+ROOM, LEAST_SLOTS = 2, 1 << 12
 END = b"\n"
 _C1, _C2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 # longest context's and next one's counts, each in classes with these borders
@@ -74,10 +81,15 @@ def held_out(doc_id: int | None) -> bool:
     return doc_id is not None and zlib.crc32(str(doc_id).encode()) % 10 == 0
 
 
+def slot_of(node: np.ndarray, size: int) -> np.ndarray:
+    """The slot of each node's hash: its upper 31 bits as a share of ``size``, which is under 2^31."""
+    return (((node >> np.uint64(33)) * np.uint64(size)) >> np.uint64(31)).view(np.int64)
+
+
 class BitMixer:
     """Predictor counts, gated weights and refinement, as they are learned over arrays of byte sequences."""
 
-    def __init__(self, n0: np.ndarray, n1: np.ndarray, weights: np.ndarray | None = None, refine: np.ndarray | None = None):
+    def __init__(self, n0: np.ndarray | None, n1: np.ndarray | None, weights: np.ndarray | None = None, refine: np.ndarray | None = None):
         self.n0, self.n1 = n0, n1
         self.weights = np.full((GATES, ORDERS + 1), 0.3) if weights is None else weights
         self.refine = refine
@@ -89,17 +101,22 @@ class BitMixer:
             return [(((code >> 8) & ((1 << (8 * o)) - 1)).astype(np.uint64) * np.uint64(8) + np.uint64(o)) * _C1 for o in range(1, ORDERS + 1)]
 
     @staticmethod
-    def slots(contexts: list[np.ndarray], code: np.ndarray, bit: int) -> list[np.ndarray]:
-        """For each order the slot of the bit (7 is the first) after the bits before it."""
+    def nodes(contexts: list[np.ndarray], code: np.ndarray, bit: int) -> list[np.ndarray]:
+        """For each order the hash of the bit's (7 is the first) context and of the bits before it."""
         prefix = ((1 << (7 - bit)) | ((code & 255) >> (bit + 1))).astype(np.uint64)
         with np.errstate(over="ignore"):
             turn = prefix * _C2
-            return [(((h ^ turn) * _C2) >> np.uint64(64 - SLOT_BITS)).astype(np.int64) for h in contexts]
+            return [(h ^ turn) * _C2 for h in contexts]
+
+    @staticmethod
+    def slots(contexts: list[np.ndarray], code: np.ndarray, bit: int, size: int) -> list[np.ndarray]:
+        """For each order the slot of the bit's node in a table of ``size`` slots."""
+        return [slot_of(h, size) for h in BitMixer.nodes(contexts, code, bit)]
 
     def inputs(self, code: np.ndarray, bit: int, leave_out: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(stretched predictions with a bias, gate, the bit itself) of one bit of all sequences."""
         y = ((code >> bit) & 1).astype(bool)
-        at = np.stack(self.slots(self.contexts(code), code, bit))
+        at = np.stack(self.slots(self.contexts(code), code, bit, len(self.n0)))
         n0, n1 = self.n0[at].astype(float), self.n1[at].astype(float)
         if leave_out:
             n1 = np.maximum(0, n1 - y)
@@ -174,7 +191,7 @@ class BitScorer:
             code = codes[lo : lo + block]
             contexts, total = BitMixer.contexts(code), np.zeros(len(code))
             for bit in range(7, -1, -1):
-                at = BitMixer.slots(contexts, code, bit)
+                at = BitMixer.slots(contexts, code, bit, len(self.stretch))
                 gate = (self.seen[at[-1]] // wide * wide + self.seen[at[-2]] % wide).astype(np.int64) * 8 + bit
                 weights = self.weights[gate]
                 m = weights[:, ORDERS] * np.float32(0.3)
@@ -274,41 +291,74 @@ def _joined(batches: Iterator[pa.RecordBatch]) -> tuple[np.ndarray, np.ndarray]:
     return (np.concatenate([g for g, _ in got]), np.concatenate([n for _, n in got])) if got else (np.empty(0, np.int64), np.empty(0, np.int64))
 
 
-def _slot_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    size = 1 << SLOT_BITS
-    n0, n1 = np.zeros(size), np.zeros(size)
+def _node_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Nodes of this task's sequences with how often a 0 and a 1 came next, summed as long as they fit."""
+    held: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+
+    def summed():
+        nodes, at = np.unique(np.concatenate([h[0] for h in held]), return_inverse=True)
+        return nodes, *(np.bincount(at, np.concatenate([h[j] for h in held]), len(nodes)) for j in (1, 2))
+
+    def out(nodes, n0, n1):
+        for lo in range(0, len(nodes), 1 << 18):
+            some = slice(lo, lo + (1 << 18))
+            yield pa.RecordBatch.from_arrays([pa.array(nodes[some].view(np.int64)), pa.array(n0[some]), pa.array(n1[some])], ["node", "n0", "n1"])
+
     for batch in batches:
         code, count = batch.column(0).to_numpy(), batch.column(1).to_numpy().astype(float)
         contexts = BitMixer.contexts(code)
         for bit in range(8):
             y = (code >> bit) & 1
-            for row in BitMixer.slots(contexts, code, bit):
-                np.add.at(n1, row, count * y)
-                np.add.at(n0, row, count * (1 - y))
-    for lo in range(0, size, 1 << 18):
-        a, b = n0[lo : lo + (1 << 18)], n1[lo : lo + (1 << 18)]
-        used = np.flatnonzero(a + b)
-        yield pa.RecordBatch.from_arrays([pa.array(used + lo, pa.int32()), pa.array(a[used]), pa.array(b[used])], ["slot", "n0", "n1"])
+            held += [(nodes, count * (1 - y), count * y) for nodes in BitMixer.nodes(contexts, code, bit)]
+        if sum(len(h[0]) for h in held) > 1_500_000:
+            held[:] = [summed()]
+        if len(held) == 1 and len(held[0][0]) > 1_000_000:
+            yield from out(*held.pop())
+    if held:
+        yield from out(*summed())
 
 
-def train(docs: DataFrame, *, text_col: str = "text") -> BitMixer:
-    """The model of all rows of ``docs``; null texts count as empty ones."""
+#: the table that this process read last, by path and form
+_HELD: dict[tuple[str, bool], tuple[np.ndarray, np.ndarray]] = {}
+
+
+def _table_of(path: str, size: int, ready: bool) -> tuple[np.ndarray, np.ndarray]:
+    """The written counts as (n0, n1) by slot, or ``ready`` to score; an empty slot is all zeros in both."""
+    if (path, ready) not in _HELD:
+        _HELD.clear()
+        store, root = _store(path)
+        table = np.zeros(size, np.float32), np.zeros(size, np.uint8 if ready else np.float32)
+        for info in store.get_file_info(fs.FileSelector(root)):
+            if info.base_name.endswith(".parquet"):
+                with store.open_input_file(info.path) as f:
+                    for batch in pq.ParquetFile(f).iter_batches(1 << 18):
+                        at, n0, n1 = (batch.column(j).to_numpy() for j in range(3))
+                        table[0][at], table[1][at] = BitScorer.tables(n0, n1) if ready else (n0, n1)
+        _HELD[path, ready] = table
+    return _HELD[path, ready]
+
+
+def _learn(docs: DataFrame, text_col: str) -> tuple[str, int, BitMixer]:
+    """Path and number of slots of the table of counts, and the model without it."""
     spark = docs.sparkSession
     scratch = Scratch(spark, "mixlm")
     counted = need(docs, text_col).mapInArrow(_counted_grams, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
-    # sequences that share the three bytes before the last meet, so most slots are summed where they are found
+    # sequences that share the three bytes before the last meet, so most nodes are summed where they are found
     shared = scratch.keep(counted.repartition(F.expr("shiftright(gram, 8) & 16777215")), "grams")
-    slots = shared.mapInArrow(_slot_counts, "slot int, n0 double, n1 double").groupBy("slot").agg(F.sum("n0").cast("float").alias("n0"), F.sum("n1").cast("float").alias("n1")).toArrow()
-    n0, n1 = (np.zeros(1 << SLOT_BITS, np.float32) for _ in range(2))
-    at = slots.column("slot").to_numpy()
-    n0[at], n1[at] = slots.column("n0").to_numpy(), slots.column("n1").to_numpy()
-    model = BitMixer(n0, n1)
-    sent = spark.sparkContext.broadcast((n0, n1))
+    nodes = scratch.keep(shared.mapInArrow(_node_counts, "node long, n0 double, n1 double").groupBy("node").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1")), "nodes")
+    size = max(LEAST_SLOTS, ROOM * nodes.count())
+    if size >= 1 << 31:
+        raise ValueError(f"{size} slots are more than a worker's table can have")
+    slot = F.shiftrightunsigned(F.shiftrightunsigned("node", 33) * F.lit(size), 31).cast("int").alias("slot")
+    slots = scratch.keep(nodes.groupBy(slot).agg(F.sum("n0").cast("float").alias("n0"), F.sum("n1").cast("float").alias("n1")), "slots")
+    path = scratch.paths[id(slots)]
+    scratch.drop(nodes)
+    model = BitMixer(None, None)
 
     def weights(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         code, count = _joined(batches)
         if len(code):
-            mine = BitMixer(*sent.value)
+            mine = BitMixer(*_table_of(path, size, False))
             mine.learn_weights(code, count.astype(float))
             yield pa.RecordBatch.from_arrays([pa.array([float(count.sum())]), pa.array([mine.weights.ravel().tolist()])], ["n", "values"])
 
@@ -321,7 +371,7 @@ def train(docs: DataFrame, *, text_col: str = "text") -> BitMixer:
     chosen = model.weights
 
     def refinement(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        mine, total = BitMixer(*sent.value, chosen), None
+        mine, total = BitMixer(*_table_of(path, size, False), chosen), None
         for batch in batches:
             part = mine.count_refinement(batch.column(0).to_numpy(), batch.column(1).to_numpy().astype(float))
             total = part if total is None else total + part
@@ -329,9 +379,17 @@ def train(docs: DataFrame, *, text_col: str = "text") -> BitMixer:
             yield pa.RecordBatch.from_arrays([pa.array([total.ravel().tolist()])], ["values"])
 
     parts = shared.mapInArrow(refinement, "values array<double>").collect()
-    sent.unpersist()
     model.set_refinement(sum((np.array(r["values"]) for r in parts), np.zeros(2 * GATES * (STEPS + 1))).reshape(2, -1))
     scratch.drop(shared)
+    return path, size, model
+
+
+def train(docs: DataFrame, *, text_col: str = "text") -> BitMixer:
+    """The model of all rows of ``docs``; null texts count as empty ones."""
+    path, size, model = _learn(docs, text_col)
+    model.n0, model.n1 = _table_of(path, size, False)
+    _HELD.clear()
+    delete_path(docs.sparkSession, path)
     return model
 
 
@@ -365,13 +423,12 @@ def lm_scores(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text"
     # of the frequent words the workers need the logarithm only
     log = {w.encode(): math.log10((n + 0.1) / floor) for w, n in zip(often.column("word").to_pylist(), often.column("n").to_pylist(), strict=True)}
     complete = distinct <= len(log)
-    model = train(teach)
-    sent = spark.sparkContext.broadcast((log, *BitScorer.tables(model.n0, model.n1), model.weights, model.refine))
-    del model
+    path, size, model = _learn(teach, "text")
+    sent = spark.sparkContext.broadcast((log, model.weights, model.refine))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        log, *tables = sent.value
-        judge, number = BitScorer(*tables), TaskContext.get().partitionId() << 40
+        log, *learned = sent.value
+        judge, number = BitScorer(*_table_of(path, size, True), *learned), TaskContext.get().partitionId() << 40
         never = math.log10(0.1 / floor)
         for whole in batches:
             for lo in range(0, whole.num_rows, 1250):
@@ -401,6 +458,7 @@ def lm_scores(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text"
                 )
 
     judged = scratch.keep(own.mapInArrow(run, "row long, doc_id long, held_out boolean, n_tokens long, known long, base double, score double, n_bytes long, word string"), "judged")
+    delete_path(spark, path)
     rows = judged.where("word is null")
     asked = judged.where("word is not null").select("row", "word")
     found = asked.join(vocabulary, "word", "left")

@@ -1,4 +1,5 @@
 import math
+import random
 import zlib
 from collections import Counter
 
@@ -57,3 +58,10 @@ def test_odd_rows(odd, none):
     assert out[1].n_tokens == out[2].n_tokens == out[3].n_tokens == 1
     assert all(abs(out[i].base_score - want[i][3]) < 1e-6 * max(1, abs(want[i][3])) for i in out)
     assert lm_scores(none).count() == 0
+
+
+def test_table_grows_with_the_corpus(spark):
+    rng = random.Random(3)
+    for size in (2_000, 200_000):
+        model = train(spark.createDataFrame([("".join(rng.choices("abcdefghijklmnopqrstuvwxyz ", k=size)),)], "text string"))
+        assert ((model.n0 + model.n1) > 0).mean() < 0.41
