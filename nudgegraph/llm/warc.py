@@ -54,7 +54,7 @@ def _parsed(data: bytes, at: int) -> tuple[int, dict[str, str], bytes] | None:
     """(end, headers, payload) of the bare record at ``at``, if all checks hold."""
     if data[at : at + 7] != b"WARC/1.":
         return None
-    stop = data.find(b"\r\n\r\n", at, at + (1 << 20))
+    stop = data.find(b"\r\n\r\n", at)
     if stop < 0:
         return None
     headers = {}

@@ -66,3 +66,9 @@ def test_archives_roll(spark):
     df = spark.createDataFrame([(i, "u", "body %d " % i * 400) for i in range(40)], "page_id long, url string, html string").coalesce(1)
     manifest = warc.write_archives(df, scratch_path(spark, "roll"), roll_bytes=2000)
     assert manifest.count() > 1
+
+
+def test_long_url(spark):
+    rows = [(1, "http://a/" + "x" * (2 << 20), "one"), (2, "http://a/" + " " * (1 << 19), "two"), (3, "http://a/3", "three")]
+    out = warc.warc_round_trip(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    assert sorted((r.page_id, r.payload_bytes, r.record_type) for r in out) == [(1, 3, "response"), (2, 3, "response"), (3, 5, "response")]
