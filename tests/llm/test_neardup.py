@@ -50,7 +50,26 @@ def test_against_all_pairs(spark):
     df = spark.createDataFrame(rows, "doc_id long, text string")
     assert got(near_duplicates(df, shingle=2)) == brute(rows, 2, 80, 100)
     # short lists and small blocks take the other ways to the same links
-    assert got(near_duplicates(df, shingle=2, long_list=2, block=3)) == brute(rows, 2, 80, 100)
+    assert got(near_duplicates(df, shingle=2, long_list=2, block=60, hub=2)) == brute(rows, 2, 80, 100)
+
+
+def test_one_id_with_different_texts(spark):
+    text = " ".join(f"w{i}" for i in range(30))
+    rows = [(5, text), (5, "other words of the same number and no more"), (7, text + " end"), (9, "other words of the same number and no more")]
+    out = near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), shingle=2).collect()
+    assert sorted((r.doc_id, r.component_id, r.kept) for r in out) == [(5, 5, True), (5, 5, True), (7, 5, False), (9, 5, False)]
+
+
+def test_pairs_at_the_border(spark):
+    """Pairs whose similarity is 0.80 to 0.84: none may be missed."""
+    rng, rows = random.Random(11), []
+    for n in range(300):
+        size = rng.randrange(25, 400)
+        words = [f"{n}x{i}" for i in range(size + 1)]
+        most = size // 9  # with one-word shingles m changed words leave (s - m) / (s + m)
+        rows += [(2 * n, " ".join(words[:size])), (2 * n + 1, " ".join(words[: size - most] + [f"{n}y{i}" for i in range(most)]))]
+    out = got(near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), shingle=1))
+    assert [c for _, _, c in out] == [d // 2 * 2 for d, _, _ in out]
 
 
 def test_odd_rows(odd):
