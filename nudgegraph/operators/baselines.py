@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+import heapq
+
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nudgegraph.model import BoostProblem
+from nudgegraph.model import BoostGraph, BoostProblem
 from nudgegraph.operators.diffusion import hop_layers
+from nudgegraph.plans.planner import LOCAL_EDGES, choose, id_frame
 from nudgegraph.session import Scratch
 
 KINDS = {1: "out", 2: "out_discounted", 3: "in_gain", 4: "in_gain_discounted"}
@@ -25,18 +29,16 @@ def _pick(problem: BoostProblem, kind: int, k: int, scores: DataFrame, taken: li
     order = [F.desc(F.round("score", 9)), F.col("node")]
     if kind in (1, 3):
         return [r.node for r in scores.orderBy(*order).limit(k).collect()]
-    edges, picked = problem.graph.edges, []
+    if choose(problem.graph) == "local":
+        return _pick_falling(_lost_weights(problem.graph, kind), k, scores, taken)
+    edges, picked, spark = problem.graph.edges, [], problem.graph.spark
     gone = list(taken)
     while len(picked) < k:
-        if kind == 2:
-            lost = edges.where(F.col("dst").isin(gone)).groupBy(F.col("src").alias("node")).agg(F.sum("p").alias("lost")) if gone else None
-        else:
-            lost = edges.where(F.col("src").isin(gone)).groupBy(F.col("dst").alias("node")).agg(F.sum(F.col("q") - F.col("p")).alias("lost")) if gone else None
-        now = scores.where(~F.col("node").isin(gone)) if gone else scores
-        if lost is not None:
-            # those who lost can only fall: the others' best competes with the recounted few
-            now = now.join(lost, "node", "left").select("node", (F.col("score") - F.coalesce("lost", F.lit(0.0))).alias("score"))
-        top = now.orderBy(*order).first()
+        out, key = id_frame(spark, gone, "gone"), "dst" if kind == 2 else "src"
+        met = edges.join(out, F.col(key) == F.col("gone"), "left_semi")
+        lost = met.groupBy(F.col("src" if kind == 2 else "dst").alias("node")).agg(F.sum(F.col("p") if kind == 2 else F.col("q") - F.col("p")).alias("lost"))
+        now = scores.join(out, F.col("node") == F.col("gone"), "left_anti").join(lost, "node", "left")
+        top = now.select("node", (F.col("score") - F.coalesce("lost", F.lit(0.0))).alias("score")).orderBy(*order).first()
         if top is None:
             break
         picked.append(top.node)
@@ -44,6 +46,49 @@ def _pick(problem: BoostProblem, kind: int, k: int, scores: DataFrame, taken: li
     return picked
 
 
+def _lost_weights(graph: BoostGraph, kind: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(picked, loser, weight), ordered by the picked node: what its pick takes from whom; collected once a graph."""
+    held = graph.__dict__.setdefault("_lost", {})
+    if kind not in held:
+        columns = ("dst", "src", F.col("p").alias("w")) if kind == 2 else ("src", "dst", (F.col("q") - F.col("p")).alias("w"))
+        t = graph.edges.select(*columns).limit(LOCAL_EDGES).toArrow()
+        key, other, w = (t.column(i).to_numpy() for i in range(3))
+        order = np.lexsort((other, key))
+        held[kind] = key[order], other[order], w[order]
+    return held[kind]
+
+
+def _pick_falling(lost: tuple[np.ndarray, np.ndarray, np.ndarray], k: int, scores: DataFrame, taken: list[int]) -> list[int]:
+    """Scores only fall, and only those of a pick's neighbours: a heap in which outdated entries are passed over."""
+    key, other, w = lost
+    t = scores.select("node", "score").toArrow()
+    now = dict(zip(t.column(0).to_pylist(), t.column(1).to_pylist(), strict=True))
+
+    def neighbours(v: int):
+        lo, hi = np.searchsorted(key, [v, v + 1])
+        return zip(other[lo:hi].tolist(), w[lo:hi].tolist(), strict=True)
+
+    for v in taken:
+        now.pop(v, None)
+        for u, x in neighbours(v):
+            if u in now:
+                now[u] -= x
+    heap = [(-round(x, 9), v) for v, x in now.items()]
+    heapq.heapify(heap)
+    picked: list[int] = []
+    while heap and len(picked) < k:
+        score, v = heapq.heappop(heap)
+        if v not in now or score != -round(now[v], 9):
+            continue
+        picked.append(v)
+        del now[v]
+        for u, x in neighbours(v):
+            if u in now:
+                now[u] -= x
+                heapq.heappush(heap, (-round(now[u], 9), u))
+    return picked
+
+
 def degree_global(problem: BoostProblem, kind: int) -> list[int]:
     """k nodes of largest weighted degree, by one of the four definitions in ``KINDS``."""
     scratch = Scratch(problem.graph.spark, "degree")

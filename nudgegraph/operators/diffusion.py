@@ -12,8 +12,8 @@ from pyspark.sql import functions as F
 
 from nudgegraph.functions.coins import coin, threshold
 from nudgegraph.model import BoostGraph
-from nudgegraph.operators.kernels import cascade
-from nudgegraph.plans.planner import adjacency, choose, positions
+from nudgegraph.operators.kernels import Workspace, cascade
+from nudgegraph.plans.planner import choose, id_frame, positions, sent
 from nudgegraph.session import Scratch
 
 WORLD_MODES = ("receiver", "sender", "single_boost")
@@ -43,29 +43,66 @@ def _world_range(graph: BoostGraph, worlds: int, first: int) -> DataFrame:
     return graph.spark.range(first, first + worlds, 1, parts).withColumnRenamed("id", "world")
 
 
+def _placed(graph, seeds, boost):
+    """The sent graph, places of seeds and boosted nodes, and seeds outside the graph: those have no edges but are active."""
+    held = sent(graph)
+    nodes = held.value["nodes"]
+    s, b = positions(nodes, seeds), positions(nodes, boost)
+    return held, s, b, np.array(sorted(set(seeds) - set(nodes[s].tolist())), np.int64)
+
+
 def _simulate_local(graph, seeds, boost, worlds, salt, mode, coins, first) -> DataFrame:
-    arrays = adjacency(graph)
-    sent = graph.spark.sparkContext.broadcast(arrays)
-    # seeds and boosted nodes outside the graph have no edges: a seed is still active
-    lone = np.array(sorted(set(seeds) - set(arrays["nodes"][positions(arrays["nodes"], seeds)].tolist())), np.int64)
-    s, b = positions(arrays["nodes"], seeds), positions(arrays["nodes"], boost)
+    held, s, b, lone = _placed(graph, seeds, boost)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        g = sent.value
+        g = held.value
+        space = Workspace(len(g["nodes"]))
         for batch in batches:
             for world in batch.column(0).to_pylist():
-                nodes, steps = cascade(g, s, b, world, salt, coins, mode)
+                nodes, steps = cascade(g, s, b, world, salt, coins, mode, space)
                 ids = np.concatenate([g["nodes"][nodes], lone])
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), world)), pa.array(ids), pa.array(np.concatenate([steps, np.zeros(len(lone), np.int64)]).astype(np.int32))], ["world", "node", "step"])
 
     return _world_range(graph, worlds, first).mapInArrow(run, "world long, node long, step int")
 
 
+def _counted_local(graph, seeds, arms, worlds, salt, coins, first) -> DataFrame:
+    """(world, n0, n1, ...): active nodes of each world, one column for each arm (boosted nodes, mode)."""
+    held, s, _, lone = _placed(graph, seeds, [])
+    placed = [(positions(held.value["nodes"], boost), mode) for boost, mode in arms]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        g = held.value
+        space = Workspace(len(g["nodes"]))
+        for batch in batches:
+            ids = batch.column(0).to_pylist()
+            counts = [[len(cascade(g, s, b, world, salt, coins, mode, space)[0]) + len(lone) for world in ids] for b, mode in placed]
+            yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(c, pa.int64()) for c in counts]], ["world", *[f"n{i}" for i in range(len(counts))]])
+
+    return _world_range(graph, worlds, first).mapInArrow(run, "world long" + "".join(f", n{i} long" for i in range(len(arms))))
+
+
+def world_counts(graph: BoostGraph, seeds, arms: list[tuple], worlds: int, salt: int = 1, coins: str = "fast", strategy: str = "auto", first: int = 0) -> DataFrame:
+    """(world, n0, n1, ...): active nodes of each world by arm (boosted nodes, mode), with the same coins in all arms."""
+    seed_ids = _ids(seeds)
+    arms = [(_ids(boost), mode) for boost, mode in arms]
+    if any(mode not in WORLD_MODES for _, mode in arms):
+        raise ValueError([mode for _, mode in arms])
+    if choose(graph, strategy) == "local":
+        return _counted_local(graph, seed_ids, arms, worlds, salt, coins, first)
+    out = _world_range(graph, worlds, first)
+    for i, (boost, mode) in enumerate(arms):
+        n = world_spread(_simulate_relational(graph, seed_ids, boost, worlds, salt, mode, coins, first)).withColumnRenamed("n", f"n{i}")
+        out = out.join(n, "world", "left").withColumn(f"n{i}", F.coalesce(f"n{i}", F.lit(0)))
+    return out
+
+
 def _simulate_relational(graph, seeds, boost, worlds, salt, mode, coins, first) -> DataFrame:
     spark, scratch = graph.spark, Scratch(graph.spark, "simulate")
-    seed_frame = spark.createDataFrame([(x,) for x in sorted(set(seeds))], "node long")
-    boosted = F.col("src" if mode == "sender" else "dst").isin(sorted(set(boost))) if boost else F.lit(False)
-    edges = graph.edges.select("src", "dst", threshold("p").alias("tp"), threshold("q").alias("tq"), boosted.alias("boosted"))
+    seed_frame = id_frame(spark, seeds)
+    helped = id_frame(spark, boost, "helped").withColumn("boosted", F.lit(True))
+    edges = graph.edges.join(helped, F.col("src" if mode == "sender" else "dst") == F.col("helped"), "left")
+    edges = edges.select("src", "dst", threshold("p").alias("tp"), threshold("q").alias("tq"), F.coalesce("boosted", F.lit(False)).alias("boosted"))
     h = coin(coins, salt, "world", "src", "dst")
     front = scratch.keep(_world_range(graph, worlds, first).crossJoin(F.broadcast(seed_frame)).select("world", "node", F.lit(0).alias("layer"), F.lit(0).alias("step")), "front")
     settled, step = [front], 0
@@ -100,17 +137,15 @@ def world_spread(active: DataFrame) -> DataFrame:
     return active.groupBy("world").agg(F.count("*").alias("n"))
 
 
-def spread_mc(graph: BoostGraph, seeds, boost=None, runs: int = 20_000, **options) -> DataFrame:
+def spread_mc(graph: BoostGraph, seeds, boost=None, runs: int = 20_000, mode: str = "receiver", **options) -> DataFrame:
     """One row (spread, stderr): mean active nodes over worlds."""
-    n = world_spread(simulate(graph, seeds, boost, runs, **options))
-    return n.agg(F.avg("n").alias("spread"), (F.stddev_samp("n") / F.sqrt(F.count("*"))).alias("stderr"))
+    n = world_counts(graph, seeds, [(boost, mode)], runs, **options)
+    return n.agg(F.avg("n0").alias("spread"), (F.stddev_samp("n0") / F.sqrt(F.count("*"))).alias("stderr"))
 
 
-def boost_mc(graph: BoostGraph, seeds, boost, runs: int = 20_000, **options) -> DataFrame:
+def boost_mc(graph: BoostGraph, seeds, boost, runs: int = 20_000, mode: str = "receiver", **options) -> DataFrame:
     """One row (delta, stderr): mean gain over worlds with the same coins in both arms."""
-    helped = world_spread(simulate(graph, seeds, boost, runs, **options)).withColumnRenamed("n", "helped")
-    plain = world_spread(simulate(graph, seeds, None, runs, **(options | {"mode": "receiver"})))
-    gain = helped.join(plain, "world").select((F.col("helped") - F.col("n")).alias("gain"))
+    gain = world_counts(graph, seeds, [(boost, mode), (None, "receiver")], runs, **options).select((F.col("n0") - F.col("n1")).alias("gain"))
     return gain.agg(F.avg("gain").alias("delta"), (F.stddev_samp("gain") / F.sqrt(F.count("*"))).alias("stderr"))
 
 

@@ -20,21 +20,29 @@ def _fan(ptr: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return start + np.arange(size.sum()), owner
 
 
-def cascade(g: dict, seeds: np.ndarray, boost: np.ndarray, world: int, salt: int, coins: str, mode: str) -> tuple[np.ndarray, np.ndarray]:
+class Workspace:
+    """Arrays over all nodes that a worker uses again and again: a run pays for what it visits, not for n."""
+
+    def __init__(self, n: int):
+        self.step = np.full((2, n), -1)
+        self.dist = np.full(n, -1)
+        self.boosted = np.zeros(n, bool)
+
+
+def cascade(g: dict, seeds: np.ndarray, boost: np.ndarray, world: int, salt: int, coins: str, mode: str, space: Workspace | None = None) -> tuple[np.ndarray, np.ndarray]:
     """(nodes, steps) active in one world.
 
     ``receiver``: edges into boosted nodes have the raised chance; ``sender``:
     edges out of them; ``single_boost``: an active node is reached over at most
     one edge that is live by its boosted head alone.
     """
-    n = len(g["nodes"])
-    boosted = np.zeros(n, bool)
+    space = Workspace(len(g["nodes"])) if space is None else space
+    boosted, layers = space.boosted, 2 if mode == "single_boost" else 1
     boosted[boost] = True
-    layers = 2 if mode == "single_boost" else 1
-    step_of = np.full((layers, n), -1)
+    step_of = space.step
     front = [np.unique(seeds)] + [np.empty(0, np.int64)] * (layers - 1)
     step_of[0, front[0]] = 0
-    step = 0
+    step, visited = 0, [list(front[:1]), []]
     while any(len(f) for f in front):
         step += 1
         reached = [[] for _ in range(layers)]
@@ -58,68 +66,94 @@ def cascade(g: dict, seeds: np.ndarray, boost: np.ndarray, world: int, salt: int
             new = new[step_of[layer, new] < 0]
             step_of[layer, new] = step
             front.append(new)
-    first = np.where((step_of >= 0).any(0), np.where(step_of < 0, np.iinfo(np.int64).max, step_of).min(0), -1)
-    nodes = np.flatnonzero(first >= 0)
-    return nodes, first[nodes]
+            visited[layer].append(new)
+    nodes = np.unique(np.concatenate([*visited[0], *visited[1]]))
+    steps = step_of[:layers, nodes]
+    first = np.where(steps < 0, np.iinfo(np.int64).max, steps).min(0)
+    step_of[:, nodes] = -1
+    boosted[boost] = False
+    return nodes, first
 
 
-def reach_set(g: dict, root: int, world: int, salt: int, coins: str) -> np.ndarray:
+def reach_set(g: dict, root: int, world: int, salt: int, coins: str, space: Workspace | None = None) -> np.ndarray:
     """Nodes from which live edges lead to the root."""
-    seen = np.zeros(len(g["nodes"]), bool)
+    seen = (Workspace(len(g["nodes"])) if space is None else space).boosted
     seen[root] = True
     front = np.array([root])
+    found = [front]
     while len(front):
         at, owner = _fan(g["in_ptr"], front)
         tail = g["in_to"][at]
         live = coin_array(coins, salt, world, g["nodes"][tail], g["nodes"][owner]) < g["in_tp"][at]
         front = np.unique(tail[live & ~seen[tail]])
         seen[front] = True
-    return np.flatnonzero(seen)
+        found.append(front)
+    nodes = np.sort(np.concatenate(found))
+    seen[nodes] = False
+    return nodes
 
 
-def grow(g: dict, is_seed: np.ndarray, root: int, world: int, salt: int, coins: str, cap: int) -> tuple[str, list[tuple[int, int, bool]], int, dict[int, int]]:
+def grow(g: dict, is_seed: np.ndarray, root: int, world: int, salt: int, coins: str, cap: int, space: Workspace | None = None) -> tuple[str, list[tuple[int, int, bool]], int, dict[int, int]]:
     """(category, raw edges, edges touched, distance of each node to the root).
 
     Layer by layer in the number of edges that need a boost: all live edges at
     one distance first, then one step over the others. Seeds aren't expanded;
-    an edge whose tail would lie beyond the cap isn't kept.
+    an edge whose tail would lie beyond the cap isn't kept. A live edge from a
+    seed at distance zero ends the search there and then. Other nodes of
+    distance zero keep just one live edge, to the root itself.
     """
     if is_seed[root]:
         return "activated", [], 0, {root: 0}
-    dist = np.full(len(g["nodes"]), -1)
+    dist = (Workspace(len(g["nodes"])) if space is None else space).dist
     later: list[np.ndarray] = []
-    raw: list[tuple[int, int, bool]] = []
+    tails, heads, lives = [], [], []
     touched, d, seen_seed = 0, 0, False
     dist[root] = 0
     open_ = np.array([root])
-    while len(open_):
+    visited = [open_]
+    try:
         while len(open_):
-            at, head = _fan(g["in_ptr"], open_)
-            tail = g["in_to"][at]
-            touched += len(at)
-            h = coin_array(coins, salt, world, g["nodes"][tail], g["nodes"][head])
-            live = h < g["in_tp"][at]
-            lub = ~live & (h < g["in_tq"][at]) & (d + 1 <= cap)
-            keep = live | lub
-            raw += zip(tail[keep].tolist(), head[keep].tolist(), live[keep].tolist(), strict=True)
-            later.append(tail[lub])
-            new = np.unique(tail[live])
+            while len(open_):
+                at, head = _fan(g["in_ptr"], open_)
+                tail = g["in_to"][at]
+                h = coin_array(coins, salt, world, g["nodes"][tail], g["nodes"][head])
+                live = h < g["in_tp"][at]
+                if d == 0:
+                    ends = np.flatnonzero(live & is_seed[tail])
+                    if len(ends):
+                        return "activated", [], touched + int(ends[0]) + 1, {}
+                touched += len(at)
+                lub = ~live & (h < g["in_tq"][at]) & (d + 1 <= cap)
+                keep = live | lub
+                tails.append(tail[keep])
+                heads.append(head[keep])
+                lives.append(live[keep])
+                later.append(tail[lub])
+                new = np.unique(tail[live])
+                new = new[dist[new] < 0]
+                dist[new] = d
+                visited.append(new)
+                seen_seed |= bool(is_seed[new].any())
+                open_ = new[~is_seed[new]]
+            new = np.unique(np.concatenate(later)) if later else np.empty(0, np.int64)
+            later = []
             new = new[dist[new] < 0]
+            d += 1
             dist[new] = d
+            visited.append(new)
             seen_seed |= bool(is_seed[new].any())
             open_ = new[~is_seed[new]]
-        if d == 0 and seen_seed:
-            return "activated", [], touched, {}
-        new = np.unique(np.concatenate(later)) if later else np.empty(0, np.int64)
-        later = []
-        new = new[dist[new] < 0]
-        d += 1
-        dist[new] = d
-        seen_seed |= bool(is_seed[new].any())
-        open_ = new[~is_seed[new]]
-    if not seen_seed:
-        return "hopeless", [], touched, {}
-    return "boostable", raw, touched, {int(v): int(dist[v]) for v in np.flatnonzero(dist >= 0)}
+        if not seen_seed:
+            return "hopeless", [], touched, {}
+        u, v, live = np.concatenate(tails), np.concatenate(heads), np.concatenate(lives)
+        far = dist[u] > 0
+        raw = list(zip(u[far].tolist(), v[far].tolist(), live[far].tolist(), strict=True))
+        nodes = np.concatenate(visited)
+        raw += [(x, int(root), True) for x in nodes[(dist[nodes] == 0) & (nodes != root)].tolist()]
+        return "boostable", raw, touched, dict(zip(nodes.tolist(), dist[nodes].tolist(), strict=True))
+    finally:
+        for nodes in visited:
+            dist[nodes] = -1
 
 
 def _distances(starts: list[int], step: dict[int, list[tuple[int, bool]]], barred: set[int] = frozenset()) -> dict[int, int]:

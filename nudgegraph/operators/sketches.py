@@ -15,8 +15,8 @@ from pyspark.sql import functions as F
 
 from nudgegraph.functions.coins import coin, root_array, root_coin, threshold
 from nudgegraph.model import SKETCHES, SUPER, BoostGraph
-from nudgegraph.operators.kernels import activates, compress, grow, marginal_nodes, reach_set
-from nudgegraph.plans.planner import adjacency, choose, positions
+from nudgegraph.operators.kernels import Workspace, activates, compress, grow, marginal_nodes, reach_set
+from nudgegraph.plans.planner import choose, id_frame, positions, sent
 from nudgegraph.session import Scratch
 
 
@@ -34,27 +34,57 @@ def draw_roots(graph: BoostGraph, first: int, last: int, salt: int, coins: str =
 def reach_sets(graph: BoostGraph, first: int, last: int, salt: int = 1, coins: str = "fast", strategy: str = "auto") -> DataFrame:
     """(sketch, node): all nodes that would activate the sketch's root."""
     if choose(graph, strategy) == "local":
-        sent = graph.spark.sparkContext.broadcast(adjacency(graph))
+        held = sent(graph)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            g = sent.value
+            g = held.value
+            space = Workspace(len(g["nodes"]))
             for batch in batches:
                 ids = batch.column(0).to_numpy()
                 roots = root_array(coins, salt, ids) % len(g["nodes"])
+                found, size = [], 0
                 for i, root in zip(ids.tolist(), roots.tolist(), strict=True):
-                    nodes = g["nodes"][reach_set(g, root, i, salt, coins)]
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(nodes), i)), pa.array(nodes)], ["sketch", "node"])
+                    nodes = g["nodes"][reach_set(g, root, i, salt, coins, space)]
+                    found.append((i, nodes))
+                    size += len(nodes)
+                    if size > 100_000 or i == ids[-1]:
+                        yield pa.RecordBatch.from_arrays([pa.array(np.repeat([i for i, _ in found], [len(x) for _, x in found])), pa.array(np.concatenate([x for _, x in found]))], ["sketch", "node"])
+                        found, size = [], 0
 
         return _range(graph, first, last).mapInArrow(run, "sketch long, node long")
     scratch = Scratch(graph.spark, "reach")
     edges = graph.edges.select("src", "dst", threshold("p").alias("tp"))
-    seen = front = scratch.keep(draw_roots(graph, first, last, salt, coins).withColumnRenamed("root", "node"), "front")
+    front = scratch.keep(draw_roots(graph, first, last, salt, coins).withColumnRenamed("root", "node"), "front")
+    seen = [front]
     while not front.isEmpty():
         met = front.select("sketch", F.col("node").alias("dst")).join(edges, "dst").where(coin(coins, salt, "sketch", "src", "dst") < F.col("tp"))
-        new = met.select("sketch", F.col("src").alias("node")).distinct().join(seen, ["sketch", "node"], "left_anti")
-        front = scratch.keep(new, "front")
-        seen = scratch.keep(seen.unionByName(front), "seen")
-    return seen
+        front = scratch.keep(_new_rows(met.select("sketch", F.col("src").alias("node")).distinct(), seen), "front")
+        seen = _appended(seen, front, scratch)
+    return _whole(seen)
+
+
+def _new_rows(rows: DataFrame, parts: list[DataFrame]) -> DataFrame:
+    """Rows whose (sketch, node) is in none of the parts."""
+    for part in parts:
+        rows = rows.join(part.select("sketch", "node"), ["sketch", "node"], "left_anti")
+    return rows
+
+
+def _whole(parts: list[DataFrame]) -> DataFrame:
+    whole = parts[0]
+    for part in parts[1:]:
+        whole = whole.unionByName(part)
+    return whole
+
+
+def _appended(parts: list[DataFrame], new: DataFrame, scratch: Scratch, most: int = 6) -> list[DataFrame]:
+    """The parts and a new one; beyond ``most`` they become one table, so each row is written again but once in a while."""
+    parts = [*parts, new]
+    if len(parts) <= most:
+        return parts
+    whole = scratch.keep(_whole(parts), "settled")
+    scratch.drop(*parts[:-1])  # the new one is still read as the front
+    return [whole]
 
 
 def sample_sketches(graph: BoostGraph, seeds: list[int], first: int, last: int, cap: int, salt: int = 1, coins: str = "fast", strategy: str = "auto", keep: str = "edges", squeeze: bool = True) -> DataFrame:
@@ -66,10 +96,11 @@ def sample_sketches(graph: BoostGraph, seeds: list[int], first: int, last: int,
     """
     cap = 1 if keep == "critical" else cap
     if choose(graph, strategy) == "local":
-        sent = graph.spark.sparkContext.broadcast(adjacency(graph))
+        held = sent(graph)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            g = sent.value
+            g = held.value
+            space = Workspace(len(g["nodes"]))
             is_seed = np.zeros(len(g["nodes"]), bool)
             is_seed[positions(g["nodes"], seeds)] = True
             seed_at = set(np.flatnonzero(is_seed).tolist())
@@ -79,7 +110,7 @@ def sample_sketches(graph: BoostGraph, seeds: list[int], first: int, last: int,
                 roots = root_array(coins, salt, ids) % len(name)
                 rows = []
                 for i, root in zip(ids.tolist(), roots.tolist(), strict=True):
-                    category, raw, touched, _ = grow(g, is_seed, root, i, salt, coins, cap)
+                    category, raw, touched, _ = grow(g, is_seed, root, i, salt, coins, cap, space)
                     rows.append(_row(i, root, category, raw, touched, seed_at, cap, name, keep, squeeze))
                 yield _batch(rows)
 
@@ -124,49 +155,55 @@ def _batch(rows) -> pa.RecordBatch:
 def _grow_relational(graph, seeds, first, last, cap, salt, coins, keep, squeeze) -> DataFrame:
     """A whole batch of sketches moves one layer a job; edges stay where they are, fronts move."""
     spark, scratch = graph.spark, Scratch(graph.spark, "grow")
-    seed_frame = spark.createDataFrame([(s,) for s in sorted(set(seeds))], "node long")
+    seed_frame = id_frame(spark, seeds)
+    marked = F.broadcast(seed_frame.withColumn("seed", F.lit(True)))
     edges = graph.edges.select("src", "dst", threshold("p").alias("tp"), threshold("q").alias("tq"))
+    edges = edges.join(F.broadcast(seed_frame.select(F.col("node").alias("src"), F.lit(True).alias("from_seed"))), "src", "left")
     roots = scratch.keep(draw_roots(graph, first, last, salt, coins), "roots")
     at_seed = roots.join(F.broadcast(seed_frame), F.col("root") == F.col("node"), "left_semi")
     rest = roots.join(at_seed.select("sketch"), "sketch", "left_anti")
-    settled = scratch.keep(rest.select("sketch", F.col("root").alias("node"), F.lit(0).alias("dist"), F.lit(False).alias("seed")), "settled")
-    open_, raws, later, d = settled.select("sketch", "node"), [], [], 0
-    activated = at_seed.select("sketch")
+    settled = [scratch.keep(rest.select("sketch", F.col("root").alias("node"), F.lit(0).alias("dist"), F.lit(False).alias("seed")), "settled")]
+    open_, raws, later, d = settled[0].select("sketch", "node"), [], [], 0
+    activated = [at_seed.select("sketch")]
     touched: list[DataFrame] = []
     h = coin(coins, salt, "sketch", "src", "dst")
+
+    def placed(reached: DataFrame) -> DataFrame:
+        new = _new_rows(reached.distinct(), settled)
+        return scratch.keep(new.join(marked, "node", "left").select("sketch", "node", F.lit(d).alias("dist"), F.coalesce("seed", F.lit(False)).alias("seed")), "new")
+
     while True:
         while not open_.isEmpty():
             met = open_.select("sketch", F.col("node").alias("dst")).join(edges, "dst").withColumn("h", h)
-            met = scratch.keep(met.select("sketch", "src", "dst", (F.col("h") < F.col("tp")).alias("live"), (F.col("h") < F.col("tq")).alias("raised")), "met")
+            met = scratch.keep(met.select("sketch", "src", "dst", (F.col("h") < F.col("tp")).alias("live"), (F.col("h") < F.col("tq")).alias("raised"), F.col("from_seed").isNotNull().alias("from_seed")), "met")
+            if d == 0:  # a live edge from a seed ends a sketch there, in the order of head and tail
+                ends = scratch.keep(met.where("live and from_seed").groupBy("sketch").agg(F.min(F.struct("dst", "src")).alias("end")), "ends")
+                activated.append(ends.select("sketch"))
+                touched.append(met.join(ends, "sketch").where(F.struct("dst", "src") <= F.col("end")).groupBy("sketch").agg(F.count("*").alias("n")))
+                met = met.join(ends.select("sketch"), "sketch", "left_anti")
             touched.append(met.groupBy("sketch").agg(F.count("*").alias("n")))
             kept = met.where("live" if d + 1 > cap else "raised").select("sketch", "src", "dst", "live")
             raws.append(kept)
             if d + 1 <= cap:
                 later.append(kept.where("not live").select("sketch", F.col("src").alias("node")))
-            new = kept.where("live").select("sketch", F.col("src").alias("node")).distinct().join(settled.select("sketch", "node"), ["sketch", "node"], "left_anti")
-            new = scratch.keep(new.join(F.broadcast(seed_frame.withColumn("seed", F.lit(True))), "node", "left").select("sketch", "node", F.lit(d).alias("dist"), F.coalesce("seed", F.lit(False)).alias("seed")), "new")
-            settled = scratch.keep(settled.unionByName(new), "settled")
+            new = placed(kept.where("live").select("sketch", F.col("src").alias("node")))
+            settled = _appended(settled, new, scratch)
             open_ = new.where("not seed").select("sketch", "node")
-        if d == 0:
-            done = scratch.keep(settled.where("seed").select("sketch").distinct(), "done")
-            activated = activated.unionByName(done)
         if not later:
             break
-        reached = later[0]
-        for part in later[1:]:
-            reached = reached.unionByName(part)
+        done = _whole(activated)
+        reached = _whole(later)
         later, d = [], d + 1
-        new = reached.distinct().join(done, "sketch", "left_anti").join(settled.select("sketch", "node"), ["sketch", "node"], "left_anti")
-        new = scratch.keep(new.join(F.broadcast(seed_frame.withColumn("seed", F.lit(True))), "node", "left").select("sketch", "node", F.lit(d).alias("dist"), F.coalesce("seed", F.lit(False)).alias("seed")), "new")
-        settled = scratch.keep(settled.unionByName(new), "settled")
+        new = placed(reached.join(done, "sketch", "left_anti"))
+        settled = _appended(settled, new, scratch)
         open_ = new.where("not seed").select("sketch", "node")
-    met_seed = settled.where("seed").select("sketch").distinct().join(activated, "sketch", "left_anti").withColumn("category", F.lit("boostable"))
-    category = roots.join(met_seed.unionByName(activated.withColumn("category", F.lit("activated"))), "sketch", "left").select("sketch", "root", F.coalesce("category", F.lit("hopeless")).alias("category"))
-    raw = touch = None
-    for part in raws:
-        raw = part if raw is None else raw.unionByName(part)
-    for part in touched:
-        touch = part if touch is None else touch.unionByName(part)
+    done, found = _whole(activated).distinct(), scratch.keep(_whole(settled), "found")
+    met_seed = found.where("seed").select("sketch").distinct().join(done, "sketch", "left_anti").withColumn("category", F.lit("boostable"))
+    category = roots.join(met_seed.unionByName(done.withColumn("category", F.lit("activated"))), "sketch", "left").select("sketch", "root", F.coalesce("category", F.lit("hopeless")).alias("category"))
+    # nodes of distance zero keep one live edge, to the root
+    near = found.where("dist = 0").select("sketch", F.col("node").alias("src"))
+    short = near.join(roots, "sketch").where("src <> root").select("sketch", "src", F.col("root").alias("dst"), F.lit(True).alias("live"))
+    raw, touch = _whole(raws).join(near, ["sketch", "src"], "left_anti").select("sketch", "src", "dst", "live").unionByName(short), _whole(touched)
     touch = touch.groupBy("sketch").agg(F.sum("n").alias("n_touched"))
     nested = raw.groupBy("sketch").agg(F.collect_list(F.struct("src", "dst", "live")).alias("raw"))
     whole = category.join(nested, "sketch", "left").join(touch, "sketch", "left")
@@ -221,7 +258,7 @@ def mu_hat(sketches: DataFrame, boost: list[int], n: int, theta: int) -> float:
 
 def nu_hat(sketches: DataFrame, boost: list[int], n: int, theta: int) -> float:
     """Estimated upper bound: the share in which some head to be opened is in the set."""
-    return n * head_incidence(sketches).where(F.col("node").isin(boost)).select("sketch").distinct().count() / theta
+    return n * head_incidence(sketches).join(id_frame(sketches.sparkSession, boost), "node", "left_semi").select("sketch").distinct().count() / theta
 
 
 def marginal_counts(sketches: DataFrame, boost: list[int]) -> DataFrame:
@@ -242,9 +279,10 @@ def select_marginal(sketches: DataFrame, k: int, barred: list[int] = ()) -> list
     The gain isn't submodular, so counts may grow and nothing can be lazy.
     """
     picks: list[tuple[int, int]] = []
+    out = id_frame(sketches.sparkSession, barred)
     while len(picks) < k:
         counts = marginal_counts(sketches, [v for v, _ in picks])
-        top = counts.where(~F.col("node").isin(list(barred)) if barred else F.lit(True)).orderBy(F.desc("n"), "node").first()
+        top = counts.join(out, "node", "left_anti").orderBy(F.desc("n"), "node").first()
         if top is None:
             break
         picks.append((top.node, top.n))

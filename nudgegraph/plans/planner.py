@@ -40,6 +40,19 @@ def adjacency(graph: BoostGraph) -> dict[str, np.ndarray]:
     return out
 
 
+def sent(graph: BoostGraph):
+    """The adjacency as a broadcast, made once for each graph and kept with it."""
+    held = graph.__dict__.get("_sent")
+    if held is None:
+        held = graph.__dict__["_sent"] = graph.spark.sparkContext.broadcast(adjacency(graph))
+    return held
+
+
+def id_frame(spark, ids, name: str = "node") -> DataFrame:
+    """Ids that the driver holds, as a frame to join with."""
+    return spark.createDataFrame([(int(x),) for x in sorted(set(ids))], f"`{name}` long")
+
+
 def positions(nodes: np.ndarray, ids: list[int]) -> np.ndarray:
     """Places of the ids that are nodes."""
     ids = np.array(sorted(set(ids)), np.int64)

@@ -15,10 +15,11 @@ from nudgegraph.operators import baselines
 from nudgegraph.operators.diffusion import boost_exact, boost_mc, spread_mc
 from nudgegraph.operators.sketches import critical_incidence, delta_hat, head_incidence, mu_hat, nu_hat, reach_sets, sample_sketches, select_marginal, sketch_stats
 from nudgegraph.plans.stopping import cover_greedy, inflate_ell, run_doubling, run_martingale
+from nudgegraph.plans.planner import id_frame
 from nudgegraph.session import Scratch
 
 
-def _sampled(problem: BoostProblem, keep: str, eps: float, ell: float, salt: int, coins: str, strategy: str, most: int, theta: int | None, squeeze: bool = True, fresh_final: bool = False):
+def _sampled(problem: BoostProblem, keep: str, eps: float, ell: float, salt: int, coins: str, strategy: str, most: int | None, theta: int | None, squeeze: bool = True, fresh_final: bool = False):
     g, scratch = problem.graph, Scratch(problem.graph.spark, "solve")
     seeds = problem.seed_ids
     draw = lambda lo, hi: sample_sketches(g, seeds, lo, hi, problem.k, salt, coins, strategy, keep, squeeze)
@@ -39,7 +40,7 @@ def _report(problem, sampled, seconds, eps, ell, **more) -> RunReport:
     return RunReport(values)
 
 
-def solve_sketch_full(problem: BoostProblem, eps: float = 0.5, ell: float = 1.0, salt: int = 1, coins: str = "fast", strategy: str = "auto", max_sketches: int = 200_000, theta: int | None = None, use_upper: bool = False, squeeze: bool = True, fresh_final: bool = False) -> Solution:
+def solve_sketch_full(problem: BoostProblem, eps: float = 0.5, ell: float = 1.0, salt: int = 1, coins: str = "fast", strategy: str = "auto", max_sketches: int | None = None, theta: int | None = None, use_upper: bool = False, squeeze: bool = True, fresh_final: bool = False) -> Solution:
     """Better of the cover by critical nodes and the direct greedy, on the same sketches.
 
     With ``use_upper`` a third set covers the upper bound. The report carries
@@ -71,7 +72,7 @@ def solve_sandwich(problem: BoostProblem, **options) -> Solution:
     return solve_sketch_full(problem, use_upper=True, **options)
 
 
-def solve_sketch_critical(problem: BoostProblem, eps: float = 0.5, ell: float = 1.0, salt: int = 1, coins: str = "fast", strategy: str = "auto", max_sketches: int = 200_000, theta: int | None = None) -> Solution:
+def solve_sketch_critical(problem: BoostProblem, eps: float = 0.5, ell: float = 1.0, salt: int = 1, coins: str = "fast", strategy: str = "auto", max_sketches: int | None = None, theta: int | None = None) -> Solution:
     """The cover by critical nodes, on sketches that keep nothing else."""
     start, n = time.time(), problem.graph.n
     sampled = _sampled(problem, "critical", eps, ell, salt, coins, strategy, max_sketches, theta)
@@ -106,7 +107,7 @@ def solve_mc_greedy(problem: BoostProblem, runs: int = 1000, most_nodes: int = 5
     return Solution(chosen, RunReport({}))
 
 
-def seeds_influential(graph: BoostGraph, count: int, eps: float = 0.5, ell: float = 1.0, salt: int = 11, coins: str = "fast", strategy: str = "auto", max_sketches: int = 200_000, theta: int | None = None, framework: str = "martingale") -> list[int]:
+def seeds_influential(graph: BoostGraph, count: int, eps: float = 0.5, ell: float = 1.0, salt: int = 11, coins: str = "fast", strategy: str = "auto", max_sketches: int | None = None, theta: int | None = None, framework: str = "martingale") -> list[int]:
     """Seeds of large spread by greedy cover of reach sets."""
     scratch = Scratch(graph.spark, "seeds")
     draw = lambda lo, hi: reach_sets(graph, lo, hi, salt, coins, strategy)
@@ -127,17 +128,17 @@ def seeds_random(graph: BoostGraph, count: int, set_no: int = 0, mode: str = "po
 
 def spread_reach(sets: DataFrame, seeds: list[int], n: int, theta: int) -> float:
     """Spread estimated by the share of reach sets that the seeds hit."""
-    return n * sets.where(F.col("node").isin(seeds)).select("sketch").distinct().count() / theta
+    return n * sets.join(id_frame(sets.sparkSession, seeds), "node", "left_semi").select("sketch").distinct().count() / theta
 
 
-def solve_extra_seeds(problem: BoostProblem, eps: float = 0.5, ell: float = 1.0, salt: int = 13, coins: str = "fast", strategy: str = "auto", max_sketches: int = 200_000, theta: int | None = None) -> Solution:
+def solve_extra_seeds(problem: BoostProblem, eps: float = 0.5, ell: float = 1.0, salt: int = 13, coins: str = "fast", strategy: str = "auto", max_sketches: int | None = None, theta: int | None = None) -> Solution:
     """Nodes that, as further seeds, would raise the spread most: a contrast to boosting."""
     g, scratch = problem.graph, Scratch(problem.graph.spark, "extra")
     seeds = problem.seed_ids
 
     def draw(lo: int, hi: int) -> DataFrame:
         sets = scratch.keep(reach_sets(g, lo, hi, salt, coins, strategy), "reach")
-        return sets.join(sets.where(F.col("node").isin(seeds)).select("sketch").distinct(), "sketch", "left_anti")
+        return sets.join(sets.join(id_frame(g.spark, seeds), "node", "left_semi").select("sketch").distinct(), "sketch", "left_anti")
 
     held = lambda df: scratch.keep(df, "open")
     sets = held(draw(0, theta)) if theta is not None else run_martingale(draw, lambda df: df, held, g.n, problem.k, eps, ell, max_sketches).sketches
@@ -172,7 +173,7 @@ def solve(problem: BoostProblem, method: str = "sketch_full", **options) -> Solu
         got = solve(problem, method, **options)
         want = problem.k - len(got.boost)
         if want > 0:
-            rest = problem.candidates().where(~F.col("node").isin(got.boost) if got.boost else F.lit(True)).orderBy("node").limit(want)
+            rest = problem.candidates().join(id_frame(problem.graph.spark, got.boost), "node", "left_anti").orderBy("node").limit(want)
             got.boost += [r.node for r in rest.collect()]
         return got
     if method == "tree_greedy":

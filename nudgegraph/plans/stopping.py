@@ -10,6 +10,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from nudgegraph.plans.planner import id_frame
 from nudgegraph.session import Scratch
 
 #: postings that the driver may hold for the lazy greedy
@@ -49,7 +50,7 @@ def cover_greedy(incidence: DataFrame, k: int, first: set[int] = frozenset()) ->
     """
     incidence = incidence.select("sketch", "node")
     if first:
-        incidence = incidence.where(~F.col("node").isin(sorted(first)))
+        incidence = incidence.join(id_frame(incidence.sparkSession, first), "node", "left_anti")
     head = incidence.limit(LOCAL_POSTINGS + 1).toArrow()
     if head.num_rows <= LOCAL_POSTINGS:
         lists: dict[int, set[int]] = {}
@@ -92,15 +93,16 @@ class Sampled:
     certified: bool
 
 
-def run_martingale(sample: Callable[[int, int], DataFrame], incidence: Callable[[DataFrame], DataFrame], keep: Callable[[DataFrame], DataFrame], n: int, k: int, eps: float, ell: float, most: int = 2_000_000, fresh_final: bool = False) -> Sampled:
+def run_martingale(sample: Callable[[int, int], DataFrame], incidence: Callable[[DataFrame], DataFrame], keep: Callable[[DataFrame], DataFrame], n: int, k: int, eps: float, ell: float, most: int | None = None, fresh_final: bool = False) -> Sampled:
     """Samples until a lower bound of the best cover is certain, then the number that it calls for.
 
-    ``sample(lo, hi)`` draws the sketches lo..hi-1. ``most`` bounds the work;
-    where it binds, the result isn't certified. With ``fresh_final`` the final
+    ``sample(lo, hi)`` draws the sketches lo..hi-1. ``most``, if given, bounds
+    the work; where it binds, the result isn't certified. With ``fresh_final`` the final
     sketches are all drawn anew, so that they don't depend on when sampling
     stopped.
     """
     done, drawn, lower = 0, None, 1.0
+    most = math.inf if most is None else most
 
     def upto(theta: int) -> None:
         nonlocal done, drawn
@@ -128,16 +130,18 @@ def run_martingale(sample: Callable[[int, int], DataFrame], incidence: Callable[
     return Sampled(drawn, done, lower, need <= done)
 
 
-def run_doubling(sample, incidence, keep, n: int, k: int, eps: float, ell: float, most: int = 2_000_000) -> Sampled:
+def run_doubling(sample, incidence, keep, n: int, k: int, eps: float, ell: float, most: int | None = None) -> Sampled:
     """Doubles two independent halves until the second confirms the first one's picks."""
     theta = max(64, trial_sketches(n, k, eps, ell, n / 2))
+    most = 1 << 40 if most is None else most
     while True:
         theta = min(theta, most // 2)
         a, b = keep(sample(0, theta)), keep(sample(most, most + theta))
         picks = cover_greedy(incidence(a), k)
         claimed = n * sum(c for _, c in picks) / theta
         nodes = [v for v, _ in picks]
-        hit = incidence(b).where(F.col("node").isin(nodes)).select("sketch").distinct().count()
+        drawn = incidence(b)
+        hit = drawn.join(id_frame(drawn.sparkSession, nodes), "node", "left_semi").select("sketch").distinct().count()
         seen = n * hit / theta
         if hit >= 1 + (2 + 2 * eps / 3) * math.log(2 * max(n, 2) ** ell) / (eps * eps) and claimed <= (1 + eps) * seen or 2 * theta >= most:
             return Sampled(a, theta, max(1.0, seen / (1 + eps)), 2 * theta < most)
