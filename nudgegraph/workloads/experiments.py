@@ -17,12 +17,13 @@ from nudgegraph.model import BoostGraph, BoostProblem, Solution, with_boost
 from nudgegraph.operators.baselines import hop_profile
 from nudgegraph.operators.diffusion import boost_exact, boost_mc, spread_exact, spread_mc
 from nudgegraph.operators.sketches import critical_shares, sandwich_scatter, sketch_stats
-from nudgegraph.operators.trees import Tree, best_set, dp_rounded, greedy, spread
+from nudgegraph.operators.trees import Tree, dp_rounded, greedy, spread
 from nudgegraph.plans.solvers import allocate_budget, seeds_influential, seeds_random, solve
 from nudgegraph.session import Scratch
 from nudgegraph.sources import networks as net
 from nudgegraph.sources.tables import RUNS
 from nudgegraph.workloads.networks import graph_stats, largest_wcc
+from nudgegraph.workloads import sql
 from nudgegraph.workloads.sampled import COVER, GATE, PATH, STAR
 
 SOLVERS = ("sketch_full", "sketch_critical")
@@ -31,23 +32,25 @@ BASELINES = ("degree_global", "degree_local", "influence_rank", "extra_seeds")
 
 @dataclass(frozen=True)
 class Grid:
-    nets: tuple[str, ...] = ("customers", "events_6h")
-    ks: tuple[int, ...] = (2, 10, 25)
-    betas: tuple[float, ...] = (2.0, 3.0, 4.0)
+    nets: tuple[str, ...] = ("customers", "events_6h", "suppliers", "embeddings")
+    ks: tuple[int, ...] = (2, 10, 25, 50)
+    betas: tuple[float, ...] = (2.0, 3.0, 4.0, 5.0, 6.0)
     runs: int = 1000
     seeds: int = 15
-    random_sets: int = 2
+    random_sets: int = 5
     eps: float = 0.5
     theta: int | None = 6000
     sets: int = 300
-    tree_eps: tuple[float, ...] = (0.4, 0.6, 0.8, 1.0)
-    tree_sizes: tuple[int, ...] = (15, 31, 63)
-    tree_k: int = 3
-    budget: int = 6
-    ratios: tuple[int, ...] = (5, 20)
-    fractions: tuple[float, ...] = (0.4, 0.8, 1.0)
+    tree_n: int = 2000
+    tree_eps: tuple[float, ...] = (0.2, 0.4, 0.6, 0.8, 1.0)
+    tree_sizes: tuple[int, ...] = (250, 500, 1000, 2000)
+    tree_k: int = 25
+    tree_seeds: int = 50
+    budget: int = 10
+    ratios: tuple[int, ...] = (5, 10, 20, 40)
+    fractions: tuple[float, ...] = (0.2, 0.4, 0.6, 0.8, 1.0)
     reps: int = 1
-    salts: tuple[int, ...] = (1, 2)
+    salts: tuple[int, ...] = (1, 2, 3, 4, 5)
 
 
 DEFAULT = Grid()
@@ -55,7 +58,7 @@ DEFAULT = Grid()
 
 def grid_for(sf_dir: str) -> Grid:
     if sf_dir.rstrip("/").endswith("sf0.1"):
-        return replace(DEFAULT, ks=(5, 50, 150), seeds=50, runs=20_000, random_sets=5, theta=None, reps=5)
+        return replace(DEFAULT, ks=(5, 50, 150, 500), seeds=50, runs=20_000, theta=None, budget=50, tree_k=50, reps=5)
     return DEFAULT
 
 
@@ -81,19 +84,25 @@ def _seeds(graph: BoostGraph, grid: Grid, mode: str, set_no: int = 0) -> list[in
     return seeds_influential(graph, min(grid.seeds, graph.n // 10 or 1), theta=grid.theta) if mode == "influential" else seeds_random(graph, max(2, graph.n // 30), set_no)
 
 
-def _solve(problem: BoostProblem, method: str, grid: Grid, salt: int = 1) -> tuple[Solution, float]:
+def _solve(problem: BoostProblem, method: str, grid: Grid, salt: int = 1, **more) -> tuple[Solution, float]:
     start = time.time()
-    options = {"theta": grid.theta, "salt": salt} if method in (*SOLVERS, "sandwich", "extra_seeds") else {"runs": max(200, grid.runs // 5)} if method.startswith("degree") else {}
+    options = more if method == "sketch_full" else {}
+    options = options | ({"theta": grid.theta, "salt": salt} if method in (*SOLVERS, "sandwich", "extra_seeds") else {"runs": max(200, grid.runs // 5)} if method.startswith("degree") else {})
     got = solve(problem, method, **options)
     return got, time.time() - start
 
 
 def w01(spark: SparkSession, sf_dir: str, grid: Grid = DEFAULT) -> DataFrame:
-    """Networks after learning, dropping zeros and keeping the largest component."""
+    """Networks after learning, dropping zeros and keeping the largest component: size, mean chance, spread of both kinds of seeds."""
     rows = []
-    for name in ("customers", "customers_90d", "events_6h", "suppliers", "embeddings"):
-        s = graph_stats(network(spark, sf_dir, name).edges).first()
+    for name in grid.nets:
+        g = network(spark, sf_dir, name)
+        s = graph_stats(g.edges).first()
         rows += [_row("w01", m, s[m], net=name) for m in ("n", "m", "avg_p")]
+        for mode in ("influential", "random"):
+            seeds = _seeds(g, grid, mode)
+            r = spread_mc(g, seeds, runs=grid.runs).first()
+            rows.append(_row("w01", "spread", r.spread, net=name, mode=mode, k=len(seeds), stderr=r.stderr))
     return _table(spark, rows)
 
 
@@ -120,27 +129,42 @@ def w03(spark: SparkSession, sf_dir: str, grid: Grid = DEFAULT) -> DataFrame:
     return _table(spark, rows)
 
 
-def compare(spark: SparkSession, sf_dir: str, exp: str, grid: Grid, modes: tuple[str, ...], methods: tuple[str, ...]) -> DataFrame:
-    """Boost, seconds and sketch measures of each method by k."""
+def memory(graph: BoostGraph, got: Solution) -> tuple[int, int]:
+    """(all, extra) bytes: the edges as sent to a worker and the sketches; the sketches alone."""
+    extra = int(sketch_stats(got.sketches).first().estimated_bytes) if got.sketches is not None else 0
+    return 2 * 24 * graph.m + 24 * graph.n + extra, extra
+
+
+def compare(spark: SparkSession, sf_dir: str, exp: str, grid: Grid, modes: tuple[str, ...], methods: tuple[str, ...], **more) -> DataFrame:
+    """Boost, seconds by phase, bytes and sketch measures of each method by k; with random seeds for each of the sets."""
     rows = []
     for name in grid.nets:
         g = network(spark, sf_dir, name)
         for mode in modes:
-            seeds = _seeds(g, grid, mode)
-            for k in grid.ks:
-                p = _problem(g, seeds, k)
-                for method in methods:
-                    for rep in range(grid.reps):
-                        got, seconds = _solve(p, method, grid, 1 + rep)
-                        at = {"net": name, "solver": method, "mode": mode, "k": k, "rep": rep}
-                        r = boost_mc(g, seeds, got.boost, grid.runs).first()
-                        rows += [_row(exp, "boost", r.delta, stderr=r.stderr, **at), _row(exp, "seconds", seconds, **at)]
-                        if got.sketches is not None:
-                            s = sketch_stats(got.sketches).first()
-                            rows += [_row(exp, m, s[m], **at) for m in ("raw_edges", "compressed_edges", "compression", "estimated_bytes", "critical_nodes", "touched", "theta") if s[m] is not None]
+            for set_no in range(grid.random_sets if mode == "random" else 1):
+                seeds = _seeds(g, grid, mode, set_no)
+                for k in grid.ks:
+                    p = _problem(g, seeds, k)
+                    for method in methods:
+                        for rep in range(grid.reps):
+                            got, seconds = _solve(p, method, grid, 1 + rep, **more)
+                            at = {"net": name, "solver": method, "mode": mode, "k": k, "rep": set_no * grid.reps + rep}
+                            r = boost_mc(g, seeds, got.boost, grid.runs).first()
+                            rows += [_row(exp, "boost", r.delta, stderr=r.stderr, **at), _row(exp, "seconds", seconds, **at)]
+                            rows += [_row(exp, f"seconds_{phase}", x, **at) for phase, x in got.report.values.get("seconds", {}).items()]
+                            if got.sketches is not None:
+                                s, (whole, extra) = sketch_stats(got.sketches).first(), memory(g, got)
+                                rows += [_row(exp, m, s[m], **at) for m in ("raw_edges", "compressed_edges", "compression", "estimated_bytes", "critical_nodes", "touched", "theta") if s[m] is not None]
+                                rows += [_row(exp, "total_bytes", whole, **at), _row(exp, "extra_bytes", extra, **at)]
     return _table(spark, rows)
 
 
+def mean_of_reps(t: DataFrame) -> DataFrame:
+    """The mean over repetitions and seed sets of each cell; its standard error from their spread."""
+    keys = ["exp", "net", "solver", "seeds_mode", "k", "beta", "eps", "measure"]
+    return t.groupBy(*keys).agg(F.avg("value").alias("value"), F.coalesce(F.stddev_samp("value") / F.sqrt(F.count("*")), F.lit(0.0)).alias("stderr"))
+
+
 def w04(spark, sf_dir, grid: Grid = DEFAULT):
     """Boost by k with influential seeds, solvers and all baselines."""
     return compare(spark, sf_dir, "w04", grid, ("influential",), (*SOLVERS, *BASELINES))
@@ -155,8 +179,11 @@ def w05(spark, sf_dir, grid: Grid = DEFAULT):
 
 
 def w06(spark, sf_dir, grid: Grid = DEFAULT):
-    """Edges before and after compression, their ratio, and bytes, at the smallest and the largest k."""
-    return compare(spark, sf_dir, "w06", replace(grid, ks=(min(grid.ks), max(grid.ks))), ("influential",), SOLVERS).where("measure not in ('boost', 'seconds')")
+    """Edges before and after compression, their ratio, and bytes, at the smallest and the largest k; and all that without compression."""
+    ends = replace(grid, ks=(min(grid.ks), max(grid.ks)))
+    kept = compare(spark, sf_dir, "w06", ends, ("influential",), SOLVERS)
+    raw = compare(spark, sf_dir, "w06", replace(ends, ks=ends.ks[:1]), ("influential",), SOLVERS[:1], squeeze=False).withColumn("solver", F.lit("sketch_full_uncompressed"))
+    return kept.unionByName(raw).where("measure not like 'seconds_%'")
 
 
 def w07(spark, sf_dir, grid: Grid = DEFAULT, mode: str = "influential", exp: str = "w07"):
@@ -170,9 +197,10 @@ def w07(spark, sf_dir, grid: Grid = DEFAULT, mode: str = "influential", exp: str
             got, _ = _solve(p, "sketch_full", grid)
             others = [r.node for r in p.candidates().collect()]
             at = {"net": name, "solver": "sketch_full", "mode": mode, "k": k}
-            s = sandwich_scatter(got.sketches, got.boost, sorted(others), g.n, got.report.theta, grid.sets).agg(F.min("ratio").alias("lo"), F.count("*").alias("n")).first()
-            if s.n:
-                rows.append(_row(exp, "least_ratio", s.lo, **at))
+            points = sandwich_scatter(got.sketches, got.boost, sorted(others), g.n, got.report.theta, grid.sets).collect()
+            rows += [_row(exp, "point_ratio", r.ratio, **at | {"rep": r.set_id}) for r in points] + [_row(exp, "point_boost", r.delta, **at | {"rep": r.set_id}) for r in points]
+            if points:
+                rows.append(_row(exp, "least_ratio", min(r.ratio for r in points), **at))
             rows.append(_row(exp, "ratio", got.report.lower_ratio, **at))
             c = critical_shares(got.sketches, got.boost).first()
             rows += [_row(exp, m, c[m], **at) for m in ("with_critical", "critical_boosted", "critical_not_boosted")]
@@ -217,20 +245,26 @@ def w10(spark, sf_dir, grid: Grid = DEFAULT):
     return _table(spark, rows)
 
 
-def _tree(spark, n: int, salt: int, share: int = 6) -> Tree:
-    pairs = net.complete_binary_tree(spark, n)
-    rows = [(r.src, r.dst, r.p, r.q) for r in with_boost(net.trivalency(net.two_way(pairs), salt, (0.3, 0.2, 0.1))).select("src", "dst", "p", "q").collect()]
-    return Tree(rows, set(range(1, n, share)), 0)
+def _tree_of(spark, pairs: DataFrame, grid: Grid, salt: int) -> Tree:
+    """A tree with drawn chances, and influential seeds from reach sets on it."""
+    edges = Scratch(spark, "tree").keep(with_boost(net.trivalency(net.two_way(pairs), salt)).select("src", "dst", "p", "q"), "edges")
+    graph = BoostGraph.from_edges(edges)
+    seeds = seeds_influential(graph, grid.tree_seeds, salt=salt, theta=20_000 if grid.theta else None)
+    return Tree([tuple(r) for r in edges.collect()], set(seeds), 0)
+
+
+def _tree(spark, n: int, salt: int, grid: Grid) -> Tree:
+    return _tree_of(spark, net.complete_binary_tree(spark, n), grid, salt)
 
 
-def _tree_rows(exp, tree, k, eps_list, **at):
+def _tree_rows(exp, tree, k, eps_list, variant="binary", **at):
     start = time.time()
     value = greedy(tree, k)[1]
     rows = [_row(exp, "boost", value, solver="tree_greedy", k=k, eps=0, **at), _row(exp, "seconds", time.time() - start, solver="tree_greedy", k=k, eps=0, **at)]
     for eps in eps_list:
         start = time.time()
-        chosen, rounded, _ = dp_rounded(tree, k, eps, "binary")
-        rows += [_row(exp, "boost", spread(tree, set(chosen)) - spread(tree), solver="tree_dp", k=k, eps=eps, **at), _row(exp, "rounded", rounded, solver="tree_dp", k=k, eps=eps, **at), _row(exp, "seconds", time.time() - start, solver="tree_dp", k=k, eps=eps, **at)]
+        chosen, rounded, _ = dp_rounded(tree, k, eps, variant)
+        rows += [_row(exp, "seconds", time.time() - start, solver="tree_dp", k=k, eps=eps, **at), _row(exp, "boost", spread(tree, set(chosen)) - spread(tree), solver="tree_dp", k=k, eps=eps, **at), _row(exp, "rounded", rounded, solver="tree_dp", k=k, eps=eps, **at)]
     return rows
 
 
@@ -238,24 +272,26 @@ def w11(spark, sf_dir, grid: Grid = DEFAULT):
     """Greedy against the rounded programme by its eps, on binary trees of one size and several draws."""
     rows = []
     for salt in grid.salts:
-        rows += _tree_rows("w11", _tree(spark, grid.tree_sizes[0], salt), grid.tree_k, grid.tree_eps, net=f"binary_{grid.tree_sizes[0]}", rep=salt)
+        rows += _tree_rows("w11", _tree(spark, grid.tree_n, salt, grid), grid.tree_k, grid.tree_eps, net=f"binary_{grid.tree_n}", rep=salt)
     return _table(spark, rows)
 
 
 def w12(spark, sf_dir, grid: Grid = DEFAULT):
-    """The same by the tree's size at one eps; greedy also on the whole tree of parts."""
+    """The same by the tree's size at one eps, several draws each."""
     rows = []
     for n in grid.tree_sizes:
-        rows += _tree_rows("w12", _tree(spark, n, grid.salts[0]), grid.tree_k, (1.0,) if n > 20 else (0.5,), net=f"binary_{n}")
-    rows += _tree_rows("w12", _tree(spark, 2000, grid.salts[0], 40), 10, (), net="binary_2000")
+        for salt in grid.salts:
+            rows += _tree_rows("w12", _tree(spark, n, salt, grid), grid.tree_k, (grid.eps,), net=f"binary_{n}", rep=salt)
     return _table(spark, rows)
 
 
 def w13(spark, sf_dir, grid: Grid = DEFAULT):
-    """Greedy on the tree of geography, whose nodes have any number of children."""
-    edges = with_boost(net.trivalency(net.two_way(net.tree_geography(spark, sf_dir))))
-    rows = [tuple(r) for r in edges.select("src", "dst", "p", "q").collect()]
-    return _table(spark, _tree_rows("w13", Tree(rows, set(range(1000, 1100)), 0), grid.tree_k, (), net="geography"))
+    """Greedy against the general programme on the tree of geography, whose nodes have any number of children."""
+    rows = []
+    for salt in grid.salts:
+        tree = _tree_of(spark, net.tree_geography(spark, sf_dir), grid, salt)
+        rows += _tree_rows("w13", tree, grid.tree_k, (1.0,), "general", net="geography", rep=salt)
+    return _table(spark, rows)
 
 
 def w14(spark, sf_dir, grid: Grid = DEFAULT):
@@ -284,70 +320,146 @@ def w15(spark, sf_dir, grid: Grid = DEFAULT):
 def w16(spark, sf_dir, grid: Grid = DEFAULT):
     """Edges examined a sketch and seconds by network: what the cost follows."""
     rows = []
-    for name in ("customers", "events_6h"):
+    for name in grid.nets:
         g = network(spark, sf_dir, name)
         got, seconds = _solve(_problem(g, _seeds(g, grid, "random"), min(grid.ks)), "sketch_critical", grid)
-        rows += [_row("w16", "touched", got.report.touched, net=name), _row("w16", "seconds", seconds, net=name), _row("w16", "m", g.m, net=name)]
+        rows += [_row("w16", "touched", got.report.touched, net=name), _row("w16", "seconds", seconds, net=name), _row("w16", "m", g.m, net=name), _row("w16", "n", g.n, net=name), _row("w16", "theta", got.report.theta, net=name)]
     return _table(spark, rows)
 
 
-SMALL = replace(DEFAULT, nets=("events_6h",), ks=(2, 6), runs=600, seeds=5, theta=4000, betas=(2.0, 4.0), budget=4, ratios=(5,), fractions=(0.5, 1.0), random_sets=2, sets=60)
+#: what the registered queries run: two of the four networks, fewer draws
+SMALL = replace(DEFAULT, nets=("events_6h", "embeddings"), ks=(2, 10), runs=1000, seeds=5, theta=4000, betas=(2.0, 4.0), random_sets=2, salts=(1,), tree_eps=(0.5, 1.0), tree_sizes=(250, 1000), tree_k=20)
 
 
 def _cells(df: DataFrame, measure: str) -> dict:
-    return {(r.net, r.solver, r.k, r.beta, r.eps, r.rep): (r.value, r.stderr) for r in df.where(F.col("measure") == measure).collect()}
+    """(net, solver, k, beta, eps) to (mean, standard error) over repetitions."""
+    out: dict = {}
+    for r in df.where(F.col("measure") == measure).collect():
+        out.setdefault((r.net, r.solver, r.k, r.beta, r.eps), []).append((r.value, r.stderr))
+    return {at: (sum(v for v, _ in got) / len(got), sum(e for _, e in got) / len(got)) for at, got in out.items()}
+
+
+def _kept(df: DataFrame) -> DataFrame:
+    return Scratch(df.sparkSession, "workload").keep(df, "rows")
+
+
+def _slack(*cells) -> float:
+    return 3 * sum(e for _, e in cells)
 
 
 def _boost_vs_k(mode):
+    """By network: no baseline is above the solvers, boosts grow with k, the critical-only solver comes close."""
+
     def query(spark, sf_dir):
-        t = _cells(compare(spark, sf_dir, "check", SMALL, (mode,), (*SOLVERS, *BASELINES)), "boost")
-        by = {(s, k): v for (_, s, k, *_), v in t.items()}
-        slack = lambda a, b: 3 * (a[1] + b[1])
-        solvers_first = all(by["sketch_full", k][0] >= by[b, k][0] - slack(by["sketch_full", k], by[b, k]) for k in SMALL.ks for b in BASELINES)
-        grows = all(by[s, SMALL.ks[0]][0] <= by[s, SMALL.ks[-1]][0] + slack(by[s, SMALL.ks[0]], by[s, SMALL.ks[-1]]) for s in SOLVERS)
-        close = all(by["sketch_critical", k][0] >= 0.8 * by["sketch_full", k][0] - slack(by["sketch_full", k], by["sketch_critical", k]) for k in SMALL.ks)
-        return spark.createDataFrame([(solvers_first, grows, close)], "solvers_first boolean, grows_with_k boolean, critical_is_close boolean")
+        rows = []
+        for name in SMALL.nets:
+            t = _cells(compare(spark, sf_dir, "check", replace(SMALL, nets=(name,)), (mode,), (*SOLVERS, *BASELINES)), "boost")
+            by = {(s, k): v for (_, s, k, *_), v in t.items()}
+            first = all(by["sketch_full", k][0] >= by[b, k][0] - _slack(by["sketch_full", k], by[b, k]) for k in SMALL.ks for b in BASELINES)
+            grows = all(by[s, SMALL.ks[0]][0] <= by[s, SMALL.ks[-1]][0] + _slack(by[s, SMALL.ks[0]], by[s, SMALL.ks[-1]]) for s in SOLVERS)
+            close = all(by["sketch_critical", k][0] >= 0.8 * by["sketch_full", k][0] - _slack(by["sketch_full", k], by["sketch_critical", k]) for k in SMALL.ks)
+            contrast = all(by["extra_seeds", k][0] <= by["sketch_full", k][0] for k in SMALL.ks)
+            rows.append((name, first, grows, close, contrast))
+        return spark.createDataFrame(rows, "net string, solvers_first boolean, grows_with_k boolean, critical_is_close boolean, extra_seeds_below boolean")
 
     return query
 
 
+def _speed(spark, sf_dir):
+    """Keeping critical nodes alone is faster, over all networks and k together."""
+    t = _cells(_kept(w05(spark, sf_dir, replace(SMALL, reps=2, theta=20_000))), "seconds")
+    total = {s: sum(v for (_, x, *_), (v, _) in t.items() if x == s) for s in SOLVERS}
+    return spark.createDataFrame([(total["sketch_critical"] < total["sketch_full"],)], "critical_is_faster boolean")
+
+
 def _beta(spark, sf_dir):
-    b = {(s, beta): v for (_, s, _, beta, _, _), v in _cells(Scratch(spark, "beta").keep(w08(spark, sf_dir, replace(SMALL, ks=(6,))), "rows"), "boost").items()}
-    return spark.createDataFrame([(all(b[s, 2.0][0] <= b[s, 4.0][0] + 3 * (b[s, 2.0][1] + b[s, 4.0][1]) for s in SOLVERS),)], "boost_grows_with_beta boolean")
+    """By network: the boost grows with the exponent, the share that the lower bound explains hardly changes."""
+    rows = []
+    for name in SMALL.nets:
+        t = _kept(w08(spark, sf_dir, replace(SMALL, nets=(name,), ks=(10,))))
+        b, r = ({(s, beta): v for (_, s, _, beta, _), v in _cells(t, m).items()} for m in ("boost", "ratio"))
+        grows = all(b[s, 2.0][0] <= b[s, 4.0][0] + _slack(b[s, 2.0], b[s, 4.0]) for s in SOLVERS)
+        rows.append((name, grows, abs(r["sketch_full", 2.0][0] - r["sketch_full", 4.0][0]) <= 0.15))
+    return spark.createDataFrame(rows, "net string, boost_grows_with_beta boolean, ratio_hardly_changes boolean")
 
 
 def _compress(spark, sf_dir):
-    t = Scratch(spark, "compress").keep(w06(spark, sf_dir, SMALL), "rows")
-    ratio, raw, small = (_cells(t.where("solver = 'sketch_full'"), m) for m in ("compression", "raw_edges", "compressed_edges"))
-    full, critical = ({k[2]: v[0] for k, v in _cells(t.where(F.col("solver") == s), "estimated_bytes").items()} for s in SOLVERS)
-    ok = all(abs(ratio[k][0] - raw[k][0] / small[k][0]) < 1e-6 and ratio[k][0] >= 1 for k in ratio)
-    return spark.createDataFrame([(ok, all(critical[k] <= full[k] for k in full))], "ratio_of_averages boolean, critical_is_smaller boolean")
+    t = _kept(w06(spark, sf_dir, SMALL))
+    ratio, raw, small, size = (_cells(t, m) for m in ("compression", "raw_edges", "compressed_edges", "estimated_bytes"))
+    full = [at for at in ratio if at[1] == "sketch_full"]
+    ok = all(abs(ratio[at][0] - raw[at][0] / small[at][0]) < 1e-6 and ratio[at][0] >= 1 for at in full)
+    less = all(size[at[0], "sketch_critical", *at[2:]][0] <= size[at][0] for at in full)
+    unsqueezed = all(size[at][0] <= size[at[0], "sketch_full_uncompressed", *at[2:]][0] for at in full if (at[0], "sketch_full_uncompressed", *at[2:]) in size)
+    return spark.createDataFrame([(ok, less, unsqueezed)], "ratio_of_averages boolean, critical_is_smaller boolean, uncompressed_is_larger boolean")
 
 
 def _budget(spark, sf_dir):
-    t = _cells(Scratch(spark, "budget").keep(w10(spark, sf_dir, SMALL), "rows"), "spread")
-    return spark.createDataFrame([(len(t) == 2, all(v[0] >= 2 for v in t.values()))], "both_mixes boolean, above_seeds boolean")
+    """Some mix beats seeds alone where boosts are cheap, and the cheaper they are the more it gains."""
+    grid = replace(SMALL, nets=("events_6h",), ratios=(5, 20))
+    t = _cells(_kept(w10(spark, sf_dir, grid)), "gain_over_seeds")
+    best = {ratio: max(v for (_, s, *_), (v, _) in t.items() if s.startswith(f"ratio={ratio} ")) for ratio in grid.ratios}
+    return spark.createDataFrame([(len(t) == len(grid.ratios) * len(grid.fractions), best[20] > 0, best[20] >= best[5] - 0.05)], "all_mixes boolean, a_mix_beats_seeds boolean, gain_grows_with_ratio boolean")
 
 
 def _tree_eps(spark, sf_dir):
-    t = _cells(Scratch(spark, "eps").keep(w11(spark, sf_dir, replace(DEFAULT, tree_eps=(0.5, 1.0), salts=(1,))), "rows"), "boost")
-    by = {(s, eps): v[0] for (_, s, _, _, eps, _), v in t.items()}
-    best = best_set(_tree(spark, DEFAULT.tree_sizes[0], 1), DEFAULT.tree_k)[1]
-    return spark.createDataFrame([(by["tree_greedy", 0.0] >= 0.95 * best, by["tree_dp", 0.5] <= best + 1e-9)], "greedy_near_best boolean, programme_below_best boolean")
+    """Greedy and the programme agree, eps hardly moves the boost but the time, greedy is far faster."""
+    t = _kept(w11(spark, sf_dir, SMALL))
+    boost, seconds = ({(s, eps): v[0] for (_, s, _, _, eps), v in _cells(t, m).items()} for m in ("boost", "seconds"))
+    near = all(boost["tree_greedy", 0.0] >= 0.98 * boost["tree_dp", eps] for eps in SMALL.tree_eps)
+    flat = abs(boost["tree_dp", 0.5] - boost["tree_dp", 1.0]) <= 0.02 * boost["tree_dp", 0.5]
+    return spark.createDataFrame([(near, flat, seconds["tree_dp", 1.0] < seconds["tree_dp", 0.5], 10 * seconds["tree_greedy", 0.0] < seconds["tree_dp", 1.0])], "greedy_near_programme boolean, boost_flat_in_eps boolean, larger_eps_is_faster boolean, greedy_far_faster boolean")
 
 
 def _tree_size(spark, sf_dir):
-    t = Scratch(spark, "size").keep(w12(spark, sf_dir, replace(DEFAULT, tree_sizes=(7, 15))), "rows")
-    boost, seconds = _cells(t, "boost"), _cells(t, "seconds")
-    pick = lambda cells, n, s: next(v[0] for k, v in cells.items() if k[0] == f"binary_{n}" and k[1] == s)
-    overlap = all(pick(boost, n, "tree_greedy") >= pick(boost, n, "tree_dp") * 0.98 for n in (7, 15))
-    return spark.createDataFrame([(overlap, pick(seconds, 15, "tree_greedy") < pick(seconds, 15, "tree_dp"))], "boosts_overlap boolean, greedy_is_faster boolean")
+    t = _kept(w12(spark, sf_dir, SMALL))
+    boost, seconds = ({(name, s): v[0] for (name, s, *_), v in _cells(t, m).items()} for m in ("boost", "seconds"))
+    names = [f"binary_{n}" for n in SMALL.tree_sizes]
+    overlap = all(abs(boost[n, "tree_greedy"] - boost[n, "tree_dp"]) <= 0.02 * boost[n, "tree_dp"] for n in names)
+    return spark.createDataFrame([(overlap, all(seconds[n, "tree_greedy"] < seconds[n, "tree_dp"] for n in names), seconds[names[0], "tree_dp"] < seconds[names[-1], "tree_dp"])], "boosts_overlap boolean, greedy_is_faster boolean, programme_slows_with_size boolean")
+
+
+def _tree_general(spark, sf_dir):
+    t = _kept(w13(spark, sf_dir, SMALL))
+    boost, rounded = ({s: v[0] for (_, s, *_), v in _cells(t, m).items()} for m in ("boost", "rounded"))
+    return spark.createDataFrame([(boost["tree_greedy"] >= 0.98 * boost["tree_dp"], rounded["tree_dp"] <= boost["tree_dp"] + 1e-9)], "greedy_near_programme boolean, rounding_only_lowers boolean")
 
 
 def _ratio(spark, sf_dir):
-    t = _cells(w07(spark, sf_dir, replace(SMALL, ks=(2, 10))), "ratio")
-    by = {k[2]: v[0] for k, v in t.items()}
-    return spark.createDataFrame([(all(0 < v <= 1 for v in by.values()), by[10] <= by[2] + 0.05)], "in_range boolean, falls_with_k boolean")
+    """By network: all points lie in (0, 1], and neither the returned set's ratio nor the least one rises with k."""
+    rows = []
+    for name in SMALL.nets:
+        t = _kept(w07(spark, sf_dir, replace(SMALL, nets=(name,), ks=(2, 10, 25))))
+        by, least, points = (_cells(t, m) for m in ("ratio", "least_ratio", "point_ratio"))
+        own, low = ({at[2]: v[0] for at, v in c.items()} for c in (by, least))
+        rows.append((name, all(0 < v <= 1 for v, _ in points.values()) and all(0 < v <= 1 for v in own.values()), own[25] <= own[2] + 0.05, low[25] <= low[2] + 0.1))
+    return spark.createDataFrame(rows, "net string, in_range boolean, falls_with_k boolean, least_falls_with_k boolean")
+
+
+def _seed_spread(spark, sf_dir):
+    """By network: influential seeds spread further than random ones of the same number."""
+    rows = []
+    for name in SMALL.nets:
+        g = network(spark, sf_dir, name)
+        a, b = seeds_influential(g, 5, theta=4000), [seeds_random(g, 5, i) for i in range(3)]
+        best, other = spread_mc(g, a, runs=1000).first(), [spread_mc(g, x, runs=1000).first() for x in b]
+        rows.append((name, all(best.spread >= o.spread - 3 * (best.stderr + o.stderr) for o in other)))
+    return spark.createDataFrame(rows, "net string, influential_spread_further boolean")
+
+
+def _cost_shape(spark, sf_dir):
+    """Edges examined a sketch follow how easily activation spreads, not the network's size alone."""
+    t = _cells(_kept(w16(spark, sf_dir, replace(SMALL, nets=("customers", "events_6h", "suppliers"), theta=1000))), "touched")
+    by = {name: v[0] for (name, *_), v in t.items()}
+    return spark.createDataFrame([(by["suppliers"] > by["customers"] and by["suppliers"] > by["events_6h"],)], "dense_costs_most boolean")
+
+
+def _preparation(spark, sf_dir):
+    """Nodes, edges and mean chance of each network's largest component."""
+    out = None
+    for name in DEFAULT.nets:
+        row = graph_stats(network(spark, sf_dir, name).edges).withColumn("net", F.lit(name))
+        out = row if out is None else out.unionByName(row)
+    return out.withColumn("avg_p", F.round("avg_p", 5))
 
 
 def _examples(spark, sf_dir):
@@ -359,14 +471,36 @@ def _contrast(spark, sf_dir):
 
 
 QUERIES = {
-    "exp_boost_vs_k_p": _boost_vs_k("influential"), "exp_random_seeds_p": _boost_vs_k("random"), "exp_beta_p": _beta, "exp_compression_p": _compress, "exp_budget_p": _budget, "exp_sandwich_ratio_p": _ratio,
-    "exp_tree_eps_p": _tree_eps, "exp_tree_size_p": _tree_size, "exp_worked_examples": _examples, "exp_seed_contrast": _contrast,
+    "exp_boost_vs_k_p": _boost_vs_k("influential"), "exp_random_seeds_p": _boost_vs_k("random"), "exp_speedup_p": _speed, "exp_beta_p": _beta, "exp_compression_p": _compress, "exp_budget_p": _budget, "exp_sandwich_ratio_p": _ratio,
+    "exp_tree_eps_p": _tree_eps, "exp_tree_size_p": _tree_size, "exp_tree_general_p": _tree_general, "exp_seed_spread_p": _seed_spread, "exp_cost_shape_p": _cost_shape, "exp_preparation": _preparation,
+    "exp_worked_examples": _examples, "exp_seed_contrast": _contrast,
 }
-_WANT = "select true as solvers_first, true as grows_with_k, true as critical_is_close"
+
+
+def _true(*columns: str, nets: bool = False) -> str:
+    """All stated behaviours hold, for each network if they are told by network."""
+    holds = ", ".join(f"true as {c}" for c in columns)
+    return " union all ".join(f"select '{name}' as net, {holds}" for name in SMALL.nets) if nets else f"select {holds}"
+
+
+def _preparation_sql() -> str:
+    """Each network, its largest weak component and that component's measures."""
+    parts = {"customers": sql.customers(), "events_6h": sql.events(), "suppliers": sql.SUPPLIERS, "embeddings": sql.EMBEDDINGS}
+    out = []
+    for i, (name, text) in enumerate(parts.items()):
+        out.append(f"""e{i} as materialized (select src, dst, p from ({text}) where p > 0), b{i} as materialized (select src as a, dst as b from e{i} union select dst, src from e{i}),
+r{i} as (select a as x, a as o from b{i} union select b{i}.b, r{i}.o from r{i} join b{i} on b{i}.a = r{i}.x), l{i} as materialized (select x, min(o) as c from r{i} group by x),
+t{i} as materialized (select c from l{i} group by c order by count(*) desc, c limit 1), k{i} as materialized (select * from e{i} where src in (select x from l{i} where c = (select c from t{i})))""")
+    rows = [f"select '{name}' as net, (select count(*) from (select src from k{i} union select dst from k{i})) as n, count(*) as m, round(round(avg(p), 6), 5) as avg_p from k{i}" for i, name in enumerate(parts)]
+    return f"with recursive {', '.join(out)} {' union all '.join(rows)}"
+
+
+_WANT = _true("solvers_first", "grows_with_k", "critical_is_close", "extra_seeds_below", nets=True)
 ORACLES = {
-    "exp_boost_vs_k_p": _WANT, "exp_random_seeds_p": _WANT, "exp_beta_p": "select true as boost_grows_with_beta", "exp_compression_p": "select true as ratio_of_averages, true as critical_is_smaller",
-    "exp_budget_p": "select true as both_mixes, true as above_seeds", "exp_sandwich_ratio_p": "select true as in_range, true as falls_with_k",
-    "exp_tree_eps_p": "select true as greedy_near_best, true as programme_below_best", "exp_tree_size_p": "select true as boosts_overlap, true as greedy_is_faster",
+    "exp_boost_vs_k_p": _WANT, "exp_random_seeds_p": _WANT, "exp_speedup_p": _true("critical_is_faster"), "exp_beta_p": _true("boost_grows_with_beta", "ratio_hardly_changes", nets=True), "exp_compression_p": _true("ratio_of_averages", "critical_is_smaller", "uncompressed_is_larger"),
+    "exp_budget_p": _true("all_mixes", "a_mix_beats_seeds", "gain_grows_with_ratio"), "exp_sandwich_ratio_p": _true("in_range", "falls_with_k", "least_falls_with_k", nets=True),
+    "exp_tree_eps_p": _true("greedy_near_programme", "boost_flat_in_eps", "larger_eps_is_faster", "greedy_far_faster"), "exp_tree_size_p": _true("boosts_overlap", "greedy_is_faster", "programme_slows_with_size"),
+    "exp_tree_general_p": _true("greedy_near_programme", "rounding_only_lowers"), "exp_seed_spread_p": _true("influential_spread_further", nets=True), "exp_cost_shape_p": _true("dense_costs_most"), "exp_preparation": _preparation_sql(),
     "exp_worked_examples": "select net, measure, value::double as value from (values ('path', 'spread', 1.44), ('path', 'boost', 0.22), ('star', 'spread', 2.37829), ('star', 'boost', 0.16929), ('cover', 'spread', 9.5), ('cover', 'boost', 3.25), ('gate', 'spread', 2.75), ('gate', 'boost', 0.3125)) t(net, measure, value)",
     "exp_seed_contrast": "select solver, measure, value::double as value from (values ('boost 1', 'boost', 0.22), ('seed 1', 'spread', 2.1), ('boost 2', 'boost', 0.02), ('seed 2', 'spread', 2.2)) t(solver, measure, value)",
 }
