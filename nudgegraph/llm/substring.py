@@ -1,15 +1,18 @@
 """Substring deduplication over sliding spans of sentences.
 
 A text is tiled into pieces that end with sentence marks or line ends; pieces
-with words are its sentences. From each sentence starts one span: the shortest
-run of at least ``sentences`` sentences that has at least ``words`` words. A
-span's first occurrence, by (doc_id, place), stays; sentences covered by any
-other occurrence go.
+with words are its sentences. Every run of ``sentences`` consecutive sentences
+is a span, and so is a single sentence of at least ``words`` words. A span's
+first occurrence, by (doc_id, place), stays; sentences that any other
+occurrence covers are covered, and unbroken stretches of covered sentences that
+have at least ``words`` words in all go.
 
 A repeat inside a document is seen there and then, so each document sends each
-span once. The join needs the smallest document of a span only, which partial
-aggregation finds before the shuffle; a span in a third of all documents is a
-skewed join key that adaptive execution splits.
+span once; spans are computed once and kept as hashes. The join needs the
+smallest document of a span only, which partial aggregation finds before the
+shuffle; a span in a third of all documents is a skewed join key that adaptive
+execution splits. A document's hits are hashes too, never places, so a row
+loses only what it holds itself.
 
 Runs of a given number of words are a second rule, blind to sentences: all
 words go that lie in a run which an earlier place holds. The mark of a run is
@@ -30,6 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from nudgegraph.llm.text import need, words_of
+from nudgegraph.session import Scratch
 
 TILE = r"[^.!?\n]*[.!?\n]+|[^.!?\n]+"
 _WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -51,16 +55,25 @@ def _tiles(text: str | None) -> tuple[list[str], list[int], list[bytes], list[in
 
 
 def _spans(digest: list[bytes], size: list[int], sentences: int, words: int) -> list[tuple[int, int, int]]:
-    """(start, end, hash) of every span; end is exclusive and never moves back."""
-    joined, out, end, total = b"".join(digest), [], 0, 0
-    for start in range(len(size)):
-        while end < len(size) and (end - start < sentences or total < words):
-            total += size[end]
-            end += 1
-        if end - start < sentences or total < words:
-            break
-        out.append((start, end, xxhash.xxh3_64_intdigest(joined[8 * start : 8 * end]) - (1 << 63)))
-        total -= size[start]
+    """(start, end, hash) of every span, by start; end is exclusive."""
+    joined, out = b"".join(digest), []
+    for start, n in enumerate(size):
+        for end in ((start + 1, start + sentences) if n >= words and sentences > 1 else (start + sentences,)):
+            if end <= len(size):
+                out.append((start, end, xxhash.xxh3_64_intdigest(joined[8 * start : 8 * end]) - (1 << 63)))
+    return out
+
+
+def _stretches(covered: set[int], size: list[int], words: int) -> set[int]:
+    """Of the covered sentences those in unbroken stretches with enough words."""
+    out, now, total = set(), [], 0
+    for i in [*sorted(covered), -1]:
+        if now and i != now[-1] + 1:
+            if total >= words:
+                out.update(now)
+            now, total = [], 0
+        now.append(i)
+        total += size[i] if i >= 0 else 0
     return out
 
 
@@ -165,23 +178,19 @@ def _covered(text: str | None, hits: np.ndarray, run: int) -> list[tuple[int, in
 def _first_here(sentences: int, words: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            hashes, ids, starts = [], [], []
+            hashes, ids = [], []
 
-            def out(hashes=hashes, ids=ids, starts=starts):
-                return pa.RecordBatch.from_arrays([pa.array(hashes, pa.int64()), pa.array(ids, pa.int64()), pa.array(starts, pa.int32())], ["span", "doc_id", "start"])
+            def out(hashes=hashes, ids=ids):
+                return pa.RecordBatch.from_arrays([pa.array(hashes, pa.int64()), pa.array(ids, pa.int64())], ["span", "doc_id"])
 
             for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 _, _, digest, size = _tiles(text.as_py())
-                seen = set()
-                for start, _, h in _spans(digest, size, sentences, words):
-                    if h not in seen:
-                        seen.add(h)
-                        hashes.append(h)
-                        ids.append(doc_id)
-                        starts.append(start)
+                mine = {h for _, _, h in _spans(digest, size, sentences, words)}
+                hashes.extend(mine)
+                ids.extend([doc_id] * len(mine))
                 if len(hashes) > 200_000:
                     yield out()
-                    hashes.clear(), ids.clear(), starts.clear()
+                    hashes.clear(), ids.clear()
             yield out()
 
     return run
@@ -213,12 +222,12 @@ def _without(sentences: int, words: int, length: int | None):
             for text, hits, runs in zip(batch.column(1), batch.column(2), batch.column(3), strict=True):
                 text, hits = text.as_py(), set(hits.as_py() or ())
                 tiles, at, digest, size = _tiles(text)
-                seen, gone, upto = set(), set(), 0
+                seen, gone = set(), set()
                 for start, end, h in _spans(digest, size, sentences, words):
-                    if start in hits or h in seen:
-                        gone.update(range(max(start, upto), end))
-                        upto = end
+                    if h in hits or h in seen:
+                        gone.update(range(start, end))
                     seen.add(h)
+                gone = _stretches(gone, size, words)
                 cut = {at[i] for i in gone}
                 covered = _covered(text, np.array(runs.as_py() or (), np.int64), length) if length else []
                 if covered:
@@ -246,12 +255,13 @@ def substring_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     A null text stays null; empty texts stay empty; a document that is removed
     whole keeps its row with an empty text. Rows that repeat a ``doc_id`` count
     as one document, as do all rows with a null ``doc_id``, which come after
-    all others; repeats between such rows stay. Other columns than ``carry``
+    all others; repeats between such rows stay, and each row loses only
+    sentences of its own that a smaller id holds. Other columns than ``carry``
     are ignored. Empty tables give an empty result.
     """
     own = need(docs, id_col, text_col).toDF("doc_id", "text")
-    spans = own.mapInArrow(_first_here(sentences, words), "span long, doc_id long, start int")
-    hits = _held_before(spans, "span").groupBy("doc_id").agg(F.collect_list("start").alias("hits")).withColumnRenamed("doc_id", "of")
+    spans = Scratch(docs.sparkSession, "substring").keep(own.mapInArrow(_first_here(sentences, words), "span long, doc_id long"), "spans")
+    hits = _held_before(spans, "span").groupBy("doc_id").agg(F.collect_set("span").alias("hits")).withColumnRenamed("doc_id", "of")
     whole = need(docs, id_col, text_col, *carry).toDF("doc_id", "text", *carry)
     found = whole.join(hits, F.col("doc_id").eqNullSafe(F.col("of")), "left")
     if run:
@@ -275,20 +285,18 @@ with tiles as (
          row_number() over (partition by doc_id order by pos) as i,
          sum(len(w)) over (partition by doc_id order by pos) as upto
   from worded where len(w) > 0
-), ends as (
-  select a.doc_id, a.i, min(b.i) as e
-  from sentences a join sentences b on a.doc_id = b.doc_id and b.i between a.i + 1 and a.i + 20 and b.upto - a.upto + a.n >= 20
-  group by a.doc_id, a.i
 ), spans as (
-  select x.doc_id, x.i, x.e, string_agg(s.norm, chr(1) order by s.i) as span
-  from ends x join sentences s on s.doc_id = x.doc_id and s.i between x.i and x.e
-  group by x.doc_id, x.i, x.e
+  select doc_id, i, i as e, 'one ' || norm as span from sentences where n >= 20
+  union all
+  select a.doc_id, a.i, b.i, 'two ' || a.norm || chr(1) || b.norm from sentences a join sentences b on a.doc_id = b.doc_id and b.i = a.i + 1
 ), ranked as (
   select doc_id, i, e, row_number() over (partition by span order by doc_id, i) as nth from spans
+), covered as (
+  select distinct s.doc_id, s.pos, s.i, s.n from ranked r join sentences s on s.doc_id = r.doc_id and s.i in (r.i, r.e) where r.nth > 1
+), stretches as (
+  select *, i - row_number() over (partition by doc_id order by i) as stretch from covered
 ), gone as (
-  select distinct r.doc_id, s.pos
-  from ranked r join sentences s on s.doc_id = r.doc_id and s.i between r.i and r.e
-  where r.nth > 1
+  select doc_id, pos from (select *, sum(n) over (partition by doc_id, stretch) as total from stretches) where total >= 20
 ), left_over as (
   select t.doc_id, string_agg(t.tile, '' order by t.pos) as text
   from tiles t left join gone g on g.doc_id = t.doc_id and g.pos = t.pos
