@@ -14,8 +14,11 @@ The product over all bits is the probability of the sequence.
 Learning gathers byte sequences of the whole training part with their counts,
 a table that grows with the corpus, and works on that: predictor counts are
 sums over it, weights are learned online over it with each sequence's own
-count left out, and the refinement is counted over it. A worker holds the
-table and one shard of the sequences at a time.
+count left out, and the refinement is counted over it. Weights take their steps
+shard by shard and are averaged; the shards are cut by a hash, as many as the
+sequences call for, and read in the order of another, so the model is a function
+of the texts alone, however they lie in partitions. A worker holds the table and
+a batch of sequences at a time.
 """
 
 from __future__ import annotations
@@ -41,6 +44,8 @@ from nudgegraph.session import Scratch, delete_path
 ORDERS, STEPS = 5, 24
 #: slots for each distinct node, and the least number of slots
 ROOM, LEAST_SLOTS = 2, 1 << 12
+#: sequences of one shard, and of one step of the weights
+SHARD, STEP = 1 << 17, 1024
 END = b"\n"
 _C1, _C2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 # longest context's and next one's counts, each in classes with these borders
@@ -135,20 +140,17 @@ class BitMixer:
     def mixed(self, x: np.ndarray, gate: np.ndarray) -> np.ndarray:
         return np.clip((x * self.weights[gate]).sum(1), -12, 12)
 
-    def learn_weights(self, code: np.ndarray, count: np.ndarray, rounds: int = 1, batch: int = 4096, rate: float = 0.05) -> None:
-        """Online gradient steps, each gate at a pace of its own."""
-        order = np.argsort((code.astype(np.uint64) * _C2) >> np.uint64(20), kind="stable")
+    def learn_weights(self, batches: Iterator[tuple[np.ndarray, np.ndarray]], rate: float = 0.05) -> None:
+        """Online gradient steps over (sequences, counts), each gate at a pace of its own."""
         slope = np.full_like(self.weights, 1e-4)
-        for _ in range(rounds):
-            for lo in range(0, len(order), batch):
-                some = order[lo : lo + batch]
-                for bit in range(7, -1, -1):
-                    x, gate, y = self.inputs(code[some], bit, leave_out=True)
-                    error = (y - 1 / (1 + np.exp(-self.mixed(x, gate)))) * count[some]
-                    total = np.bincount(gate, count[some], GATES) + 1e-9
-                    step = np.stack([np.bincount(gate, error * x[:, j], GATES) for j in range(ORDERS + 1)], 1) / total[:, None]
-                    slope += step * step
-                    self.weights = self.weights + rate * step / np.sqrt(slope)
+        for code, count in batches:
+            for bit in range(7, -1, -1):
+                x, gate, y = self.inputs(code, bit, leave_out=True)
+                error = (y - 1 / (1 + np.exp(-self.mixed(x, gate)))) * count
+                total = np.bincount(gate, count, GATES) + 1e-9
+                step = np.stack([np.bincount(gate, error * x[:, j], GATES) for j in range(ORDERS + 1)], 1) / total[:, None]
+                slope += step * step
+                self.weights = self.weights + rate * step / np.sqrt(slope)
 
     def count_refinement(self, code: np.ndarray, count: np.ndarray) -> np.ndarray:
         """Observed bits by gate and mixed prediction: (2, GATES * (STEPS + 1))."""
@@ -286,9 +288,36 @@ def _counted_grams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
         yield out(*summed(held))
 
 
-def _joined(batches: Iterator[pa.RecordBatch]) -> tuple[np.ndarray, np.ndarray]:
-    got = [(b.column(0).to_numpy(zero_copy_only=False), b.column(1).to_numpy(zero_copy_only=False)) for b in batches]
-    return (np.concatenate([g for g, _ in got]), np.concatenate([n for _, n in got])) if got else (np.empty(0, np.int64), np.empty(0, np.int64))
+def _shards(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, Iterator[tuple[np.ndarray, np.ndarray]]]]:
+    """(shard, its sequences and counts in steps) of rows (shard, gram, n) that lie in the order of shards."""
+    held: list[tuple[np.ndarray, ...]] = []
+    source = ((b.column(0).to_numpy(), b.column(1).to_numpy(), b.column(2).to_numpy().astype(float)) for b in batches if b.num_rows)
+
+    def steps(shard: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        code, count = np.empty(0, np.int64), np.empty(0)
+        while True:
+            part = held.pop() if held else next(source, None)
+            if part is None:
+                break
+            end = int(np.searchsorted(part[0], shard, "right"))
+            code, count = np.concatenate([code, part[1][:end]]), np.concatenate([count, part[2][:end]])
+            while len(code) >= STEP:
+                yield code[:STEP], count[:STEP]
+                code, count = code[STEP:], count[STEP:]
+            if end < len(part[0]):
+                held.append(tuple(x[end:] for x in part))
+                break
+        if len(code):
+            yield code, count
+
+    while True:
+        if not held:
+            first = next(source, None)
+            if first is None:
+                return
+            held.append(first)
+        shard = int(held[0][0][0])
+        yield shard, steps(shard)
 
 
 def _node_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -327,7 +356,7 @@ def _table_of(path: str, size: int, ready: bool) -> tuple[np.ndarray, np.ndarray
     if (path, ready) not in _HELD:
         _HELD.clear()
         store, root = _store(path)
-        table = np.zeros(size, np.float32), np.zeros(size, np.uint8 if ready else np.float32)
+        table = np.zeros(size, np.float32 if ready else float), np.zeros(size, np.uint8 if ready else float)
         for info in store.get_file_info(fs.FileSelector(root)):
             if info.base_name.endswith(".parquet"):
                 with store.open_input_file(info.path) as f:
@@ -350,24 +379,31 @@ def _learn(docs: DataFrame, text_col: str) -> tuple[str, int, BitMixer]:
     if size >= 1 << 31:
         raise ValueError(f"{size} slots are more than a worker's table can have")
     slot = F.shiftrightunsigned(F.shiftrightunsigned("node", 33) * F.lit(size), 31).cast("int").alias("slot")
-    slots = scratch.keep(nodes.groupBy(slot).agg(F.sum("n0").cast("float").alias("n0"), F.sum("n1").cast("float").alias("n1")), "slots")
+    slots = scratch.keep(nodes.groupBy(slot).agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1")), "slots")
     path = scratch.paths[id(slots)]
     scratch.drop(nodes)
     model = BitMixer(None, None)
 
+    shards = max(1, -(-shared.count() // SHARD))
+    cut = shared.select(F.pmod(F.xxhash64("gram"), F.lit(shards)).alias("shard"), "gram", "n")
+    cut = cut.repartition(shards, "shard").sortWithinPartitions("shard", F.xxhash64("gram", F.lit(1)), "gram")
+
     def weights(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        code, count = _joined(batches)
-        if len(code):
-            mine = BitMixer(*_table_of(path, size, False))
-            mine.learn_weights(code, count.astype(float))
-            yield pa.RecordBatch.from_arrays([pa.array([float(count.sum())]), pa.array([mine.weights.ravel().tolist()])], ["n", "values"])
+        for shard, steps in _shards(batches):
+            mine, total = BitMixer(*_table_of(path, size, False)), 0.0
+
+            def counted(steps=steps):
+                nonlocal total
+                for code, count in steps:
+                    total += float(count.sum())
+                    yield code, count
 
-    def weighted(rows) -> np.ndarray | None:
-        return sum(r.n * np.array(r["values"]) for r in rows) / sum(r.n for r in rows) if rows else None
+            mine.learn_weights(counted())
+            yield pa.RecordBatch.from_arrays([pa.array([shard], pa.int64()), pa.array([total]), pa.array([mine.weights.ravel().tolist()])], ["shard", "n", "values"])
 
-    learned = weighted(shared.mapInArrow(weights, "n double, values array<double>").collect())
-    if learned is not None:
-        model.weights = learned.reshape(model.weights.shape)
+    rows = sorted(cut.mapInArrow(weights, "shard long, n double, values array<double>").collect(), key=lambda r: r.shard)
+    if rows:
+        model.weights = (sum(r.n * np.array(r["values"]) for r in rows) / sum(r.n for r in rows)).reshape(model.weights.shape)
     chosen = model.weights
 
     def refinement(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -444,26 +480,27 @@ def lm_scores(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text"
                     if lost and complete:
                         base += lost * never
                     elif lost:
-                        rare += [(number, w.decode("utf-8", "replace")) for w, v in zip(words, values, strict=True) if v is None]
+                        times = Counter(w for w, v in zip(words, values, strict=True) if v is None)
+                        rare += [(number, w.decode("utf-8", "replace"), n) for w, n in times.items()]
                     rows.append((number, doc_id, held_out(doc_id), len(words), len(words) - lost, float(base), len(streams[-1])))
                     number += 1
                 score = judge.log10_of(streams)
                 n, m = len(rows), len(rare)
                 c = list(zip(*rows, strict=True))
-                at, w = zip(*rare, strict=True) if rare else ((), ())
+                at, w, times = zip(*rare, strict=True) if rare else ((), (), ())
                 blank = [None] * m
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([*c[0], *at], pa.int64()), pa.array([*c[1], *blank], pa.int64()), pa.array([*c[2], *blank], pa.bool_()), pa.array([*c[3], *blank], pa.int64()), pa.array([*c[4], *blank], pa.int64()), pa.array([*c[5], *blank], pa.float64()), pa.array([*score, *blank], pa.float64()), pa.array([*c[6], *blank], pa.int64()), pa.array([*[None] * n, *w], pa.string())],
-                    ["row", "doc_id", "held_out", "n_tokens", "known", "base", "score", "n_bytes", "word"],
+                    [pa.array([*c[0], *at], pa.int64()), pa.array([*c[1], *blank], pa.int64()), pa.array([*c[2], *blank], pa.bool_()), pa.array([*c[3], *blank], pa.int64()), pa.array([*c[4], *blank], pa.int64()), pa.array([*c[5], *blank], pa.float64()), pa.array([*score, *blank], pa.float64()), pa.array([*c[6], *blank], pa.int64()), pa.array([*[None] * n, *w], pa.string()), pa.array([*[None] * n, *times], pa.int64())],
+                    ["row", "doc_id", "held_out", "n_tokens", "known", "base", "score", "n_bytes", "word", "times"],
                 )
 
-    judged = scratch.keep(own.mapInArrow(run, "row long, doc_id long, held_out boolean, n_tokens long, known long, base double, score double, n_bytes long, word string"), "judged")
+    judged = scratch.keep(own.mapInArrow(run, "row long, doc_id long, held_out boolean, n_tokens long, known long, base double, score double, n_bytes long, word string, times long"), "judged")
     delete_path(spark, path)
     rows = judged.where("word is null")
-    asked = judged.where("word is not null").select("row", "word")
+    asked = judged.where("word is not null").select("row", "word", "times")
     found = asked.join(vocabulary, "word", "left")
     value = F.log10((F.coalesce("n", F.lit(0)) + F.lit(0.1)) / F.lit(floor))
-    rare = found.groupBy("row").agg(F.sum(value).alias("more"), F.count("n").alias("more_known"))
+    rare = found.groupBy("row").agg(F.sum(value * F.col("times")).alias("more"), F.coalesce(F.sum(F.when(F.col("n").isNotNull(), F.col("times"))), F.lit(0)).alias("more_known"))
     out = rows.join(rare, "row", "left")
     return out.select(
         "doc_id", "held_out", "n_tokens", (F.col("known") + F.coalesce("more_known", F.lit(0))).alias("n_known"), F.lit(total).cast("long").alias("train_tokens"),
