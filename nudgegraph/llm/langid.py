@@ -1,9 +1,9 @@
 """Language identification as inference of a mixture of languages.
 
 A document is a bag of byte trigrams drawn from several languages. Expectation
-maximisation estimates each language's share from the trigram likelihoods; of
-the nested sets of the likeliest languages that one is chosen whose
-likelihood, less a charge for each further language, is largest.
+maximisation estimates each language's share from the trigram likelihoods, over
+all learned languages; of the nested sets of the largest shares that one is
+chosen whose likelihood, less a charge for each further language, is largest.
 """
 
 from __future__ import annotations
@@ -17,6 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from nudgegraph.llm.text import need
+from nudgegraph.session import Scratch
 
 BITS = 16
 UNKNOWN = "und"
@@ -56,8 +57,8 @@ def _counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 class MixtureModel:
     """Trigram probabilities of each learned language."""
 
-    def __init__(self, langs: list[str], counts: np.ndarray, smooth: float = 0.5, charge: float = 2.0, widest: int = 8):
-        self.langs, self.charge, self.widest = langs, charge, widest
+    def __init__(self, langs: list[str], counts: np.ndarray, smooth: float = 0.5, charge: float = 2.0, least: float = 1e-3):
+        self.langs, self.charge, self.least = langs, charge, least
         self.p = ((counts + smooth) / (counts.sum(1, keepdims=True) + smooth * counts.shape[1])).T.copy()
         self.log = np.log(self.p)
 
@@ -77,23 +78,23 @@ class MixtureModel:
         at, n = np.unique(grams, return_counts=True)
         n = n.astype(float)
         alone = n @ self.log[at]
-        top = np.lexsort((np.arange(len(alone)), -alone))[: self.widest]
-        if len(top) == 1:
-            return {self.langs[top[0]]: 1.0}
-        full, _ = self._fit(p := self.p[np.ix_(at, top)], n, np.full(len(top), 1 / len(top)), 20)
-        order = np.lexsort((np.arange(len(top)), -full))
-        fee = self.charge * np.log(n.sum())
-        first = top[0]
+        first = int(np.argmax(alone))
         posterior = 1 / np.exp(np.maximum(alone - alone[first], -700)).sum()
         best, value = {self.langs[first]: float(posterior)}, alone[first]
-        for m in range(2, len(top) + 1):
+        if len(alone) == 1:
+            return {self.langs[0]: 1.0}
+        p = self.p[at]
+        full, _ = self._fit(p, n, np.full(len(alone), 1 / len(alone)), 20)
+        order = np.lexsort((np.arange(len(alone)), -full))
+        fee = self.charge * np.log(n.sum())
+        # languages of a smaller share than ``least`` come into no set of two or more
+        for m in range(2, max(2, int((full >= self.least).sum())) + 1):
             some = order[:m]
             start = np.maximum(full[some], 1e-6)
             share, fit = self._fit(p[:, some], n, start / start.sum(), 15)
-            if fit - fee * (m - 1) <= value:
-                break
-            value = fit - fee * (m - 1)
-            best = {self.langs[top[i]]: float(x) for i, x in sorted(zip(some, share, strict=True), key=lambda z: (-z[1], z[0]))}
+            if fit - fee * (m - 1) > value:
+                value = fit - fee * (m - 1)
+                best = {self.langs[i]: float(x) for i, x in sorted(zip(some, share, strict=True), key=lambda z: (-z[1], z[0]))}
         return best
 
     def predict(self, text: str | None) -> tuple[str, float, dict[str, float]]:
@@ -112,16 +113,16 @@ def learn(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang", mo
     every worker. Rows without a language or without letters teach nothing.
     """
     known = need(docs, text_col, lang_col).toDF("text", "lang").where("lang is not null and text is not null")
-    summed = known.mapInArrow(_counts, "lang string, gram int, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
-    per_lang = summed.groupBy("lang").agg(F.collect_list(F.struct("gram", "n")).alias("table")).limit(most + 1)
-    rows = per_lang.collect()
-    if len(rows) > most:
+    scratch = Scratch(docs.sparkSession, "langid")
+    summed = scratch.keep(known.mapInArrow(_counts, "lang string, gram int, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")), "counts")
+    langs = sorted(r.lang for r in summed.select("lang").distinct().limit(most + 1).collect())
+    if len(langs) > most:
         raise ValueError(f"more than {most} languages")
-    langs = sorted(r.lang for r in rows)
     counts = np.zeros((len(langs), 1 << BITS))
-    for r in rows:
-        for gram, n in r.table:
-            counts[langs.index(r.lang), gram] = n
+    for lang, row in zip(langs, counts, strict=True):  # a table of fixed size for each
+        t = summed.where(F.col("lang") == lang).select("gram", "n").toArrow()
+        row[t.column(0).to_numpy()] = t.column(1).to_numpy()
+    scratch.drop(summed)
     return MixtureModel(langs, counts)
 
 
@@ -137,12 +138,12 @@ def identify(docs: DataFrame, model: MixtureModel, *, id_col: str = "doc_id", te
     """
     langs, log = model.langs, model.log.T.astype(np.float32) if model.langs else None
     sent = docs.sparkSession.sparkContext.broadcast((langs, log, {}))
-    make, charge, widest = MixtureModel, model.charge, model.widest
+    make, charge, least = MixtureModel, model.charge, model.least
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         langs, log, kept = sent.value
         judge = make.__new__(make)
-        judge.langs, judge.charge, judge.widest = langs, charge, widest
+        judge.langs, judge.charge, judge.least = langs, charge, least
         if langs:
             if not kept:
                 kept["log"] = log.T.astype(float).copy()
