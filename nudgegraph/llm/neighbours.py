@@ -138,8 +138,11 @@ def _index(leaf: int):
 def _usable(vectors: DataFrame, id_col: str, vector_col: str) -> DataFrame:
     own = need(vectors, id_col, vector_col).toDF("vec_id", "v").where("vec_id is not null and v is not null and size(v) > 0")
     own = own.select("vec_id", F.expr("transform(v, x -> cast(x as double))").alias("v"))
+    # by the largest component, a power of two: no square overflows or vanishes, and no digit changes
     whole = "forall(v, x -> x is not null and not isnan(x) and abs(x) < double('infinity')) and exists(v, x -> x <> 0)"
-    return own.where(whole)
+    own = own.where(whole).withColumn("top", F.expr("array_max(transform(v, x -> abs(x)))"))
+    scale = F.pow(F.lit(2.0), F.greatest(F.lit(-1000), F.least(F.lit(1000), -F.floor(F.log2("top")))))
+    return own.withColumn("by", scale).select("vec_id", F.expr("transform(v, x -> x * by)").alias("v"))
 
 
 def cosine_neighbours(vectors: DataFrame, queries: DataFrame, *, id_col: str = "vec_id", vector_col: str = "embedding", k: int = 5, factor: float = 1.0, shard_rows: int = 8192, block: int = 4096, leaf: int = 128) -> DataFrame:
@@ -191,6 +194,7 @@ def cosine_neighbours(vectors: DataFrame, queries: DataFrame, *, id_col: str = "
                         yield pa.RecordBatch.from_arrays([pa.array(qids[lo + row]), pa.array(ids[i]), pa.array(dot / (length[i] * q_length[lo + row]))], ["query_id", "vec_id", "score"])
 
         part = scratch.keep(trees.mapInArrow(run, schema), "found")
+        sent.destroy()
         found = part if found is None else found.unionByName(part)
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     ranked = found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)

@@ -43,3 +43,11 @@ def test_hot_vector(spark):
     v = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
     out = nb.cosine_neighbours(v, v.where("vec_id = 100"), shard_rows=200, leaf=16).orderBy("rank").collect()
     assert [r.vec_id for r in out] == [0, 1, 2, 3, 4]
+
+
+def test_large_and_small_components(spark):
+    rows = [(0, [1e200, 1e200]), (1, [1e200, 0.0]), (2, [1e-200, 1e-200]), (3, [1.0, 1.0]), (4, [-1e300, -1e-300])]
+    v = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    out = {r.vec_id: r.score for r in nb.cosine_neighbours(v, v.where("vec_id = 0")).collect()}
+    want = {1: math.sqrt(0.5), 2: 1.0, 3: 1.0, 4: -math.sqrt(0.5)}
+    assert set(out) == set(want) and all(abs(out[i] - x) < 1e-12 for i, x in want.items())
