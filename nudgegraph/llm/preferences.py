@@ -73,9 +73,25 @@ def _by_place(a: F.Column, b: F.Column) -> F.Column:
 
 
 def demo_pairs(conversations: DataFrame) -> DataFrame:
-    """Neighbours by id are a pair: the even one is chosen, the odd one rejected."""
-    own = need(conversations, "conv_id", "turn", "role", "text")
-    return own.select(F.floor(F.col("conv_id") / 2).cast("long").alias("pair_id"), (F.pmod("conv_id", F.lit(2)) == 0).alias("chosen"), "turn", "role", "text")
+    """Each conversation against itself with another's last answer: pairs that share all turns before it.
+
+    The chosen side is the conversation. The rejected side is its turns before
+    its last assistant turn, then the last answer of its neighbour by id (0
+    with 1, 2 with 3, ...), an empty one where there is none. Without an
+    assistant turn both sides are alike. Rows with a null id are left out.
+    """
+    own = need(conversations, "conv_id", "turn", "role", "text").where("conv_id is not null").withColumn("text", F.coalesce("text", F.lit("")))
+    place = F.struct(F.col("turn").isNotNull(), "turn", "text")
+    last = own.where("role = 'assistant'").groupBy("conv_id").agg(F.max_by(F.struct("turn", "text"), place).alias("last"))
+    other = last.select(F.col("conv_id").bitwiseXOR(F.lit(1).cast("long")).alias("conv_id"), F.col("last.text").alias("answer"))
+    ends = last.join(other, "conv_id", "left").select("conv_id", "last", F.coalesce("answer", F.lit("")).alias("answer"))
+    at = lambda turn, role, text: F.struct(turn.isNotNull(), turn, role, text)
+    before = at(F.col("turn"), F.coalesce("role", F.lit("unknown")), F.col("text")) < at(F.col("last.turn"), F.lit("assistant"), F.col("last.text"))
+    kept = own.join(ends, "conv_id", "left").where(F.col("last").isNull() | before).select("conv_id", "turn", "role", "text")
+    answer = ends.select("conv_id", F.col("last.turn").alias("turn"), F.lit("assistant").alias("role"), F.col("answer").alias("text"))
+    sides = [(own.select("conv_id", "turn", "role", "text"), True), (kept, False), (answer, False)]
+    made = [df.select(F.col("conv_id").cast("long").alias("pair_id"), F.lit(chosen).alias("chosen"), "turn", "role", "text") for df, chosen in sides]
+    return made[0].unionByName(made[1]).unionByName(made[2])
 
 
 def spans_text(column: str) -> F.Column:
@@ -84,10 +100,16 @@ def spans_text(column: str) -> F.Column:
 
 
 ORACLE = """
-with t as (
-  select conv_id // 2 as pair_id, conv_id % 2 = 0 as chosen, coalesce(role, 'unknown') as role, coalesce(text, '') as text,
-         row_number() over (partition by conv_id order by turn nulls first, coalesce(role, 'unknown'), coalesce(text, '')) as i
-  from conversations where conv_id is not null
+with c as (select conv_id, turn, coalesce(role, 'unknown') as role, coalesce(text, '') as text from conversations where conv_id is not null),
+l as (select conv_id, arg_max(turn, (turn, text)) as turn, arg_max(text, (turn, text)) as text from c where role = 'assistant' group by conv_id),
+ends as (select l.conv_id, l.turn, l.text, coalesce(o.text, '') as answer from l left join l o on o.conv_id = xor(l.conv_id, 1)),
+u as (
+  select conv_id, true as chosen, turn, role, text from c
+  union all select c.conv_id, false, c.turn, c.role, c.text from c left join ends e on e.conv_id = c.conv_id
+    where e.conv_id is null or c.turn < e.turn or (c.turn = e.turn and (c.role < 'assistant' or (c.role = 'assistant' and c.text < e.text)))
+  union all select conv_id, false, turn, 'assistant', answer from ends
+), t as (
+  select conv_id as pair_id, chosen, role, text, row_number() over (partition by conv_id, chosen order by turn nulls first, role, text) as i from u
 ), same as (
   select a.pair_id, a.i, row_number() over (partition by a.pair_id order by a.i) as nth
   from t a join t b on a.pair_id = b.pair_id and a.i = b.i and a.role = b.role and a.text = b.text
