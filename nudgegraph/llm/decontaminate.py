@@ -10,6 +10,7 @@ those that begin like the text are compared word by word.
 from __future__ import annotations
 
 import hashlib
+import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -80,18 +81,34 @@ def _covered(spans: list[tuple[int, int]]) -> int:
     return total
 
 
-def _search(items: list[tuple[str, str | None]], window: int):
+#: the tables that this process built last, by name
+_BUILT: dict[str, PatternSearch] = {}
+
+
+def _built(sent, window: int) -> PatternSearch:
+    """The tables of the broadcast (name, items), built once in a process."""
+    name, items = sent.value
+    if name not in _BUILT:
+        _BUILT.clear()
+        _BUILT[name] = PatternSearch(items, window)
+    return _BUILT[name]
+
+
+def _hits(sent, window: int):
+    """(row, spans, items) of rows in which something occurs."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        search = PatternSearch(items, window)
+        search = _built(sent, window)
         for batch in batches:
-            flat, lists = [], []
-            for text, before, found in zip(batch.column("text"), batch.column("spans"), batch.column("items"), strict=True):
+            rows, flat, lists = [], [], []
+            for row, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 spans, owners = [], set()
                 search.find(plain_words(text.as_py()), spans, owners)
-                flat.append((before.as_py() or []) + [x for s in spans for x in s])
-                lists.append((found.as_py() or []) + [search.names[i] for i in owners])
-            columns = {name: batch.column(name) for name in batch.schema.names} | {"spans": pa.array(flat, pa.list_(pa.int32())), "items": pa.array(lists, pa.list_(pa.string()))}
-            yield pa.RecordBatch.from_arrays(list(columns.values()), list(columns))
+                if spans:
+                    rows.append(row)
+                    flat.append([x for s in spans for x in s])
+                    lists.append([search.names[i] for i in owners])
+            yield pa.RecordBatch.from_arrays([pa.array(rows, pa.int64()), pa.array(flat, pa.list_(pa.int32())), pa.array(lists, pa.list_(pa.string()))], ["row", "spans", "items"])
 
     return run
 
@@ -108,11 +125,11 @@ def _judged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(hit, pa.int64()), pa.array(count, pa.int64()), pa.array(digest), pa.array([x > 0 for x in hit]), *batch.columns[4:]], ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated", *batch.schema.names[4:]])
 
 
-def _fused(items: list[tuple[str, str | None]], window: int):
+def _fused(sent, window: int):
     """Search and verdict in one pass, for a benchmark that fits one shard."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        search = PatternSearch(items, window)
+        search = _built(sent, window)
         for batch in batches:
             n, hit, count, digest = [], [], [], []
             for text in batch.column(1):
@@ -136,7 +153,8 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_i
     A word is hit where it lies inside an occurrence of ``window`` consecutive
     words of an item; an item of fewer words counts whole. Only a shard of the
     benchmark of about ``shard_bytes`` of text is sent to the executors at a
-    time; a larger benchmark takes one pass over the documents for each shard.
+    time; a larger benchmark takes one pass over the texts for each shard, which
+    writes hits alone.
 
     Null and empty texts have no words. Items without words or with a null id
     take no part; rows that repeat an item id are one item. Rows of ``docs``
@@ -150,13 +168,20 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_i
     items = need(benchmark, item_col, item_text_col).toDF("item", "text").select(F.col("item").cast("string"), "text").where("item is not null and text is not null")
     total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     shards = max(1, -(-total // shard_bytes))
+    context = docs.sparkSession.sparkContext
     if shards == 1:
-        return own.mapInArrow(_fused([tuple(r) for r in items.collect()], window), VERDICT + carried).select(*plain, *back)
-    items = items.withColumn("shard", F.pmod(F.xxhash64("item", "text"), F.lit(shards)))
-    found = own.select("doc_id", "text", F.expr("cast(array() as array<int>) as spans"), F.expr("cast(array() as array<string>) as items"), *[f"carry_{c}" for c in carry])
+        sent = context.broadcast((uuid.uuid4().hex, [tuple(r) for r in items.collect()]))
+        return own.mapInArrow(_fused(sent, window), VERDICT + carried).select(*plain, *back)
+    items = scratch.keep(items.withColumn("shard", F.pmod(F.xxhash64("item", "text"), F.lit(shards))), "items")
+    own = scratch.keep(own.withColumn("row", F.monotonically_increasing_id()), "rows")
+    found = None
     for i in range(shards):
-        some = [tuple(r) for r in items.where(F.col("shard") == i).select("item", "text").collect()]
-        found = scratch.keep(found.mapInArrow(_search(some, window), "doc_id long, text string, spans array<int>, items array<string>" + carried), "found")
+        sent = context.broadcast((uuid.uuid4().hex, [tuple(r) for r in items.where(F.col("shard") == i).select("item", "text").collect()]))
+        part = scratch.keep(own.select("row", "text").mapInArrow(_hits(sent, window), "row long, spans array<int>, items array<string>"), "hits")
+        sent.destroy()
+        found = part if found is None else found.unionByName(part)
+    found = found.groupBy(F.col("row").alias("of")).agg(F.flatten(F.collect_list("spans")).alias("spans"), F.array_distinct(F.flatten(F.collect_list("items"))).alias("items"))
+    found = own.join(found, F.col("row") == F.col("of"), "left").select("doc_id", "text", "spans", "items", *[f"carry_{c}" for c in carry])
     return found.mapInArrow(_judged, VERDICT + carried).select(*plain, *back)
 
 
