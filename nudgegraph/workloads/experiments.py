@@ -54,6 +54,8 @@ class Grid:
 
 
 DEFAULT = Grid()
+#: the general programme's step in w13
+WIDE_STEP = 0.002
 
 
 def grid_for(sf_dir: str) -> Grid:
@@ -257,13 +259,13 @@ def _tree(spark, n: int, salt: int, grid: Grid) -> Tree:
     return _tree_of(spark, net.complete_binary_tree(spark, n), grid, salt)
 
 
-def _tree_rows(exp, tree, k, eps_list, variant="binary", **at):
+def _tree_rows(exp, tree, k, eps_list, variant="binary", step=None, **at):
     start = time.time()
     value = greedy(tree, k)[1]
     rows = [_row(exp, "boost", value, solver="tree_greedy", k=k, eps=0, **at), _row(exp, "seconds", time.time() - start, solver="tree_greedy", k=k, eps=0, **at)]
     for eps in eps_list:
         start = time.time()
-        chosen, rounded, _ = dp_rounded(tree, k, eps, variant)
+        chosen, rounded, _ = dp_rounded(tree, k, eps, variant, step)
         rows += [_row(exp, "seconds", time.time() - start, solver="tree_dp", k=k, eps=eps, **at), _row(exp, "boost", spread(tree, set(chosen)) - spread(tree), solver="tree_dp", k=k, eps=eps, **at), _row(exp, "rounded", rounded, solver="tree_dp", k=k, eps=eps, **at)]
     return rows
 
@@ -286,11 +288,15 @@ def w12(spark, sf_dir, grid: Grid = DEFAULT):
 
 
 def w13(spark, sf_dir, grid: Grid = DEFAULT):
-    """Greedy against the general programme on the tree of geography, whose nodes have any number of children."""
+    """Greedy against the general programme on the tree of geography, whose nodes have any number of children.
+
+    The step is stated: the one that eps = 1 calls for is about four times
+    smaller and takes hours here.
+    """
     rows = []
     for salt in grid.salts:
         tree = _tree_of(spark, net.tree_geography(spark, sf_dir), grid, salt)
-        rows += _tree_rows("w13", tree, grid.tree_k, (1.0,), "general", net="geography", rep=salt)
+        rows += _tree_rows("w13", tree, grid.tree_k, (1.0,), "general", WIDE_STEP, net="geography", rep=salt)
     return _table(spark, rows)
 
 
@@ -328,7 +334,7 @@ def w16(spark, sf_dir, grid: Grid = DEFAULT):
 
 
 #: what the registered queries run: two of the four networks, fewer draws
-SMALL = replace(DEFAULT, nets=("events_6h", "embeddings"), ks=(2, 10), runs=1000, seeds=5, theta=4000, betas=(2.0, 4.0), random_sets=2, salts=(1,), tree_eps=(0.5, 1.0), tree_sizes=(250, 1000), tree_k=20)
+SMALL = replace(DEFAULT, nets=("events_6h", "embeddings"), ks=(2, 10), runs=1000, seeds=5, theta=4000, betas=(2.0, 4.0), random_sets=2, salts=(1,), tree_eps=(0.2, 1.0), tree_sizes=(250, 1000), tree_k=20)
 
 
 def _cells(df: DataFrame, measure: str) -> dict:
@@ -406,8 +412,8 @@ def _tree_eps(spark, sf_dir):
     t = _kept(w11(spark, sf_dir, SMALL))
     boost, seconds = ({(s, eps): v[0] for (_, s, _, _, eps), v in _cells(t, m).items()} for m in ("boost", "seconds"))
     near = all(boost["tree_greedy", 0.0] >= 0.98 * boost["tree_dp", eps] for eps in SMALL.tree_eps)
-    flat = abs(boost["tree_dp", 0.5] - boost["tree_dp", 1.0]) <= 0.02 * boost["tree_dp", 0.5]
-    return spark.createDataFrame([(near, flat, seconds["tree_dp", 1.0] < seconds["tree_dp", 0.5], 10 * seconds["tree_greedy", 0.0] < seconds["tree_dp", 1.0])], "greedy_near_programme boolean, boost_flat_in_eps boolean, larger_eps_is_faster boolean, greedy_far_faster boolean")
+    flat = abs(boost["tree_dp", 0.2] - boost["tree_dp", 1.0]) <= 0.02 * boost["tree_dp", 0.2]
+    return spark.createDataFrame([(near, flat, seconds["tree_dp", 1.0] < seconds["tree_dp", 0.2], 10 * seconds["tree_greedy", 0.0] < seconds["tree_dp", 1.0])], "greedy_near_programme boolean, boost_flat_in_eps boolean, larger_eps_is_faster boolean, greedy_far_faster boolean")
 
 
 def _tree_size(spark, sf_dir):
