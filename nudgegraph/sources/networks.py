@@ -12,18 +12,29 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def learn_probabilities(actions: DataFrame, ties: DataFrame | None, window: str, scale: float = 1.0) -> DataFrame:
-    """(src, dst, p): the share of src's actions that dst repeated within ``window``.
+_SECONDS = {"second": 1, "minute": 60, "hour": 3600, "day": 86_400, "week": 604_800}
+
+
+def learn_probabilities(actions: DataFrame, ties: DataFrame | None, window: str, scale: float = 1.0, groups: DataFrame | None = None) -> DataFrame:
+    """(src, dst, p): the share of src's actions that dst repeated within ``window``, such as ``6 hours``.
 
     ``actions``: (actor, action, ts), one row for each pair of actor and
-    action; ``ties``: (src, dst) or None for all pairs. The self join is an
-    equality on the action, so it shuffles by action and adaptive execution
-    splits a popular one; counts are partially aggregated.
+    action; ``ties``: (src, dst) or None for all pairs; ``groups``: (actor,
+    grp), only actors of one group meet. The self join is an equality on the
+    action, the group and a slice of time a little wider than the window: a
+    row meets its own slice and the next, so neither a popular action nor
+    another group makes pairs that are thrown away. Counts are partially
+    aggregated.
     """
-    u = actions.select(F.col("actor").alias("src"), "action", F.col("ts").alias("ts_u"))
-    v = actions.select(F.col("actor").alias("dst"), "action", F.col("ts").alias("ts_v"))
+    number, unit = window.split()
+    width = int(number) * _SECONDS[unit.rstrip("s")] + 86_400  # a day more than the window: a change of clocks moves no pair beyond reach
+    own = actions.select("actor", "action", "ts")
+    own = own.join(groups.select("actor", "grp"), "actor") if groups is not None else own.withColumn("grp", F.lit(0))
+    own = own.withColumn("slice", F.floor(F.unix_timestamp(F.col("ts").cast("timestamp")) / width))
+    u = own.select(F.col("actor").alias("src"), "action", "grp", F.col("ts").alias("ts_u"), F.explode(F.array("slice", F.col("slice") + 1)).alias("slice"))
+    v = own.select(F.col("actor").alias("dst"), "action", "grp", F.col("ts").alias("ts_v"), "slice")
     late = F.col("ts_u") + F.expr(f"interval {window}")
-    met = u.join(v, "action").where((F.col("src") != F.col("dst")) & (F.col("ts_v") > F.col("ts_u")) & (F.col("ts_v") <= late))
+    met = u.join(v, ["action", "grp", "slice"]).where((F.col("src") != F.col("dst")) & (F.col("ts_v") > F.col("ts_u")) & (F.col("ts_v") <= late))
     hits = met.groupBy("src", "dst").agg(F.count("*").alias("hits"))
     if ties is not None:
         hits = hits.join(ties.select("src", "dst").distinct(), ["src", "dst"], "left_semi")
@@ -40,11 +51,8 @@ def customer_actions(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def net_customers(spark: SparkSession, sf_dir: str, days: int = 365, scale: float = 4.0) -> DataFrame:
     """Customers of one nation who bought the same part later."""
-    nation = table(spark, sf_dir, "customer").select("c_custkey", "c_nationkey")
-    learned = learn_probabilities(customer_actions(spark, sf_dir), None, f"{days} days", scale)
-    a = nation.toDF("src", "nation_u")
-    b = nation.toDF("dst", "nation_v")
-    return learned.join(a, "src").join(b, "dst").where("nation_u = nation_v").select("src", "dst", "p")
+    nation = table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("actor"), F.col("c_nationkey").alias("grp")).where("grp is not null")
+    return learn_probabilities(customer_actions(spark, sf_dir), None, f"{days} days", scale, nation)
 
 
 def event_actions(spark: SparkSession, sf_dir: str) -> DataFrame:
