@@ -30,7 +30,7 @@ def main() -> None:
     from nudgegraph import catalogue
     from nudgegraph.operators.diffusion import boost_mc
     from nudgegraph.operators.sketches import sample_sketches, sketch_stats
-    from nudgegraph.operators.trees import Tree, greedy
+    from nudgegraph.operators.trees import Tree, dp_rounded, greedy
     from nudgegraph.model import BoostProblem, with_boost
     from nudgegraph.plans.solvers import seeds_random, solve
     from nudgegraph.sources import networks as net
@@ -59,7 +59,9 @@ def main() -> None:
     queries["evaluate_20000_runs"] = timed(lambda: held.__setitem__("boost", boost_mc(g, seeds, held["sketch_critical"].boost, 20_000).first()))
     extra["boost"] = round(held["boost"].delta, 3)
     edges = [tuple(r) for r in with_boost(net.trivalency(net.two_way(net.complete_binary_tree(spark, 2000)))).select("src", "dst", "p", "q").collect()]
-    queries["tree_greedy_2000_k50"] = timed(lambda: greedy(Tree(edges, set(range(0, 2000, 40)), 0), 50))
+    tree = Tree(edges, set(range(0, 2000, 40)), 0)
+    queries["tree_greedy_2000_k50"] = timed(lambda: greedy(tree, 50))
+    queries["tree_dp_2000_k10"] = timed(lambda: held.__setitem__("dp", dp_rounded(tree, 10, 1.0, "binary")))
     queries["forest_greedy"] = timed(lambda: noop(catalogue.QUERIES["forest_greedy"](spark, SF_DIR)))
     print(json.dumps({"metric": "headline_total", "value": round(sum(queries.values()), 3), "unit": "sec", "queries": queries, "sf": os.path.basename(SF_DIR.rstrip("/")), **extra}))
 
