@@ -109,15 +109,31 @@ def probabilities(first: DataFrame, met: DataFrame) -> DataFrame:
     return met.groupBy("src", "dst").agg(F.count("*").alias("hits")).join(done, "src").select("src", "dst", (F.col("hits") / F.col("done")).alias("p"))
 
 
-def first_seen(actions: DataFrame) -> DataFrame:
-    """First action of each pair as a stateful stream: one row a pair, when it is first met."""
+def with_known(actions: DataFrame, known: DataFrame, key: str = "actor") -> DataFrame:
+    """Actions joined with a table that doesn't stream, on its column ``key``; actions of unknown keys go."""
+    return actions.join(known, key)
+
+
+def first_seen(actions: DataFrame, keep_seconds: int | None = None) -> DataFrame:
+    """First action of each pair as a stateful stream: one row a pair, when it is first met.
+
+    With ``keep_seconds`` a pair is forgotten when the watermark passes its
+    time by that much, so the state stays bounded; met again later, the pair
+    counts as new.
+    """
     import pandas as pd
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
     def run(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
         least = min((b.ts.min() for b in batches), default=None)
         if not state.exists and least is not None:
             state.update((least.value // 1000,))
+            if keep_seconds is not None:
+                state.setTimeoutTimestamp(max(least.value // 1_000_000 + 1000 * keep_seconds, state.getCurrentWatermarkMs() + 1))
             yield pd.DataFrame({"actor": [key[0]], "action": [key[1]], "ts": [least]})
 
-    return actions.groupBy("actor", "action").applyInPandasWithState(run, "actor long, action string, ts timestamp", "us long", "append", GroupStateTimeout.NoTimeout)
+    timeout = GroupStateTimeout.NoTimeout if keep_seconds is None else GroupStateTimeout.EventTimeTimeout
+    return actions.groupBy("actor", "action").applyInPandasWithState(run, "actor long, action string, ts timestamp", "us long", "append", timeout)

@@ -59,13 +59,22 @@ def _first_seen(spark, sf_dir):
     return rows.select("actor", "action", _us("ts"))
 
 
+def _static(spark, sf_dir):
+    """Actions a nation, of actors that the table of customers knows."""
+    customer = table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("actor"), F.col("c_nationkey").alias("nation"))
+    counted = online.with_known(_stream(spark, sf_dir), customer).groupBy("nation").agg(F.count("*").alias("n"))
+    return online.latest(online.drain(counted, "update")[0], "nation")
+
+
 QUERIES = {
+    "stream_static_join": _static,
     "stream_tumbling": _windows(online.tumbling, "start"), "stream_sliding": _windows(online.sliding, "start"), "stream_session": _sessions, "stream_dedup": _dedup,
     "stream_interval_join": _interval, "stream_late_rows": _late, "stream_probabilities": _probabilities, "stream_first_seen": _first_seen,
 }
 
 _ACT = "(select ts, user_id as actor, event_type || '|' || props as action from events)"
 ORACLES = {
+    "stream_static_join": "select c_nationkey as nation, count(*) as n from events join customer on c_custkey = user_id group by c_nationkey",
     "stream_tumbling": "select epoch_us(time_bucket(interval '1 day', ts, timestamp '1970-01-01')) as start, count(*) as n from events group by 1",
     "stream_sliding": "select epoch_us(time_bucket(interval '6 hours', ts, timestamp '1970-01-01') - interval '6 hours' * k) as start, count(*) as n from events, range(4) r(k) group by 1",
     "stream_session": """select actor, epoch_us(min(ts)) as start, count(*) as n from (select actor, ts, sum(new_) over (partition by actor order by ts rows unbounded preceding) as g from

@@ -20,3 +20,18 @@ def test_batch_and_stream_agree(spark, sf):
     rows, _ = online.drain(online.first_seen(online.stream_actions(spark, path)))
     batch = online.first_actions(online.as_actions(spark.read.schema(online.ACTION).parquet(path)))
     assert rows.exceptAll(batch.select(rows.columns)).isEmpty() and rows.count() == batch.count()
+
+
+def test_pairs_are_forgotten_after_a_while(spark, tmp_path):
+    import datetime as dt
+
+    schema = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
+    at = lambda hours: dt.datetime(2024, 1, 1) + dt.timedelta(hours=hours)
+    # one file a batch: the same pair at once, soon, and long after the watermark passed its time
+    for i, hours in enumerate((0, 1, 30, 31, 60)):
+        spark.createDataFrame([(i, at(hours), 1 if hours not in (30, 31) else 2, "buy", 1.0, "{}")], schema).coalesce(1).write.mode("append").parquet(str(tmp_path))
+    found = {}
+    for keep in (None, 3600):
+        rows, _ = online.drain(online.first_seen(online.stream_actions(spark, str(tmp_path), "1 hour"), keep))
+        found[keep] = sorted((r.actor, r.ts) for r in rows.collect())
+    assert found[None] == [(1, at(0)), (2, at(30))] and (1, at(0)) in found[3600] and (1, at(60)) in found[3600]
