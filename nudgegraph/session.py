@@ -58,21 +58,26 @@ class Scratch:
     """Intermediate tables of one operator call, deleted when no longer read."""
 
     def __init__(self, spark: SparkSession, tag: str):
-        self.spark, self.tag, self.paths = spark, tag, {}
+        self.spark, self.tag, self.paths, self.held = spark, tag, {}, {}
 
     def keep(self, df: DataFrame, name: str) -> DataFrame:
         """Write ``df`` and return a frame that reads the written table."""
         path = scratch_path(self.spark, f"{self.tag}-{name}")
         df.write.option("compression", "zstd").parquet(path)
         out = self.spark.read.schema(df.schema).parquet(path)
-        self.paths[id(out)] = path
+        self.paths[id(out)], self.held[id(out)] = path, out
         _KEPT[path] = self.spark
         return out
 
+    def frames(self) -> list[DataFrame]:
+        """The frames that ``keep`` returned and nobody dropped."""
+        return list(self.held.values())
+
     def drop(self, *frames: DataFrame) -> None:
         """Delete tables that ``keep`` returned."""
         for df in frames:
             path = self.paths.pop(id(df), None)
+            self.held.pop(id(df), None)
             if path:
                 delete_path(self.spark, path)
                 _KEPT.pop(path, None)
