@@ -441,6 +441,7 @@ def near_duplicates(
         joined = labels.join(over, "label", "left").select("node", F.coalesce("component", "label").alias("grp"))
         joined = joined.unionByName(over.join(labels.select(F.col("node").alias("label")), "label", "left_anti").select(F.col("label").alias("node"), F.col("component").alias("grp")))
         joined = scratch.keep(joined.join(classes.select("node", "low"), "node"), "joined")
+        scratch.drop(*[df for df in scratch.frames() if df is not info and df is not classes and df is not joined])
         linked = joined.join(joined.groupBy("grp").agg(F.min("low").alias("class_id")), "grp").select("node", "class_id")
 
     names = classes.select("digest", "node", "low")
