@@ -97,7 +97,7 @@ class PerfectHash:
 class Coder:
     """Encodes and decodes texts; remembers the pre-tokens met most recently."""
 
-    def __init__(self, tokens: list[bytes], ids: list[int], table: PerfectHash, pattern: str, known: dict[str, tuple[str, int, bytes]] | None = None, remember: int = 500_000):
+    def __init__(self, tokens: list[bytes], ids: list[int], table: PerfectHash, pattern: str, known: dict[str, tuple[str, int, bytes]] | None = None, remember: int = 150_000):
         self.tokens, self.ids, self.table, self.remember = tokens, ids, table, remember
         self.rank = dict(zip(tokens, ids, strict=True))
         self.bytes_of = dict(zip(ids, tokens, strict=True))
