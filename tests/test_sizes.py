@@ -1,6 +1,9 @@
 """What larger tables showed: results that depended on a run's sample, divisions by zero, jobs too large."""
 
+import math
+
 from nudgegraph.model import dense_nodes
+from nudgegraph.workloads import sampled
 
 
 def test_node_numbers_do_not_depend_on_the_sampled_ranges(spark):
@@ -14,3 +17,9 @@ def test_node_numbers_do_not_depend_on_the_sampled_ranges(spark):
         for name in options:
             spark.conf.unset(name)
     assert [r.idx for r in rows] == list(range(len(rows))) and len(rows) > 40_000
+
+
+def test_ratio_without_a_boost(spark, duck, monkeypatch):
+    monkeypatch.setattr(sampled, "_estimates", lambda s, d: s.createDataFrame([(0.0, 0.0)], "delta double, mu double"))
+    want = duck.sql("select round(round(0.0::double, 6) / round(0.0::double, 6), 5)").fetchall()[0][0]
+    assert math.isnan(want) and math.isnan(sampled._ratio(spark, None).first().ratio)
