@@ -3,7 +3,7 @@
 import math
 
 from nudgegraph.model import dense_nodes
-from nudgegraph.workloads import sampled
+from nudgegraph.workloads import experiments, sampled
 
 
 def test_node_numbers_do_not_depend_on_the_sampled_ranges(spark):
@@ -23,3 +23,11 @@ def test_ratio_without_a_boost(spark, duck, monkeypatch):
     monkeypatch.setattr(sampled, "_estimates", lambda s, d: s.createDataFrame([(0.0, 0.0)], "delta double, mu double"))
     want = duck.sql("select round(round(0.0::double, 6) / round(0.0::double, 6), 5)").fetchall()[0][0]
     assert math.isnan(want) and math.isnan(sampled._ratio(spark, None).first().ratio)
+
+
+def test_ratio_check_of_a_network_without_boosts(spark, monkeypatch):
+    def w07(s, d, grid):
+        return experiments._table(s, [experiments._row("w07", "ratio", 1.0, net=grid.nets[0], k=k) for k in grid.ks])
+
+    monkeypatch.setattr(experiments, "w07", w07)
+    assert all(all(r[1:]) for r in experiments._ratio(spark, None).collect())
