@@ -2,6 +2,10 @@
 
 import math
 
+import pytest
+from pyspark.errors import AnalysisException
+
+from nudgegraph import catalogue
 from nudgegraph.model import dense_nodes
 from nudgegraph.workloads import experiments, sampled
 
@@ -31,3 +35,12 @@ def test_ratio_check_of_a_network_without_boosts(spark, monkeypatch):
 
     monkeypatch.setattr(experiments, "w07", w07)
     assert all(all(r[1:]) for r in experiments._ratio(spark, None).collect())
+
+
+READ_A_TABLE = ["exact_spread_cover", "exact_spread_gate", "exact_spread_path", "exact_spread_star"]
+
+
+@pytest.mark.parametrize("name", READ_A_TABLE)
+def test_reads_a_table(spark, name):
+    with pytest.raises(AnalysisException, match="PATH_NOT_FOUND"):
+        catalogue.QUERIES[name](spark, "/no/such/folder").collect()
