@@ -37,7 +37,7 @@ def test_ratio_check_of_a_network_without_boosts(spark, monkeypatch):
     assert all(all(r[1:]) for r in experiments._ratio(spark, None).collect())
 
 
-READ_A_TABLE = ["exact_spread_cover", "exact_spread_gate", "exact_spread_path", "exact_spread_star", "exp_worked_examples", "required_sketches", "sink_run_log", "source_binary_tree", "source_literal", "tree_dp_binary_r"]
+READ_A_TABLE = ["exact_spread_cover", "exact_spread_gate", "exact_spread_path", "exact_spread_star", "exp_worked_examples", "required_sketches", "sink_run_log", "source_binary_tree", "source_literal", "tree_dp_binary_r", "tree_dp_exact_r"]
 
 
 @pytest.mark.parametrize("name", READ_A_TABLE)
