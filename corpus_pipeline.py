@@ -49,7 +49,8 @@ def encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token counts and digests of the ids and of what they decode to."""
     import public_tokenizers as tok
 
-    return bpe_digests(docs, tok.path("byte_bpe_50k.tiktoken"), tok.PATTERN)
+    # workers hold what the stages before left behind, so they remember less
+    return bpe_digests(docs, tok.path("byte_bpe_50k.tiktoken"), tok.PATTERN, remember=150_000)
 
 
 STAGES = [("language_id", language_id), ("near_dedup", near_dedup), ("repeats", repeats), ("decontamination", decontamination), ("encoding", encoding)]
