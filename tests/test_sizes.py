@@ -2,11 +2,13 @@
 
 import math
 
+import numpy as np
 import pytest
 from pyspark.errors import AnalysisException
 
 from nudgegraph import catalogue
 from nudgegraph.model import dense_nodes
+from nudgegraph.operators import kernels
 from nudgegraph.workloads import experiments, sampled
 
 
@@ -44,3 +46,29 @@ READ_A_TABLE = ["exact_spread_cover", "exact_spread_gate", "exact_spread_path",
 def test_reads_a_table(spark, name):
     with pytest.raises(AnalysisException, match="PATH_NOT_FOUND"):
         catalogue.QUERIES[name](spark, "/no/such/folder").collect()
+
+
+def test_coins_of_settled_nodes_are_not_drawn(monkeypatch):
+    """On a dense graph a search draws far fewer coins than edges, and finds what all coins give."""
+    n, coins, drawn = 400, kernels.coin_array, []
+    a, b = (x.ravel() for x in np.divmod(np.arange(n * n), n))
+    a, b = a[a != b], b[a != b]
+    p = np.full(len(a), int(0.05 * 2**32))
+    ptr = np.arange(n + 1) * (n - 1)
+    g = {"nodes": np.arange(n) * 3, "out_ptr": ptr, "out_to": b, "out_tp": p, "out_tq": 2 * p, "in_ptr": ptr, "in_to": b, "in_tp": p, "in_tq": 2 * p}
+    monkeypatch.setattr(kernels, "coin_array", lambda mode, salt, *ids: drawn.append(len(ids[-1])) or coins(mode, salt, *ids))
+    monkeypatch.setattr(kernels, "EDGES_AT_ONCE", 4000)
+    for world in range(5):
+        forth = coins("fast", 1, world, 3 * a, 3 * b)
+        live = {"forth": forth < np.where(b < 9, 2 * p, p), "back": coins("fast", 1, world, 3 * b, 3 * a) < p}
+        for which, run in (("forth", lambda: kernels.cascade(g, np.array([5]), np.arange(9), world, 1, "fast", "receiver")), ("back", lambda: (kernels.reach_set(g, 5, world, 1, "fast"), None))):
+            step = np.full(n, -1)
+            step[5], t = 0, 0
+            while (step == t).any():
+                new = b[live[which] & (step[a] == t)]
+                t += 1
+                step[new[step[new] < 0]] = t
+            nodes, steps = run()
+            assert np.sort(nodes).tolist() == np.flatnonzero(step >= 0).tolist() if which == "forth" else nodes.tolist() == np.flatnonzero(step >= 0).tolist()
+            assert steps is None or steps.tolist() == step[step >= 0].tolist()
+    assert sum(drawn) < 0.5 * 10 * len(a)
