@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nudgegraph.llm.text import need
+from nudgegraph.llm.text import need, trimmed
 from nudgegraph.session import Scratch
 
 BITS = 16
@@ -114,7 +114,7 @@ def learn(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang", mo
     """
     known = need(docs, text_col, lang_col).toDF("text", "lang").where("lang is not null and text is not null")
     scratch = Scratch(docs.sparkSession, "langid")
-    summed = scratch.keep(known.mapInArrow(_counts, "lang string, gram int, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")), "counts")
+    summed = scratch.keep(known.mapInArrow(trimmed(_counts), "lang string, gram int, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")), "counts")
     langs = sorted(r.lang for r in summed.select("lang").distinct().limit(most + 1).collect())
     if len(langs) > most:
         raise ValueError(f"more than {most} languages")
@@ -159,7 +159,7 @@ def identify(docs: DataFrame, model: MixtureModel, *, id_col: str = "doc_id", te
 
     own = need(docs, id_col, text_col, *carry).toDF("doc_id", "of", *carry)
     carried = "".join(f", `{f.name}` {f.dataType.simpleString()}" for f in own.schema.fields[2:])
-    return own.mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double, mixture map<string,double>" + carried)
+    return own.mapInArrow(trimmed(run), "doc_id long, held_out boolean, lang_pred string, score double, mixture map<string,double>" + carried)
 
 
 def training_rows(docs: DataFrame) -> DataFrame:

@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nudgegraph.llm.text import need, words_of
+from nudgegraph.llm.text import need, trimmed, words_of
 from nudgegraph.session import Scratch
 
 TILE = r"[^.!?\n]*[.!?\n]+|[^.!?\n]+"
@@ -145,11 +145,11 @@ def _held_before(rows: DataFrame, key: str) -> DataFrame:
 
 def _run_hits(own: DataFrame, run: int) -> DataFrame:
     """(run_of, runs): each document's hashes of runs that an earlier document holds."""
-    marks = own.mapInArrow(_marks_here(run), "mark long, doc_id long")
+    marks = own.mapInArrow(trimmed(_marks_here(run)), "mark long, doc_id long")
     shared = marks.join(marks.groupBy("mark").agg(F.count("*").alias("often")).where("often > 1").select("mark"), "mark")
     shared = shared.groupBy("doc_id").agg(F.collect_set("mark").alias("marks")).withColumnRenamed("doc_id", "of")
     asked = own.join(shared, F.col("doc_id").eqNullSafe(F.col("of"))).select("doc_id", "text", "marks")
-    runs = asked.mapInArrow(_marked_runs(run), "run long, doc_id long")
+    runs = asked.mapInArrow(trimmed(_marked_runs(run)), "run long, doc_id long")
     return _held_before(runs, "run").groupBy("doc_id").agg(F.collect_set("run").alias("runs")).withColumnRenamed("doc_id", "run_of")
 
 
@@ -260,7 +260,7 @@ def substring_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     are ignored. Empty tables give an empty result.
     """
     own = need(docs, id_col, text_col).toDF("doc_id", "text")
-    spans = Scratch(docs.sparkSession, "substring").keep(own.mapInArrow(_first_here(sentences, words), "span long, doc_id long"), "spans")
+    spans = Scratch(docs.sparkSession, "substring").keep(own.mapInArrow(trimmed(_first_here(sentences, words)), "span long, doc_id long"), "spans")
     hits = _held_before(spans, "span").groupBy("doc_id").agg(F.collect_set("span").alias("hits")).withColumnRenamed("doc_id", "of")
     whole = need(docs, id_col, text_col, *carry).toDF("doc_id", "text", *carry)
     found = whole.join(hits, F.col("doc_id").eqNullSafe(F.col("of")), "left")
@@ -269,7 +269,7 @@ def substring_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     found = found.select("doc_id", "text", "hits", F.col("runs") if run else F.lit(None).cast("array<long>").alias("runs"), *carry)
     kinds = {f.name: f.dataType.simpleString() for f in whole.schema.fields}
     schema = "doc_id long, text string, n_sentences long, n_removed long" + "".join(f", `{c}` {kinds[c]}" for c in carry)
-    return found.mapInArrow(_without(sentences, words, run), schema)
+    return found.mapInArrow(trimmed(_without(sentences, words, run)), schema)
 
 
 ORACLE = r"""

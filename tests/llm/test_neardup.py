@@ -3,6 +3,7 @@ import random
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
+from nudgegraph.llm import neardup
 from nudgegraph.llm.neardup import least_overlap, near_duplicates
 from nudgegraph.llm.text import shingle_set, words_of
 
@@ -105,3 +106,26 @@ def test_sql_twin(spark, sf, duck):
     from nudgegraph.llm import neardup
 
     same_rows(near_duplicates(spark.read.parquet(f"{sf}/documents.parquet"), shingle=2), duck.sql(neardup.ORACLE))
+
+
+def test_no_stage_of_two_python_steps(spark, monkeypatch):
+    """Components begin with a Python step, so what they get must be written already."""
+    plans, components = [], neardup.components
+
+    def seen(edges, *more):
+        plans.append(edges._jdf.queryExecution().optimizedPlan().toString())
+        return components(edges, *more)
+
+    monkeypatch.setattr(neardup, "components", seen)
+    rows = [(i, " ".join(f"w{j}" for j in range(30)) + f" end{i}") for i in range(5)]
+    near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), shingle=2).collect()
+    assert len(plans) >= 3 and not [p for p in plans if "MapInArrow" in p]
+
+
+def test_workers_give_memory_back(monkeypatch):
+    from nudgegraph.llm import text
+
+    pool = []
+    monkeypatch.setattr(text.pa, "default_memory_pool", lambda: type("Pool", (), {"release_unused": lambda _: pool.append(1)})())
+    kernel = text.trimmed(lambda batches: (b + 1 for b in batches))
+    assert list(kernel(iter([1, 2]))) == [2, 3] and pool == [1]
