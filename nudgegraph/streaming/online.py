@@ -12,6 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from nudgegraph.session import scratch_path
+from nudgegraph.sources.networks import SECONDS
 
 LATENESS = "2 hours"
 ACTION = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
@@ -49,10 +50,20 @@ def deduplicated(actions: DataFrame) -> DataFrame:
 
 
 def hits(left: DataFrame, right: DataFrame, window: str = "6 hours") -> DataFrame:
-    """(src, dst, action, at): dst did after src, within the window, what src had done."""
-    a = left.select(F.col("actor").alias("src"), F.col("action").alias("action_u"), F.col("ts").alias("ts_u"))
-    b = right.select(F.col("actor").alias("dst"), F.col("action").alias("action_v"), F.col("ts").alias("ts_v"))
-    near = F.expr(f"action_u = action_v and src <> dst and ts_v > ts_u and ts_v <= ts_u + interval {window}")
+    """(src, dst, action, at): dst did after src, within the window, such as ``6 hours``, what src had done.
+
+    The join is an equality on the action and a slice of time as wide as the
+    window, so a popular action's rows are held against those of two slices,
+    not of all time.
+    """
+    number, unit = window.split()
+    seconds = SECONDS[unit.rstrip("s")]
+    # a row meets its own slice of time and the next; days and weeks may be an hour longer than their seconds
+    width = int(number) * seconds + (0 if seconds < SECONDS["day"] else SECONDS["day"])
+    own = F.floor(F.unix_timestamp("ts") / width)
+    a = left.select(F.col("actor").alias("src"), F.col("action").alias("action_u"), F.col("ts").alias("ts_u"), F.explode(F.array(own, own + 1)).alias("slice_u"))
+    b = right.select(F.col("actor").alias("dst"), F.col("action").alias("action_v"), F.col("ts").alias("ts_v"), own.alias("slice_v"))
+    near = F.expr(f"action_u = action_v and slice_u = slice_v and src <> dst and ts_v > ts_u and ts_v <= ts_u + interval {window}")
     return a.join(b, near).select("src", "dst", F.col("action_u").alias("action"), F.col("ts_v").alias("at"))
 
 

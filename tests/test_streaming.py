@@ -35,3 +35,16 @@ def test_pairs_are_forgotten_after_a_while(spark, tmp_path):
         rows, _ = online.drain(online.first_seen(online.stream_actions(spark, str(tmp_path), "1 hour"), keep))
         found[keep] = sorted((r.actor, r.ts) for r in rows.collect())
     assert found[None] == [(1, at(0)), (2, at(30))] and (1, at(0)) in found[3600] and (1, at(60)) in found[3600]
+
+
+def test_join_meets_slices_of_time_only(spark, sf):
+    """The join's key has the slice of time; windows of hours and of days give what the plain condition gives."""
+    from pyspark.sql import functions as F
+
+    actions = online.as_actions(table(spark, sf, "events"))
+    for window in ("6 hours", "3 days"):
+        met = online.hits(actions, actions, window)
+        assert "slice_u" in met._jdf.queryExecution().optimizedPlan().toString()
+        u, v = actions.toDF("ts_u", "src", "action"), actions.toDF("at", "dst", "action")
+        plain = u.join(v, "action").where(F.expr(f"src <> dst and at > ts_u and at <= ts_u + interval {window}")).select(met.columns)
+        assert met.exceptAll(plain).isEmpty() and plain.exceptAll(met).isEmpty() and not met.isEmpty()
