@@ -8,6 +8,7 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -125,13 +126,36 @@ def with_known(actions: DataFrame, known: DataFrame, key: str = "actor") -> Data
     return actions.join(known, key)
 
 
+def _earliest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of a task's rows the earliest of each pair."""
+    held: list[pa.RecordBatch] = []
+
+    def least() -> pa.Table:
+        return pa.Table.from_batches(held).group_by(["actor", "action"]).aggregate([("ts", "min")]).rename_columns({"ts_min": "ts"}).select(["actor", "action", "ts"])
+
+    rows = 0
+    for batch in batches:
+        held.append(batch)
+        rows += batch.num_rows
+        if rows > 1_000_000:
+            held, rows = least().to_batches(), 0
+    if held:
+        yield from least().to_batches()
+
+
 def first_seen(actions: DataFrame, keep_seconds: int | None = None) -> DataFrame:
     """First action of each pair as a stateful stream: one row a pair, when it is first met.
 
-    With ``keep_seconds`` a pair is forgotten when the watermark passes its
-    time by that much, so the state stays bounded; met again later, the pair
-    counts as new.
+    Each trigger's earliest rows of all pairs are found by one pass a task,
+    and pairs that were met before go. With ``keep_seconds`` a pair is
+    forgotten when the watermark passes its time by that much, so the state
+    stays bounded; met again later, the pair counts as new. That form calls
+    Python for each pair.
     """
+    if keep_seconds is None:
+        near = actions.select("actor", "action", "ts").repartition("actor", "action")
+        return near.mapInArrow(_earliest, "actor long, action string, ts timestamp").dropDuplicates(["actor", "action"])
+
     import pandas as pd
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
@@ -142,9 +166,7 @@ def first_seen(actions: DataFrame, keep_seconds: int | None = None) -> DataFrame
         least = min((b.ts.min() for b in batches), default=None)
         if not state.exists and least is not None:
             state.update((least.value // 1000,))
-            if keep_seconds is not None:
-                state.setTimeoutTimestamp(max(least.value // 1_000_000 + 1000 * keep_seconds, state.getCurrentWatermarkMs() + 1))
+            state.setTimeoutTimestamp(max(least.value // 1_000_000 + 1000 * keep_seconds, state.getCurrentWatermarkMs() + 1))
             yield pd.DataFrame({"actor": [key[0]], "action": [key[1]], "ts": [least]})
 
-    timeout = GroupStateTimeout.NoTimeout if keep_seconds is None else GroupStateTimeout.EventTimeTimeout
-    return actions.groupBy("actor", "action").applyInPandasWithState(run, "actor long, action string, ts timestamp", "us long", "append", timeout)
+    return actions.groupBy("actor", "action").applyInPandasWithState(run, "actor long, action string, ts timestamp", "us long", "append", GroupStateTimeout.EventTimeTimeout)

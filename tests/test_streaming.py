@@ -48,3 +48,17 @@ def test_join_meets_slices_of_time_only(spark, sf):
         u, v = actions.toDF("ts_u", "src", "action"), actions.toDF("at", "dst", "action")
         plain = u.join(v, "action").where(F.expr(f"src <> dst and at > ts_u and at <= ts_u + interval {window}")).select(met.columns)
         assert met.exceptAll(plain).isEmpty() and plain.exceptAll(met).isEmpty() and not met.isEmpty()
+
+
+def test_first_rows_without_a_call_for_each_pair(spark, tmp_path):
+    """Several rows of a pair in one trigger give the earliest; a later trigger adds none."""
+    import datetime as dt
+
+    at = lambda hours: dt.datetime(2024, 1, 1) + dt.timedelta(hours=hours)
+    for batch in (((5, 1), (3, 1), (4, 2), (9, None)), ((6, 1), (7, 2), (8, 3), (10, None))):
+        rows = [(i, at(i), actor, "buy", 1.0, "{}") for i, actor in batch]
+        spark.createDataFrame(rows, online.ACTION).coalesce(1).write.mode("append").parquet(str(tmp_path))
+    seen = online.first_seen(online.stream_actions(spark, str(tmp_path)))
+    assert "FlatMapGroups" not in seen._jdf.queryExecution().analyzed().toString()
+    rows = online.drain(seen)[0].collect()
+    assert sorted((r.actor or 0, r.ts) for r in rows) == [(0, at(9)), (1, at(3)), (2, at(4)), (3, at(8))]
