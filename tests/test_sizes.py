@@ -72,3 +72,16 @@ def test_coins_of_settled_nodes_are_not_drawn(monkeypatch):
             assert np.sort(nodes).tolist() == np.flatnonzero(step >= 0).tolist() if which == "forth" else nodes.tolist() == np.flatnonzero(step >= 0).tolist()
             assert steps is None or steps.tolist() == step[step >= 0].tolist()
     assert sum(drawn) < 0.5 * 10 * len(a)
+
+
+def test_edge_files_do_not_pile_up(spark, sf, monkeypatch):
+    """Each format goes once the next is written; text formats are compressed."""
+    from pathlib import Path
+
+    from nudgegraph.workloads import toolkit
+
+    paths = []
+    monkeypatch.setattr(toolkit, "scratch_path", lambda s, tag, make=toolkit.scratch_path: paths.append(make(s, tag)) or paths[-1])
+    rows = catalogue.QUERIES["source_edge_files"](spark, sf)
+    left = [p for p in map(Path, (p.removeprefix("file://") for p in paths)) if p.exists()]
+    assert len(paths) == 4 and [p.name.split("-")[1] for p in left] == ["json"] and list(left[0].glob("*.json.gz")) and rows.count() > 0
