@@ -9,6 +9,7 @@ from pyspark.errors import AnalysisException
 from nudgegraph import catalogue
 from nudgegraph.model import dense_nodes
 from nudgegraph.operators import kernels
+from nudgegraph.sources import networks as net
 from nudgegraph.workloads import experiments, sampled
 
 
@@ -85,3 +86,13 @@ def test_edge_files_do_not_pile_up(spark, sf, monkeypatch):
     rows = catalogue.QUERIES["source_edge_files"](spark, sf)
     left = [p for p in map(Path, (p.removeprefix("file://") for p in paths)) if p.exists()]
     assert len(paths) == 4 and [p.name.split("-")[1] for p in left] == ["json"] and list(left[0].glob("*.json.gz")) and rows.count() > 0
+
+
+def test_learned_edges_move_once(spark, sf):
+    """Nothing is joined to the edges after they were counted."""
+    from pyspark.sql import functions as F
+
+    plan = catalogue.QUERIES["net_events_48h"](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.index("Aggregate") < plan.index("Join")
+    actions = spark.createDataFrame([(1, "a", 0), (2, "a", 60), (1, "b", 0), (None, "a", 30), (3, "c", 0)], "actor long, action string, s long").select("actor", "action", F.timestamp_seconds("s").alias("ts"))
+    assert [tuple(r) for r in net.learn_probabilities(actions, None, "1 hour").collect()] == [(1, 2, 0.5)]
