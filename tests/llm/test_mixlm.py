@@ -138,3 +138,17 @@ def test_counts_against_plain_counting(spark):
     assert (model.n0 + model.n1).sum() == 8 * ORDERS * n_bytes
     ones = sum(bin(b).count("1") for t in texts for b in stream(words_of(t)))
     assert model.n1.sum() == ORDERS * ones
+
+
+def test_counting_lets_go_of_the_last_table():
+    """A worker that counts for a new run doesn't keep the table of the run before."""
+    from nudgegraph.llm import mixlm
+
+    for kernel in (mixlm._counted_words, mixlm._counted_grams, mixlm._node_counts):
+        mixlm._HELD["gone", True] = np.zeros(1, np.float32), np.zeros(1, np.uint8)
+        assert list(mixlm._counting(kernel)(iter(()))) == [] and not mixlm._HELD
+
+
+def test_a_slot_takes_eight_bytes_to_learn(spark):
+    model = train(spark.createDataFrame([("the cat sat on the mat",)], "text string"))
+    assert model.n0.itemsize + model.n1.itemsize == 8
