@@ -96,3 +96,27 @@ def test_learned_edges_move_once(spark, sf):
     assert plan.index("Aggregate") < plan.index("Join")
     actions = spark.createDataFrame([(1, "a", 0), (2, "a", 60), (1, "b", 0), (None, "a", 30), (3, "c", 0)], "actor long, action string, s long").select("actor", "action", F.timestamp_seconds("s").alias("ts"))
     assert [tuple(r) for r in net.learn_probabilities(actions, None, "1 hour").collect()] == [(1, 2, 0.5)]
+
+
+def test_cover_comes_to_the_driver_once_the_rest_fits(spark, monkeypatch):
+    """A cover whose first picks leave little makes no job a pick to its end; picks are those of plain sets."""
+    import random
+
+    from nudgegraph.plans import stopping
+
+    rng = random.Random(4)
+    rows = [(s, v) for s in range(300) for v in {rng.randrange(40), rng.randrange(40), 40 if s < 250 else 41}]
+    df, lists = spark.createDataFrame(rows + rows[:5], "sketch long, node long"), {}
+    for s, v in rows:
+        lists.setdefault(v, set()).add(s)
+    want, covered = [], set()
+    while len(want) < 9 and any(x - covered for x in lists.values()):
+        best = max(lists, key=lambda v: (len(lists[v] - covered), -v))
+        want.append((best, len(lists[best] - covered)))
+        covered |= lists[best]
+    local, held = stopping._cover_arrays, []
+    monkeypatch.setattr(stopping, "_cover_arrays", lambda s, v, k: held.append(k) or local(s, v, k))
+    monkeypatch.setattr(stopping, "LOCAL_POSTINGS", 200)
+    assert stopping.cover_greedy(df, 9) == want and held and 0 < held[0] < 9
+    assert local(np.array([s for s, _ in rows]), np.array([v for _, v in rows]), 9) == want
+    assert stopping.cover_greedy(df.where("sketch < 0"), 3) == [] and stopping.cover_greedy(df, 0) == []
