@@ -120,3 +120,20 @@ def test_cover_comes_to_the_driver_once_the_rest_fits(spark, monkeypatch):
     assert stopping.cover_greedy(df, 9) == want and held and 0 < held[0] < 9
     assert local(np.array([s for s, _ in rows]), np.array([v for _, v in rows]), 9) == want
     assert stopping.cover_greedy(df.where("sketch < 0"), 3) == [] and stopping.cover_greedy(df, 0) == []
+
+
+def test_marginal_picks_on_the_driver_equal_recounts(spark, monkeypatch):
+    import random
+
+    from nudgegraph.model import BoostGraph
+    from nudgegraph.operators import sketches
+
+    rng = random.Random(8)
+    rows = sorted({(a, b): (a, b, 0.15, 0.5) for a, b in ((rng.randrange(30), rng.randrange(30)) for _ in range(140)) if a != b}.values())
+    drawn = sketches.sample_sketches(BoostGraph.from_edges(spark.createDataFrame(rows, "src long, dst long, p double, q double")), [0, 1], 0, 400, 4).cache()
+    monkeypatch.setattr(sketches, "marginal_counts", lambda *a, f=sketches.marginal_counts: jobs.append(a) or f(*a))
+    jobs = []
+    got = sketches.select_marginal(drawn, 6, [0, 1, 2])
+    assert len(got) == 6 and not jobs
+    monkeypatch.setattr(sketches, "LOCAL_SKETCH_EDGES", 0)
+    assert sketches.select_marginal(drawn, 6, [0, 1, 2]) == got and len(jobs) == 6
