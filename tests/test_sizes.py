@@ -137,3 +137,16 @@ def test_marginal_picks_on_the_driver_equal_recounts(spark, monkeypatch):
     assert len(got) == 6 and not jobs
     monkeypatch.setattr(sketches, "LOCAL_SKETCH_EDGES", 0)
     assert sketches.select_marginal(drawn, 6, [0, 1, 2]) == got and len(jobs) == 6
+
+
+def test_hops_on_the_driver_equal_joins(spark, monkeypatch):
+    from nudgegraph.model import BoostGraph
+    from nudgegraph.operators import diffusion
+
+    rows = [(a, (a * 7 + j) % 60, 0.1, 0.2) for a in range(0, 60, 2) for j in range(1, 3) if a != (a * 7 + j) % 60]
+    graph = BoostGraph.from_edges(spark.createDataFrame(rows, "src long, dst long, p double, q double"))
+    asked = [([3, 4, 999], None, False), ([4], 2, False), ([4], None, True), ([], None, False)]
+    near = [sorted(map(tuple, diffusion.hop_layers(graph, *a).collect())) for a in asked]
+    assert graph.__dict__.get("_sent") is not None
+    monkeypatch.setattr(diffusion, "LOCAL_HOPS", 0)
+    assert near == [sorted(map(tuple, diffusion.hop_layers(graph, *a).collect())) for a in asked]
