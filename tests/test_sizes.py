@@ -150,3 +150,47 @@ def test_hops_on_the_driver_equal_joins(spark, monkeypatch):
     assert graph.__dict__.get("_sent") is not None
     monkeypatch.setattr(diffusion, "LOCAL_HOPS", 0)
     assert near == [sorted(map(tuple, diffusion.hop_layers(graph, *a).collect())) for a in asked]
+
+
+def small_graph(spark):
+    from nudgegraph.model import BoostGraph
+
+    rows = [(a, (a * 5 + j) % 40, 0.2, 0.36) for a in range(40) for j in range(1, 4) if a != (a * 5 + j) % 40]
+    return BoostGraph.from_edges(spark.createDataFrame(rows, "src long, dst long, p double, q double"))
+
+
+def test_seeds_are_found_once_a_graph(spark, monkeypatch):
+    from nudgegraph.plans import solvers
+
+    found = []
+    monkeypatch.setattr(solvers, "reach_sets", lambda *a, f=solvers.reach_sets: found.append(a) or f(*a))
+    graph = small_graph(spark)
+    first = solvers.seeds_influential(graph, 3, theta=200)
+    first.append(-1)
+    assert solvers.seeds_influential(graph, 3, theta=200) == first[:-1] and len(found) == 1
+    assert solvers.seeds_influential(graph, 3, theta=300) and len(found) == 2
+    assert solvers.seeds_influential(small_graph(spark), 3, theta=200) == first[:-1] and len(found) == 3
+
+
+def test_sets_are_judged_in_one_job(spark, monkeypatch):
+    from nudgegraph.model import BoostProblem, RunReport, Solution
+    from nudgegraph.operators.diffusion import boost_mc
+    from nudgegraph.plans import solvers
+
+    problem, jobs = BoostProblem(small_graph(spark), spark.createDataFrame([(0,), (1,)], "node long"), 3), []
+    sets = [[5], [7, 6], [6, 7], [], [8, 9, 10]]
+    values = [boost_mc(problem.graph, [0, 1], b, 100).first().delta for b in sets]
+    monkeypatch.setattr(solvers, "world_counts", lambda g, s, arms, *a, f=solvers.world_counts, **o: jobs.append(len(arms)) or f(g, s, arms, *a, **o))
+    got = solvers.best_of(problem, [Solution(b, RunReport({})) for b in sets], 100)
+    assert got.boost == sets[max(range(5), key=lambda i: (values[i], -i))] and jobs == [5]
+
+
+def test_exponents_share_edges_and_seeds(spark, monkeypatch):
+    from dataclasses import replace
+
+    made, asked = [], []
+    monkeypatch.setattr(experiments, "network", lambda s, d, name, beta=2.0: made.append(beta) or small_graph(s))
+    monkeypatch.setattr(experiments, "_seeds", lambda g, grid, mode, f=experiments._seeds: asked.append(f(g, grid, mode)) or asked[-1])
+    grid = replace(experiments.SMALL, nets=("x",), ks=(2,), theta=100, runs=20)
+    rows = experiments.w08(spark, None, grid).collect()
+    assert len(made) == len(asked) == 1 and {r.beta for r in rows} == {2.0, 4.0}
