@@ -64,8 +64,9 @@ def test_searches(both, spark, monkeypatch, dense):
     from nudgegraph.plans.planner import sent
 
     monkeypatch.setattr(kernels, "DENSE", dense)
-    for met in (0, 1, 32):
+    for met, least in ((0, 0.05), (1, 0.5), (32, -1.0)):
         monkeypatch.setattr(kernels, "MET_TRIED", met)
+        monkeypatch.setattr(kernels, "LEAST_FOUND", least)
         monkeypatch.setattr(kernels, "EDGES_AT_ONCE", 50)
         a, b = (sent(g).value for g in both)
         place = kernels.np.array([0, 30])
@@ -82,6 +83,30 @@ def test_baselines_read_all_edges(both, spark):
     assert picks[:2] == picks[2:] and all(len(p) == 5 for p in picks)
 
 
+@pytest.mark.parametrize("framework", ["martingale", "doubling"])
+def test_as_many_seeds_as_asked_for(spark, framework):
+    """One node covers every sample: the others make up the number."""
+    from nudgegraph.plans.solvers import allocate_budget, seeds_influential
+
+    rows = [(7, v, 1.0, 1.0) for v in (1, 2, 3)]
+    graph = BoostGraph.from_edges(spark.createDataFrame(rows, "src long, dst long, p double, q double"))
+    assert seeds_influential(graph, 3, framework=framework) == [7, 1, 2] and len(seeds_influential(graph, 9, framework=framework)) == 4
+    assert seeds_influential(graph, 3, theta=50) == [7]
+    assert allocate_budget(graph, 2, 3, (1.0,), 5).first().n_seeds == 2
+
+
+def test_postings_told_to_be_unique_are_counted_where_they_are(spark, monkeypatch):
+    from nudgegraph.plans import stopping
+
+    rows = sorted({(s, v) for s in range(60) for v in (s % 7, s % 11, 20 + s % 2)})
+    df, kept = spark.createDataFrame(rows, "sketch long, node long"), []
+    want = stopping.cover_greedy(df, 6)
+    monkeypatch.setattr(stopping, "LOCAL_POSTINGS", 40)
+    monkeypatch.setattr(stopping.Scratch, "keep", lambda self, d, name, f=stopping.Scratch.keep: kept.append(name) or f(self, d, name))
+    plain, n = stopping.cover_greedy(df, 6), len(kept)
+    assert plain == want == stopping.cover_greedy(df, 6, unique=True) and len(kept) == 2 * n - 1
+
+
 @pytest.mark.parametrize("name", ["spread_mc_r", "boost_mc_r", "activation_steps_r", "seeds_doubling_p", "pure_seeding_p"])
 def test_queries_list_no_edge(spark, sf, monkeypatch, name):
     """Of a network whose meetings are many no edge is written, and the result is the same."""
