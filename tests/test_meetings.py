@@ -128,3 +128,18 @@ def test_what_the_actions_do_not_allow(spark, monkeypatch):
     other = meetings.action_graph(actions, "1 hour")
     assert type(other) is BoostGraph and rows_of(other.edges) == rows_of(graph.edges)
     assert net.learn_probabilities(actions, None, "1 hour").count() == 3
+
+
+def test_preparation_finds_each_network_once(spark, sf, monkeypatch):
+    """A network's edges are made once and read from a table after that; the one of events lists none."""
+    from nudgegraph.workloads import experiments
+
+    made, kept = [], []
+    monkeypatch.setattr(experiments.Scratch, "keep", lambda self, d, name, f=experiments.Scratch.keep: kept.append((name, d)) or f(self, d, name))
+    monkeypatch.setattr(experiments, "largest_wcc", lambda e, f=experiments.largest_wcc: made.append(e.inputFiles()) or f(e))
+    want = rows_of(experiments._preparation(spark, sf))
+    assert len(made) == 4 and all("whole" in files[0] for files in made)
+    monkeypatch.setattr(meetings, "LOCAL_EDGES", 0)
+    monkeypatch.setattr(meetings.MeetingGraph, "listed", lambda self: pytest.fail("edges are listed"))
+    assert rows_of(experiments._preparation(spark, sf)) == want and len(made) == 7
+    assert rows_of(experiments._cost_shape(spark, sf)) == [(True,)]
