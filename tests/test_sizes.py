@@ -194,3 +194,16 @@ def test_exponents_share_edges_and_seeds(spark, monkeypatch):
     grid = replace(experiments.SMALL, nets=("x",), ks=(2,), theta=100, runs=20)
     rows = experiments.w08(spark, None, grid).collect()
     assert len(made) == len(asked) == 1 and {r.beta for r in rows} == {2.0, 4.0}
+
+
+@pytest.mark.parametrize("name", ["exp_boost_vs_k_p", "exp_random_seeds_p"])
+def test_both_networks_are_compared(spark, duck, monkeypatch, name):
+    """With random seeds as with influential ones, in the query and in its SQL."""
+
+    def compare(s, d, exp, grid, modes, methods):
+        rows = [experiments._row(exp, "boost", k, net=n, solver=m, mode=modes[0], k=k) for n in grid.nets for m in methods for k in grid.ks]
+        return experiments._table(s, rows)
+
+    monkeypatch.setattr(experiments, "compare", compare)
+    got = [tuple(r) for r in experiments.QUERIES[name](spark, None).collect()]
+    assert sorted(got) == sorted(duck.sql(experiments.ORACLES[name]).fetchall()) and [r[0] for r in got] == list(experiments.SMALL.nets)
