@@ -143,3 +143,26 @@ def test_preparation_finds_each_network_once(spark, sf, monkeypatch):
     monkeypatch.setattr(meetings.MeetingGraph, "listed", lambda self: pytest.fail("edges are listed"))
     assert rows_of(experiments._preparation(spark, sf)) == want and len(made) == 7
     assert rows_of(experiments._cost_shape(spark, sf)) == [(True,)]
+
+
+@pytest.mark.parametrize("name", ["net_events_48h", "parallel_edges_noisy_or"])
+def test_many_edges_are_found_without_a_shuffle(spark, sf, monkeypatch, name):
+    """Where meetings are many an edge leaves its task once, and is the same."""
+    from nudgegraph import catalogue
+
+    want = rows_of(catalogue.QUERIES[name](spark, sf))
+    monkeypatch.setattr(meetings, "LOCAL_EDGES", 0)
+    monkeypatch.setattr(meetings, "MEETINGS_AT_ONCE", 100)
+    got = catalogue.QUERIES[name](spark, sf)
+    assert "Exchange" not in got._jdf.queryExecution().executedPlan().toString() and rows_of(got) == want
+
+
+def test_parallel_edges_of_networks(spark, both):
+    """The likeliest or any of two networks' edges, with sure ones; an actor who meets others in just one of them."""
+    log = [(1, "a", 0), (2, "a", 60), (3, "a", 7_300), (1, "b", 0), (2, "b", 60), (4, "b", 9_000), (3, "c", 0), (5, "c", 60)]
+    actions = spark.createDataFrame(log, "actor long, action string, s long").select("actor", "action", F.timestamp_seconds("s").alias("ts"))
+    settings = [("1 hours", 3.0), ("3 hours", 0.5)]
+    edges = [BoostGraph.from_edges(net.learn_probabilities(actions, None, *s)).edges for s in settings]
+    for how in ("max", "noisy_or"):
+        want, got = (sorted((r.src, r.dst, round(r.p, 9), round(r.q, 9)) for r in df.collect()) for df in (net.merge_parallel(edges[0].unionByName(edges[1]), how), net.merge_parallel(meetings.meeting_graphs(actions, settings), how)))
+        assert got == want and len(got) == 6 and any(p == 1 for *_, p, _ in got)
