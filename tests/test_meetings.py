@@ -4,9 +4,9 @@ import pytest
 from pyspark.sql import functions as F
 
 from nudgegraph.model import BoostGraph
-from nudgegraph.operators import kernels
+from nudgegraph.operators import diffusion, kernels
 from nudgegraph.operators.baselines import degree_global
-from nudgegraph.operators.diffusion import hop_layers, simulate
+from nudgegraph.operators.diffusion import hop_layers, simulate, world_counts
 from nudgegraph.operators.sketches import reach_sets, sample_sketches
 from nudgegraph.plans.planner import choose
 from nudgegraph.sources import meetings
@@ -166,3 +166,52 @@ def test_parallel_edges_of_networks(spark, both):
     for how in ("max", "noisy_or"):
         want, got = (sorted((r.src, r.dst, round(r.p, 9), round(r.q, 9)) for r in df.collect()) for df in (net.merge_parallel(edges[0].unionByName(edges[1]), how), net.merge_parallel(meetings.meeting_graphs(actions, settings), how)))
         assert got == want and len(got) == 6 and any(p == 1 for *_, p, _ in got)
+
+
+@pytest.mark.parametrize("beta", [2.0, 4.0, 2.5])
+def test_other_exponents(both, monkeypatch, beta):
+    """Edges raised with another exponent are found from the actions too."""
+    held, found = (g.raised(beta) for g in both)
+    assert rows_of(sample_sketches(held, [100, 203], 0, 60, 3)) == rows_of(sample_sketches(found, [100, 203], 0, 60, 3))
+    monkeypatch.setattr(meetings.MeetingGraph, "listed", lambda self: pytest.fail("edges are listed"))
+    assert world_counts(found, [100, 203], [([104, 205, 211, 212], "receiver")], 30).agg(F.sum("n0")).first()[0] > 0
+    monkeypatch.undo()
+    close = lambda g: [tuple(round(x, 12) for x in r) for r in rows_of(g.edges)]
+    assert close(held) == close(found)
+
+
+@pytest.mark.parametrize("kept", [1 << 28, 0])
+def test_worlds_are_found_once_for_all_sets(both, spark, monkeypatch, kept):
+    """Gains come from what boosted nodes add to worlds without a boost; those are run once, or anew where they aren't kept."""
+    monkeypatch.setattr(diffusion, "KEPT_WORLDS", kept)
+    seeds, sets = [100, 5], [[104, 205, 211, 212, 230], [], list(range(100, 140)), list(range(200, 235))]
+    arms = [(s, m) for s in sets for m in ("receiver", "sender", "single_boost")]
+    for g in both:
+        got = {r.world: tuple(r)[1:] for r in world_counts(g, seeds, arms, 25).collect()}
+        plain = [{r.world: r.n for r in diffusion.world_spread(simulate(g, seeds, s, 25, mode=m)).collect()} for s, m in arms]
+        assert got == {w: tuple(p[w] for p in plain) for w in range(25)}
+        assert len(g.__dict__.get("_worlds", {})) == (1 if kept else 0)
+        assert diffusion.boost_mc(g, seeds, sets[2], 25).first().delta >= 0 and len(g.__dict__.get("_worlds", {})) == (1 if kept else 0)
+
+
+def test_exponents_list_no_edge(spark, sf, monkeypatch):
+    from nudgegraph.workloads import experiments
+
+    monkeypatch.setattr(meetings, "LOCAL_EDGES", 0)
+    monkeypatch.setattr(meetings.MeetingGraph, "listed", lambda self: pytest.fail("edges are listed"))
+    grid = experiments.replace(experiments.SMALL, nets=("events_6h",), ks=(5,), theta=200, runs=40)
+    got = experiments.w08(spark, sf, grid).where("measure = 'boost'").collect()
+    assert {r.beta for r in got} == {2.0, 4.0} and max(r.value for r in got) > 0
+
+
+def test_boosted_nodes_add_what_they_reach(spark):
+    """Gains on a graph of small chances, whose boosted nodes reach others that are boosted or not."""
+    import random
+
+    rng = random.Random(5)
+    rows = [(u, v, 0.04, 0.5) for u in range(60) for v in rng.sample(range(60), 9) if u != v]
+    g = BoostGraph.from_edges(spark.createDataFrame(rows, "src long, dst long, p double, q double"))
+    boost, no = list(range(3, 30)), []
+    got = {r.world: (r.n0, r.n1) for r in world_counts(g, [0, 1], [(boost, "receiver"), (no, "receiver")], 60).collect()}
+    plain = [{r.world: r.n for r in diffusion.world_spread(simulate(g, [0, 1], s, 60)).collect()} for s in (boost, no)]
+    assert got == {w: (plain[0][w], plain[1][w]) for w in range(60)} and sum(a > b + 5 for a, b in got.values()) > 10
