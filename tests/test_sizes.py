@@ -207,3 +207,18 @@ def test_both_networks_are_compared(spark, duck, monkeypatch, name):
     monkeypatch.setattr(experiments, "compare", compare)
     got = [tuple(r) for r in experiments.QUERIES[name](spark, None).collect()]
     assert sorted(got) == sorted(duck.sql(experiments.ORACLES[name]).fetchall()) and [r[0] for r in got] == list(experiments.SMALL.nets)
+
+
+def test_compression_follows_the_sampling_rule(spark, monkeypatch):
+    """Seeds and sketches of every solve come from the rule, not from a given number."""
+    from nudgegraph.model import BoostGraph
+    from nudgegraph.plans import solvers
+
+    rows = [(u, (u * 7 + i) % 30, 0.05, 0.4) for u in range(30) for i in (1, 2, 5) if (u * 7 + i) % 30 != u]
+    graph = BoostGraph.from_edges(spark.createDataFrame(rows, "src long, dst long, p double, q double"))
+    ruled = []
+    monkeypatch.setattr(experiments, "network", lambda s, d, name: graph)
+    monkeypatch.setattr(experiments, "SMALL", experiments.replace(experiments.SMALL, seeds=2, ks=(2, 3), runs=20))
+    monkeypatch.setattr(solvers, "run_martingale", lambda *a, f=solvers.run_martingale: ruled.append(f(*a)) or ruled[-1])
+    assert tuple(experiments._compress(spark, None).first()) == (True, True, True)
+    assert len(ruled) == 6 and all(x.certified for x in ruled)
