@@ -222,3 +222,23 @@ def test_compression_follows_the_sampling_rule(spark, monkeypatch):
     monkeypatch.setattr(solvers, "run_martingale", lambda *a, f=solvers.run_martingale: ruled.append(f(*a)) or ruled[-1])
     assert tuple(experiments._compress(spark, None).first()) == (True, True, True)
     assert len(ruled) == 6 and all(x.certified for x in ruled)
+
+
+def test_what_knows_no_seeds_is_found_once(spark, monkeypatch):
+    """Ranks and reach sets of a graph serve all its problems, with the picks of a graph that keeps nothing."""
+    from nudgegraph.model import BoostGraph, BoostProblem
+    from nudgegraph.operators import baselines
+    from nudgegraph.plans import solvers
+
+    rows = [(u, (u * 7 + i) % 30, 0.1, 0.4) for u in range(30) for i in (1, 2, 5) if (u * 7 + i) % 30 != u]
+    edges = spark.createDataFrame(rows, "src long, dst long, p double, q double")
+    calls = []
+    monkeypatch.setattr(baselines, "influence_rank", lambda *a, f=baselines.influence_rank, **o: calls.append("rank") or f(*a, **o))
+    monkeypatch.setattr(solvers, "reach_sets", lambda *a, f=solvers.reach_sets: calls.append("reach") or f(*a))
+    one, got, want = BoostGraph.from_edges(edges), [], []
+    for graphs, out in (([one, one], got), ([BoostGraph.from_edges(edges), BoostGraph.from_edges(edges)], want)):
+        for g, seeds, k in zip(graphs, ([0], [4, 9]), (2, 3), strict=True):
+            p = BoostProblem(g, spark.createDataFrame([(s,) for s in seeds], "node long"), k)
+            out += [solvers.solve(p, "influence_rank", rounds=2).boost, solvers.solve(p, "extra_seeds", theta=100).boost]
+        calls.append("next")
+    assert got == want and calls == ["rank", "reach", "next", *["rank", "reach"] * 2, "next"]
